@@ -21,9 +21,11 @@ from .shared import small, staged
 
 SPAN = 13
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-ANY_CASE = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
-#: Sizes of the bit sets; both are bounded whatever the benchmark's size, a full one only filters less.
-MIN_BITS, MAX_BITS, BITS_PER_GRAM = 1 << 12, 1 << 22, 32
+#: The separators one by one: single characters are a table lookup to the pattern engine, ranges are not.
+_NOT_WORD = "".join(rf"\x{c:02X}" for c in [*range(0x30), *range(0x3A, 0x41), *range(0x5B, 0x61), *range(0x7B, 0x80)])
+ANY_CASE, SEPARATOR, SEPARATORS = f"[^{_NOT_WORD}]+", f"[{_NOT_WORD}]", f"[{_NOT_WORD}]+"
+#: Most blocks of a bit set; it is bounded whatever the benchmark's size, and a full one only filters less.
+MAX_BLOCKS = 1 << 17
 
 
 def _words(text: Column) -> Column:
@@ -32,8 +34,8 @@ def _words(text: Column) -> Column:
 
 
 def _rough_words(text: Column) -> Column:
-    """The same words upper-cased throughout: quicker, equal wherever the exact words are equal."""
-    return F.regexp_extract_all(F.upper(F.coalesce(text, F.lit(""))), F.lit(ANY_CASE), F.lit(0))
+    """The same words upper-cased throughout: quicker to make, and equal wherever the exact words are equal."""
+    return F.array_remove(F.split(F.upper(F.coalesce(text, F.lit(""))), SEPARATORS), "")
 
 
 def _grams(words: Column, length: int, step: int, make) -> Column:
@@ -43,21 +45,24 @@ def _grams(words: Column, length: int, step: int, make) -> Column:
 
 
 class BitSet:
-    """Bits of hashed grams as a literal array of longs; collecting it is bounded by MAX_BITS / 64 numbers."""
+    """A blocked Bloom filter of hashed grams: a literal array of at most MAX_BLOCKS longs, three bits a gram in one."""
 
     def __init__(self, hashes: DataFrame, column: str):
         n = hashes.count()
-        self.bits = min(MAX_BITS, max(MIN_BITS, 1 << (n * BITS_PER_GRAM).bit_length()))
-        at = f"({column} & {self.bits - 1}L)"
-        packed = hashes.select(F.expr(f"shiftright({at}, 6)").alias("i"), F.expr(f"shiftleft(1L, cast({at} & 63 as int))").alias("b"))
-        words = [0] * (self.bits // 64)
-        for i, b in packed.groupBy("i").agg(F.bit_or("b")).collect():
+        self.mask = min(MAX_BLOCKS, 1 << n.bit_length()) - 1
+        block, bits = self._at(F.col(column))
+        words = [0] * (self.mask + 1)
+        for i, b in hashes.groupBy(block.alias("i")).agg(F.bit_or(bits)).collect():
             words[i] = b
         self.array = F.split(F.lit(",".join(map(str, words))), ",").cast("array<bigint>")
 
+    def _at(self, h: Column) -> tuple[Column, Column]:
+        bit = lambda k: F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftright(h, k).bitwiseAND(63).cast("int"))
+        return F.shiftright(h, 20).bitwiseAND(self.mask).cast("int"), bit(0).bitwiseOR(bit(6)).bitwiseOR(bit(12))
+
     def has(self, h: Column) -> Column:
-        at = F.shiftright(h.bitwiseAND(self.bits - 1), 6).cast("int")
-        return F.getbit(F.get(self.array, at), h.bitwiseAND(63).cast("int")) == 1
+        block, bits = self._at(h)
+        return F.get(self.array, block).bitwiseAND(bits) == bits
 
 
 def benchmark_windows(bench: DataFrame, span: int = SPAN) -> DataFrame:
@@ -125,9 +130,8 @@ def remove_contaminated(docs: DataFrame, bench: DataFrame, span: int = SPAN, mod
     same = F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__tag") == F.col("__t"))
     if mode == "documents":
         return keyed.join(small(bad), same, "left_anti").select("__doc.*")
-    piece = ANY_CASE + ANY_CASE.replace("[^", "[").replace("+", "*")
-    pieces = F.regexp_extract_all("text", F.lit(piece), F.lit(0))
-    head = F.regexp_extract("text", ANY_CASE.replace("[^", "^[").replace("+", "*"), 0)
+    pieces = F.regexp_extract_all("text", F.lit(f"{ANY_CASE}{SEPARATOR}*"), F.lit(0))
+    head = F.regexp_extract("text", f"^{SEPARATOR}*", 0)
     cut = F.concat(head, F.array_join(F.filter(pieces, lambda p, i: ~F.array_contains(F.col("positions"), i + 1)), ""))
     mended = keyed.join(small(bad), same, "left").select("__doc", F.when(F.col("positions").isNull(), F.col("text")).otherwise(cut).alias("__text"))
     return mended.select(*[(F.col("__text") if c == "text" else F.col(f"__doc.`{c}`")).alias(c) for c in docs.columns])

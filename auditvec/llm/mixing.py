@@ -19,7 +19,7 @@ from .shared import hash60, small, staged
 
 WEIGHTS, MAX_EPOCHS, SEED = (5, 2, 1), 3, 7
 BUCKET_ROWS, MAX_BUCKETS = 4096, 65536
-WORDS = r"[^\x20\x09-\x0D]+"
+WORDS = r"[^\x20\x09\x0A\x0B\x0C\x0D]+"
 
 
 def word_count(text: Column) -> Column:
