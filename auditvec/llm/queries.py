@@ -2,16 +2,46 @@
 
 from __future__ import annotations
 
-from . import sharding
+from . import bitslice, linechunks, quality, sharding, token_counts, toxicity, warc
 from .decontam import scan_documents
 from .mixing import mix_plan
-from .shared import table
+from .shared import new_path, table
+
+TOKENIZER = "byte_bpe_50k.json"
 
 
 def op1_sharding(spark, sf_dir):
     return sharding.assign_shards(table(spark, sf_dir, "documents").select("doc_id"))
 
 
+def op2_toxicity(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score_toxicity(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+
+
+def op3_quality(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return quality.score_quality(docs, quality.train(docs, table(spark, sf_dir, "labels")))
+
+
+def op4_token_counts(spark, sf_dir):
+    import public_tokenizers
+
+    return token_counts.count_tokens(table(spark, sf_dir, "documents"), public_tokenizers.path(TOKENIZER), new_path(spark, "token-counts"))
+
+
+def op5_topk_search(spark, sf_dir):
+    return bitslice.top_k(table(spark, sf_dir, "embeddings"))
+
+
+def op6_warc(spark, sf_dir):
+    return warc.deduplicated_archives(table(spark, sf_dir, "pages"), new_path(spark, "warc"))
+
+
+def op10_line_dedup(spark, sf_dir):
+    return linechunks.dedup_lines(table(spark, sf_dir, "documents"))
+
+
 def op7_decontamination(spark, sf_dir):
     return scan_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -100,5 +130,39 @@ SELECT doc_id, size, source_size, target,
 FROM placed
 """
 
-QUERIES = {"op1_sharding": op1_sharding, "op7_decontamination": op7_decontamination, "op9_mixing": op9_mixing}
-ORACLES = {"op1_sharding": OP1, "op7_decontamination": OP7, "op9_mixing": OP9}
+OP5 = """
+WITH vec AS (
+  SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)::BIGINT) AS q FROM embeddings
+  WHERE vec_id IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+scored AS (
+  SELECT a.vec_id AS query_id, b.vec_id, list_sum(list_transform(list_zip(a.q, b.q), lambda p: p[1] * p[2]))::BIGINT AS score
+  FROM vec a JOIN vec b ON a.vec_id % 50 = 0 AND a.vec_id <> b.vec_id),
+ranked AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS r FROM scored)
+SELECT query_id, r::INT AS rank, vec_id, score FROM ranked WHERE r <= 5
+"""
+
+OP6 = """
+WITH page AS (
+  SELECT page_id, coalesce(html, '') AS body, sha1(coalesce(html, '')) AS h FROM pages),
+group_of AS (
+  SELECT page_id, octet_length(encode(body))::BIGINT AS payload_bytes, max(page_id) OVER (PARTITION BY body) AS top,
+         array_to_string(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+           ((('0x' || substr(h, (i // 4 * 5 + 1)::INT, 5))::INT >> (15 - 5 * (i % 4))::INT) & 31) + 1, 1)), '') AS payload_digest
+  FROM page)
+SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id = top THEN 'response' ELSE 'revisit' END AS record_type,
+       CASE WHEN page_id <> top THEN top END AS refers_to
+FROM group_of
+"""
+
+QUERIES = {
+    "op1_sharding": op1_sharding,
+    "op2_toxicity": op2_toxicity,
+    "op3_quality": op3_quality,
+    "op4_token_counts": op4_token_counts,
+    "op5_topk_search": op5_topk_search,
+    "op6_warc": op6_warc,
+    "op7_decontamination": op7_decontamination,
+    "op9_mixing": op9_mixing,
+    "op10_line_dedup": op10_line_dedup,
+}
+ORACLES = {"op1_sharding": OP1, "op5_topk_search": OP5, "op6_warc": OP6, "op7_decontamination": OP7, "op9_mixing": OP9}
