@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from . import bitslice, linechunks, quality, sharding, token_counts, toxicity, warc
 from .decontam import scan_documents
+from .lshforest import near_duplicates
 from .mixing import mix_plan
 from .shared import new_path, table
 
@@ -38,6 +39,10 @@ def op6_warc(spark, sf_dir):
     return warc.deduplicated_archives(table(spark, sf_dir, "pages"), new_path(spark, "warc"))
 
 
+def op8_near_duplicates(spark, sf_dir):
+    return near_duplicates(table(spark, sf_dir, "documents"), width=3, least=(85, 100))
+
+
 def op10_line_dedup(spark, sf_dir):
     return linechunks.dedup_lines(table(spark, sf_dir, "documents"))
 
@@ -154,6 +159,22 @@ SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id = top THEN 'res
 FROM group_of
 """
 
+OP8 = r"""
+WITH RECURSIVE doc AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+item AS (
+  SELECT DISTINCT doc_id, array_to_string(w[i:i + least(3, len(w)) - 1], ' ') AS s
+  FROM (SELECT doc_id, w, unnest(range(1, len(w) - least(3, len(w)) + 2)) AS i FROM doc WHERE len(w) > 0)),
+size AS (SELECT doc_id, count(*) AS n FROM item GROUP BY doc_id),
+link AS (
+  SELECT a, b FROM (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM item x JOIN item y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY ALL) p
+  JOIN size u ON u.doc_id = a JOIN size v ON v.doc_id = b WHERE 100 * c >= 85 * (u.n + v.n - c)),
+both_ways AS (SELECT a, b FROM link UNION SELECT b, a FROM link),
+reach AS (SELECT doc_id, doc_id AS r FROM doc UNION SELECT reach.doc_id, b FROM reach JOIN both_ways ON r = a)
+SELECT doc.doc_id, coalesce(n, 0)::BIGINT AS n_shingles, c AS component_id, doc.doc_id = c AS kept
+FROM doc LEFT JOIN size USING (doc_id) JOIN (SELECT doc_id, min(r) AS c FROM reach GROUP BY doc_id) USING (doc_id)
+"""
+
 QUERIES = {
     "op1_sharding": op1_sharding,
     "op2_toxicity": op2_toxicity,
@@ -162,7 +183,8 @@ QUERIES = {
     "op5_topk_search": op5_topk_search,
     "op6_warc": op6_warc,
     "op7_decontamination": op7_decontamination,
+    "op8_near_duplicates": op8_near_duplicates,
     "op9_mixing": op9_mixing,
     "op10_line_dedup": op10_line_dedup,
 }
-ORACLES = {"op1_sharding": OP1, "op5_topk_search": OP5, "op6_warc": OP6, "op7_decontamination": OP7, "op9_mixing": OP9}
+ORACLES = {"op1_sharding": OP1, "op5_topk_search": OP5, "op6_warc": OP6, "op7_decontamination": OP7, "op8_near_duplicates": OP8, "op9_mixing": OP9}
