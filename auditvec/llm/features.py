@@ -19,8 +19,8 @@ def held_out(doc_id="doc_id"):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % HOLD_OF == HOLD_AT, F.lit(True))
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, label: str, per_class: int, max_bytes: int = 40_000) -> list[tuple[str, int]]:
-    """At most per_class labelled texts of either class, first by a hash of their ids, without held-out rows.
+def training_rows(docs: DataFrame, labels: DataFrame, label: str, most: tuple[int, int], max_bytes: int = 40_000) -> list[tuple[str, int]]:
+    """At most most[y] labelled texts of class y, first by a hash of their ids, without held-out rows.
 
     Texts come whole, but for texts beyond max_bytes only every k-th stretch of words is sent, k the smallest that
     keeps them below it, so the driver's memory is bounded. Ids labelled both ways are left out.
@@ -29,46 +29,63 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, per_class: int
     order = F.xxhash64("doc_id")
     ids = None
     for y in (0, 1):
-        part = marked.filter(F.col("y") == y).orderBy(order, "doc_id").limit(per_class)
+        part = marked.filter(F.col("y") == y).orderBy(order, "doc_id").limit(most[y])
         ids = part if ids is None else ids.union(part)
     words = F.split("text", " ")
     k = F.ceil(F.length("text") / max_bytes).cast("int")
     thin = F.array_join(F.filter(words, lambda _, i: F.pmod((i / 32).cast("int"), k) == 0), " ")
     text = F.when(F.length("text") > max_bytes, thin).otherwise(F.coalesce(F.col("text"), F.lit("")))
-    rows = docs.select("doc_id", "text").join(small(ids, rows=2 * per_class), "doc_id").select("doc_id", "y", text.alias("text"))
+    rows = docs.select("doc_id", "text").join(small(ids, rows=sum(most)), "doc_id").select("doc_id", "y", text.alias("text"))
     got = rows.toPandas().sort_values(["doc_id", "text"], kind="stable")
     return list(zip(got["text"], got["y"].astype(int)))
 
 
-def char_grams(word: bytes, sizes=(3, 4)) -> list[bytes]:
-    marked = b"<" + word[:40] + b">"
-    return [marked[i : i + n] for n in sizes for i in range(len(marked) - n + 1)]
+def word_buckets(words: list[bytes], buckets: int, seed: int) -> np.ndarray:
+    return np.fromiter((crc32(w, seed) for w in words), np.int64, len(words)) % buckets
 
 
-def bucket(piece: bytes, buckets: int, seed: int = 0) -> int:
-    return crc32(piece, seed) % buckets
+def gram_buckets(words: list[bytes], sizes: tuple[int, ...], buckets: int, longest: int = 40) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of all character n-grams of all words (marked at both ends), and which word each is of."""
+    marked = [b"<" + w[:longest] + b">" for w in words]
+    sizes_of = np.fromiter(map(len, marked), np.int64, len(marked))
+    text = np.frombuffer(b"".join(marked), np.uint8).astype(np.uint64)
+    owner, end = np.repeat(np.arange(len(words)), sizes_of), np.repeat(np.cumsum(sizes_of), sizes_of)
+    at, flat, own = np.arange(len(text)), [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    for n in sizes:
+        m = len(text) - n + 1
+        if m < 1:
+            continue
+        inside = np.flatnonzero(at[:m] + n <= end[:m])
+        h = np.full(len(inside), n, np.uint64)
+        for j in range(n):
+            h = (h ^ text[inside + j]) * np.uint64(0x9E3779B97F4A7C15)
+            h ^= h >> np.uint64(29)
+        flat.append(((h >> np.uint64(20)) % np.uint64(buckets)).astype(np.int64))
+        own.append(owner[inside])
+    return np.concatenate(flat), np.concatenate(own)
 
 
 class Vocabulary(dict):
     """Word -> row of arrays that grow with new words; starts anew beyond `most` words, so memory is bounded."""
 
-    def __init__(self, describe, widths: dict[str, tuple[int, type]], most: int = 150_000):
+    def __init__(self, describe, most: int = 200_000):
         super().__init__()
-        self.describe, self.most = describe, most
-        self.rows = {k: np.zeros((1024, w) if w > 1 else 1024, t) for k, (w, t) in widths.items()}
-
-    def __missing__(self, word):
-        at = len(self)
-        for k, v in self.describe(word).items():
-            a = self.rows[k]
-            if at >= len(a):
-                a = self.rows[k] = np.concatenate([a, np.zeros_like(a)])
-            a[at] = v
-        self[word] = at
-        return at
+        self.describe, self.most, self.rows = describe, most, {}
 
     def ids(self, words: list[bytes]) -> np.ndarray:
         """Rows of the words; the arrays in .rows hold them until the next call."""
         if len(self) > self.most:
             self.clear()
+        new = [w for w in set(words) if w not in self]
+        if new:
+            first, last = len(self), len(self) + len(new)
+            for k, v in self.describe(new).items():
+                a = self.rows.get(k)
+                if a is None or last > len(a):
+                    grown = np.empty((max(2 * last, 4096), *v.shape[1:]), v.dtype)
+                    if first:
+                        grown[:first] = a[:first]
+                    a = self.rows[k] = grown
+                a[first:last] = v
+            self.update(zip(new, range(first, last)))
         return np.fromiter(map(self.__getitem__, words), np.int64, len(words))

@@ -19,12 +19,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .features import Vocabulary, bucket, char_grams, held_out, training_rows
+from .features import Vocabulary, gram_buckets, held_out, training_rows, word_buckets
 
-#: Labelled rows of either class used for training at most.
-PER_CLASS = 2500
-BUCKETS, DIM, EPOCHS, BATCH, RATE, SEED = 1 << 17, 10, 6, 32, 0.25, 5
+#: Labelled rows of class 0 and 1 used for training at most.
+MOST = (1500, 1500)
+BUCKETS, DIM, EPOCHS, BATCH, RATE, SEED = 1 << 17, 10, 4, 32, 0.25, 5
 THRESHOLD = 0.7
+GRAMS = (3, 4)
 #: Features a worker gathers before it adds them up.
 CHUNK_WORDS = 200_000
 _WORKER: dict = {}
@@ -36,8 +37,10 @@ class Model:
     bias: float
 
 
-def _pieces(word: bytes) -> list[int]:
-    return [bucket(word, BUCKETS, 1), *(bucket(g, BUCKETS, 2) for g in char_grams(word))]
+def _pieces(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of words and of their character n-grams, and which word each is of."""
+    flat, own = gram_buckets(words, GRAMS, BUCKETS)
+    return np.concatenate([word_buckets(words, BUCKETS, 1), flat]), np.concatenate([np.arange(len(words)), own])
 
 
 def _pairs(h: np.ndarray) -> np.ndarray:
@@ -47,16 +50,16 @@ def _pairs(h: np.ndarray) -> np.ndarray:
     return np.where(a == b, 0, (mixed >> np.uint64(40)) % np.uint64(BUCKETS)).astype(np.int64)
 
 
-def _features(text: str, cache: dict) -> tuple[np.ndarray, np.ndarray]:
+def _features(text: str) -> tuple[np.ndarray, np.ndarray]:
     """Distinct buckets of a text and their shares of all its features."""
     words = text.encode(errors="replace").split()
     if not words:
         return np.zeros(0, np.int64), np.zeros(0, np.float32)
-    for w in words:
-        if w not in cache:
-            cache[w] = (np.array(_pieces(w)), bucket(w, 1 << 32, 3))
-    pairs = _pairs(np.array([cache[w][1] for w in words]))
-    ids, n = np.unique(np.concatenate([*(cache[w][0] for w in words), pairs]), return_counts=True)
+    distinct, at, times = np.unique(np.array(words, object), return_inverse=True, return_counts=True)
+    flat, own = _pieces(list(distinct))
+    pairs = _pairs(word_buckets(list(distinct), 1 << 32, 3)[at])
+    ids, back = np.unique(np.concatenate([flat, pairs]), return_inverse=True)
+    n = np.bincount(back, np.concatenate([times[own], np.ones(len(pairs))]))
     return ids, (n / n.sum()).astype(np.float32)
 
 
@@ -65,8 +68,8 @@ def fit(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = SEED) ->
     share = float(y.mean()) if len(y) else 0.5
     if not 0 < share < 1:
         return Model(np.zeros(BUCKETS, np.float32), float(np.log(max(share, 1e-3) / max(1 - share, 1e-3))))
-    rng, cache = np.random.default_rng(seed), {}
-    docs = [_features(t, cache) for t, _ in rows]
+    rng = np.random.default_rng(seed)
+    docs = [_features(t) for t, _ in rows]
     vectors = rng.uniform(-1 / DIM, 1 / DIM, (BUCKETS, DIM)).astype(np.float32)
     seen = np.full(BUCKETS, 1e-6, np.float32)
     out, bias = rng.normal(0, 0.1, (2, DIM)).astype(np.float32), np.zeros(2, np.float32)
@@ -95,11 +98,11 @@ def fit(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = SEED) ->
 
 
 def _vocabulary(weights: np.ndarray) -> Vocabulary:
-    def describe(word: bytes) -> dict:
-        pieces = _pieces(word)
-        return {"sum": float(weights[pieces].sum()), "n": len(pieces), "h": bucket(word, 1 << 32, 3)}
+    def describe(words: list[bytes]) -> dict:
+        flat, own = _pieces(words)
+        return {"sum": np.bincount(own, weights[flat], len(words)), "n": np.bincount(own, minlength=len(words)).astype(np.float64), "h": word_buckets(words, 1 << 32, 3)}
 
-    return Vocabulary(describe, {"sum": (1, np.float64), "n": (1, np.float64), "h": (1, np.int64)})
+    return Vocabulary(describe)
 
 
 def score_texts(texts: list, model: Model, vocabulary: Vocabulary | None = None) -> np.ndarray:
@@ -111,6 +114,10 @@ def score_texts(texts: list, model: Model, vocabulary: Vocabulary | None = None)
     def flush(stop: int) -> None:
         nonlocal words, ends, begin
         ids = vocab.ids(words)
+        if not words:
+            scores[begin:stop] = 1 / (1 + np.exp(-np.clip(model.bias, -30, 30)))
+            ends, begin = [], stop
+            return
         h = vocab.rows["h"][ids]
         total = np.concatenate([[0.0], np.cumsum(vocab.rows["sum"][ids])])
         count = np.concatenate([[0.0], np.cumsum(vocab.rows["n"][ids])])
@@ -135,8 +142,8 @@ def score_texts(texts: list, model: Model, vocabulary: Vocabulary | None = None)
     return scores
 
 
-def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Model:
-    return fit(training_rows(docs, labels, "quality", per_class))
+def train(docs: DataFrame, labels: DataFrame, most: tuple[int, int] = MOST) -> Model:
+    return fit(training_rows(docs, labels, "quality", most))
 
 
 def _scorer(model: Model, cols: list[str], key: str):

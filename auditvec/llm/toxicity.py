@@ -23,15 +23,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .features import Vocabulary, bucket, char_grams, held_out, training_rows
+from .features import Vocabulary, gram_buckets, held_out, training_rows, word_buckets
 
-PER_CLASS = 1200
-WINDOW, STRIDE = 32, 16
+#: Labelled rows of class 0 and 1 used for training at most.
+MOST = (3000, 1000)
+WINDOW, STRIDE = 32, 24
 WORD_BUCKETS, GRAM_BUCKETS, HIDDEN, WIDTH, ATTEND = 1 << 14, 1 << 14, 8, 8, 8
-EPOCHS, BATCH, RATE, SEED, CLEAN_PER_TOXIC = 8, 128, 0.01, 3, 3
+EPOCHS, BATCH, RATE, SEED, CLEAN_PER_TOXIC, CLEAN_RATED = 6, 128, 0.01, 3, 3, 6
 THRESHOLD = 0.3
+GRAMS = (3, 4, 5)
 #: Windows that step together when scoring.
-TOGETHER = 2048
+TOGETHER = 512
 _EDGE = b".,;:!?\"'()[]{}<>*#%&$|-_/\\"
 _WORKER: dict = {}
 
@@ -40,14 +42,17 @@ def _words(text) -> list[bytes]:
     return (text or "").encode(errors="replace").lower().split()
 
 
-def _pieces(word: bytes) -> tuple[int, np.ndarray]:
-    bare = word.strip(_EDGE) or word
-    grams = [bucket(g, GRAM_BUCKETS, 12) for g in char_grams(bare, (2, 3, 4, 5))] or [0]
-    return bucket(bare, WORD_BUCKETS, 11), np.array(grams)
+def _pieces(words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Each word's bucket; buckets of all character n-grams, and which word each is of."""
+    bare = [w.strip(_EDGE) or w for w in words]
+    return word_buckets(bare, WORD_BUCKETS, 11), *gram_buckets(bare, GRAMS, GRAM_BUCKETS)
 
 
 def _sigmoid(x):
-    return 0.5 * np.tanh(0.5 * x) + 0.5
+    y = np.tanh(0.5 * x)
+    y *= 0.5
+    y += 0.5
+    return y
 
 
 def window_starts(n_words: int) -> np.ndarray:
@@ -65,7 +70,8 @@ def new_parameters(rng) -> dict[str, np.ndarray]:
 
 
 def _steps(px: np.ndarray, there: np.ndarray, p: dict, keep: bool):
-    """px: (2, T, B, 3H) input products, direction 1 reversed in time; there: (2, T, B, 1). States (2, T, B, H)."""
+    """px: (2, T, B, 3H) input products, direction 1 reversed in time; there: (2, T, B, 1) or None if
+    no window has ended. States (2, T, B, H)."""
     two, t_max, b, _ = px.shape
     h, states, saved = np.zeros((two, b, HIDDEN), np.float32), np.empty((two, t_max, b, HIDDEN), np.float32), []
     for t in range(t_max):
@@ -76,7 +82,7 @@ def _steps(px: np.ndarray, there: np.ndarray, p: dict, keep: bool):
         new = n + z * (h - n)
         if keep:
             saved.append((h, z, r, n, hw[..., 2 * HIDDEN :]))
-        h = h + there[:, t] * (new - h)
+        h = new if there is None else h + there[:, t] * (new - h)
         states[:, t] = h
     return states, saved
 
@@ -96,16 +102,16 @@ class Words:
     """Training texts' distinct words with their hashed pieces."""
 
     def __init__(self):
-        self.at, self.word, self.grams = {}, [], []
+        self.at: dict[bytes, int] = {}
 
     def ids(self, words: list[bytes]) -> np.ndarray:
-        for w in words:
-            if w not in self.at:
-                self.at[w] = len(self.word)
-                i, g = _pieces(w)
-                self.word.append(i)
-                self.grams.append(g)
-        return np.array([self.at[w] for w in words], np.int64)
+        return np.array([self.at.setdefault(w, len(self.at)) for w in words], np.int64)
+
+    def close(self) -> None:
+        self.word, flat, own = _pieces(list(self.at))
+        flat = flat[np.argsort(own, kind="stable")]
+        n = np.bincount(own, minlength=len(self.at))
+        self.grams = np.split(flat, np.cumsum(n)[:-1])
 
 
 def _inputs(ids: np.ndarray, words: Words, p: dict):
@@ -113,7 +119,7 @@ def _inputs(ids: np.ndarray, words: Words, p: dict):
     n = np.array([len(g) for g in grams])
     flat = np.concatenate(grams)
     means = np.add.reduceat(p["gram"][flat], np.concatenate([[0], np.cumsum(n)[:-1]])) / n[:, None]
-    where = np.array([words.word[i] for i in ids])
+    where = words.word[ids]
     return np.concatenate([p["word"][where], means], 1).astype(np.float32), where, flat, n
 
 
@@ -174,7 +180,7 @@ def _first_guess(windows: list[np.ndarray], y: np.ndarray, words: Words) -> np.n
     for win, label in zip(windows, y):
         ids = np.unique(win[win >= 0])
         if len(ids):
-            pieces = np.unique(np.concatenate([np.array([words.word[i] for i in ids]), *[words.grams[i] + WORD_BUCKETS for i in ids]]))
+            pieces = np.unique(np.concatenate([words.word[ids], *[words.grams[i] + WORD_BUCKETS for i in ids]]))
             share[label, pieces] += 1
     total = np.bincount(y, minlength=2)[:, None]
     odds = np.log((share[1] + 0.5) / (total[1] + 1)) - np.log((share[0] + 0.5) / (total[0] + 1))
@@ -192,6 +198,7 @@ def fit(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = SEED) ->
         ids = words.ids(_words(text))
         padded = np.concatenate([ids, np.full(WINDOW + STRIDE, -1)])
         windows.append(padded[window_starts(len(ids))[:, None] + np.arange(WINDOW)])
+    words.close()
     of = np.repeat(np.arange(len(rows)), [len(w) for w in windows])
     win = np.concatenate(windows)
     full = (win >= 0).any(1)
@@ -201,9 +208,9 @@ def fit(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = SEED) ->
     score = np.where(win >= 0, guess[win], -9).max(1)
     p = new_parameters(rng)
     m, v, step = {k: np.zeros_like(a) for k, a in p.items()}, {k: np.zeros_like(a) for k, a in p.items()}, 0
-    toxic = y[of] == 1
+    toxic, rated, n_windows = y[of] == 1, np.arange(len(win)), np.repeat([len(w) for w in windows], [len(w) for w in windows])
     for epoch in range(epochs):
-        order = np.lexsort((-score, of))
+        order = rated[np.lexsort((-score[rated], of[rated]))]
         worst = order[np.concatenate([[True], of[order][1:] != of[order][:-1]])]
         clean = np.flatnonzero(~toxic & full)
         pos = worst[toxic[worst] & full[worst]]
@@ -221,18 +228,22 @@ def fit(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = SEED) ->
                 m[k] += 0.1 * (g - m[k])
                 v[k] += 0.001 * (g * g - v[k])
                 p[k] -= (rate * m[k] / (np.sqrt(v[k]) + 1e-6)).astype(np.float32)
-        if epoch + 1 < epochs:
-            score = np.concatenate([_forward(win[i : i + TOGETHER], words, p)[0] for i in range(0, len(win), TOGETHER)])
+        if epoch + 1 < epochs:  # all windows of toxic texts are rated again, and some of each clean text
+            rated = np.flatnonzero(toxic | (rng.random(len(win)) < CLEAN_RATED / n_windows))
+            for i in range(0, len(rated), 2048):
+                score[rated[i : i + 2048]] = _forward(win[rated[i : i + 2048]], words, p)[0]
     return p
 
 
 def _vocabulary(p: dict) -> Vocabulary:
-    def describe(word: bytes) -> dict:
-        w, grams = _pieces(word)
-        x = np.concatenate([p["word"][w], p["gram"][grams].mean(0)])
-        return {"x": np.concatenate([x @ p["wx"][0] + p["bx"][0], x @ p["wx"][1] + p["bx"][1]])}
+    def describe(words: list[bytes]) -> dict:
+        where, flat, own = _pieces(words)
+        n = np.bincount(own, minlength=len(words))
+        means = np.stack([np.bincount(own, p["gram"][flat, d], len(words)) for d in range(WIDTH)], 1) / n[:, None]
+        x = np.concatenate([p["word"][where], means], 1).astype(np.float32)
+        return {"there": x @ p["wx"][0] + p["bx"][0], "back": x @ p["wx"][1] + p["bx"][1]}
 
-    return Vocabulary(describe, {"x": (6 * HIDDEN, np.float32)})
+    return Vocabulary(describe)
 
 
 def _score_windows(ids: np.ndarray, starts: np.ndarray, ends: np.ndarray, vocab: Vocabulary, p: dict) -> np.ndarray:
@@ -240,9 +251,12 @@ def _score_windows(ids: np.ndarray, starts: np.ndarray, ends: np.ndarray, vocab:
     for at in range(0, len(starts), TOGETHER):
         pos = starts[at : at + TOGETHER] + np.arange(WINDOW)[:, None]
         there = pos < ends[at : at + TOGETHER]
-        x = vocab.rows["x"][ids[np.minimum(pos, len(ids) - 1)]] if len(ids) else np.zeros((*pos.shape, 6 * HIDDEN), np.float32)
-        px = np.stack([x[..., : 3 * HIDDEN], x[::-1, :, 3 * HIDDEN :]])
-        mask = np.stack([there, there[::-1]])[..., None].astype(np.float32)
+        px = np.zeros((2, *pos.shape, 3 * HIDDEN), np.float32)
+        if len(ids):
+            rows = ids[np.minimum(pos, len(ids) - 1)]
+            np.take(vocab.rows["there"], rows, 0, out=px[0])
+            np.take(vocab.rows["back"], rows[::-1], 0, out=px[1])
+        mask = None if there.all() else np.stack([there, there[::-1]])[..., None].astype(np.float32)
         states, _ = _steps(px, mask, p, False)
         out[at : at + TOGETHER] = _sigmoid(_pool(states, there, p)[-1])
     return out
@@ -274,8 +288,8 @@ def score_texts(texts: list, p: dict, vocabulary: Vocabulary | None = None, toge
     return scores
 
 
-def train(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> dict[str, np.ndarray]:
-    return fit(training_rows(docs, labels, "toxic", per_class))
+def train(docs: DataFrame, labels: DataFrame, most: tuple[int, int] = MOST) -> dict[str, np.ndarray]:
+    return fit(training_rows(docs, labels, "toxic", most))
 
 
 def _scorer(p: dict, key: str):
