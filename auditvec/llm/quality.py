@@ -23,7 +23,7 @@ from .features import Vocabulary, gram_buckets, held_out, training_rows, word_bu
 
 #: Labelled rows of class 0 and 1 used for training at most.
 MOST = (1500, 1500)
-BUCKETS, DIM, EPOCHS, BATCH, RATE, SEED = 1 << 17, 10, 4, 32, 0.25, 5
+BUCKETS, DIM, STEPS, BATCH, RATE, SEED = 1 << 17, 10, 360, 32, 0.25, 5
 THRESHOLD = 0.7
 GRAMS = (3, 4)
 #: Features a worker gathers before it adds them up.
@@ -63,7 +63,8 @@ def _features(text: str) -> tuple[np.ndarray, np.ndarray]:
     return ids, (n / n.sum()).astype(np.float32)
 
 
-def fit(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = SEED) -> Model:
+def fit(rows: list[tuple[str, int]], steps: int = STEPS, seed: int = SEED) -> Model:
+    epochs = max(2, -(-steps * BATCH // max(1, len(rows))))
     y = np.array([r[1] for r in rows], np.float32)
     share = float(y.mean()) if len(y) else 0.5
     if not 0 < share < 1:

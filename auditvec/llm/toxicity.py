@@ -29,7 +29,7 @@ from .features import Vocabulary, gram_buckets, held_out, training_rows, word_bu
 MOST = (3000, 1000)
 WINDOW, STRIDE = 32, 24
 WORD_BUCKETS, GRAM_BUCKETS, HIDDEN, WIDTH, ATTEND = 1 << 14, 1 << 14, 8, 8, 8
-EPOCHS, BATCH, RATE, SEED, CLEAN_PER_TOXIC, CLEAN_RATED = 6, 128, 0.01, 3, 3, 6
+STEPS, BATCH, RATE, SEED, CLEAN_PER_TOXIC, CLEAN_RATED = 240, 128, 0.01, 3, 3, 6
 THRESHOLD = 0.3
 GRAMS = (3, 4, 5)
 #: Windows that step together when scoring.
@@ -63,7 +63,7 @@ def window_starts(n_words: int) -> np.ndarray:
 def new_parameters(rng) -> dict[str, np.ndarray]:
     g = lambda *s: (rng.normal(0, 1, s) / np.sqrt(s[-2] if len(s) > 1 else 1)).astype(np.float32)
     return {
-        "word": g(WORD_BUCKETS, WIDTH) * 0.1 * np.sqrt(WORD_BUCKETS).astype(np.float32), "gram": g(GRAM_BUCKETS, WIDTH) * 0.3 * np.sqrt(GRAM_BUCKETS).astype(np.float32),
+        "word": g(WORD_BUCKETS, WIDTH) * 0.05 * np.sqrt(WORD_BUCKETS).astype(np.float32), "gram": g(GRAM_BUCKETS, WIDTH) * 0.05 * np.sqrt(GRAM_BUCKETS).astype(np.float32),
         "wx": g(2, 2 * WIDTH, 3 * HIDDEN), "bx": np.zeros((2, 3 * HIDDEN), np.float32), "wh": g(2, HIDDEN, 3 * HIDDEN),
         "wa": g(2 * HIDDEN, ATTEND), "va": g(ATTEND, 1), "wo": g(2 * HIDDEN, 1), "bo": np.zeros(1, np.float32),
     }
@@ -188,9 +188,10 @@ def _first_guess(windows: list[np.ndarray], y: np.ndarray, words: Words) -> np.n
     return np.array([max(odds[words.word[i]], odds[words.grams[i] + WORD_BUCKETS].max()) for i in range(len(words.word))])
 
 
-def fit(rows: list[tuple[str, int]], epochs: int = EPOCHS, seed: int = SEED) -> dict[str, np.ndarray]:
-    """Parameters; with one class only, {'constant': its share}."""
+def fit(rows: list[tuple[str, int]], steps: int = STEPS, seed: int = SEED) -> dict[str, np.ndarray]:
+    """Parameters after about `steps` steps; with one class only, {'constant': its share}."""
     y = np.array([r[1] for r in rows], np.int64)
+    epochs = min(16, max(4, -(-steps * BATCH // max(1, (2 + CLEAN_PER_TOXIC) * int(y.sum())))))
     if not 0 < y.sum() < len(y):
         return {"constant": np.array([float(y.mean()) if len(y) else 0.0])}
     rng, words, windows = np.random.default_rng(seed), Words(), []
