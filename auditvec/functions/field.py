@@ -14,61 +14,49 @@ P = (1 << 61) - 1
 T_CMP = 60
 
 
-def _shr(x: Column, n: int) -> Column:
-    return F.shiftright(x, n)
+def let(x: Column, f) -> Column:
+    """f of x, with x computed once however often f names it."""
+    return F.get(F.transform(F.array(x), f), F.lit(0))
 
 
-def _low(x: Column, n: int) -> Column:
-    return x.bitwiseAND(F.lit((1 << n) - 1))
-
-
-def _once(x: Column) -> Column:
-    """Fold bits from 61 upward back to weight 1, then subtract p once if need be."""
-    y = _low(x, 61) + _shr(x, 61)
-    return F.when(y >= P, y - P).otherwise(y)
+def _mod(x: Column) -> Column:
+    return F.pmod(x, F.lit(P))
 
 
 def to_field(x: Column) -> Column:
-    return F.pmod(x.cast("long"), F.lit(P))
+    return _mod(x.cast("long"))
 
 
 def add(x: Column, y: Column) -> Column:
-    return _once(x + y)
+    return _mod(x + y)
 
 
 def sub(x: Column, y: Column) -> Column:
-    return _once(x + (F.lit(P) - y))
+    return _mod(x + (F.lit(P) - y))
 
 
 def mul(x: Column, y: Column) -> Column:
-    xh, xl, yh, yl = _shr(x, 31), _low(x, 31), _shr(y, 31), _low(y, 31)
+    """The product of reduced operands. 2^62 is 2 modulo p, and bit 61 wraps to weight 1."""
+    low = lambda v, n: v.bitwiseAND(F.lit((1 << n) - 1))
+    xh, xl, yh, yl = F.shiftright(x, 31), low(x, 31), F.shiftright(y, 31), low(y, 31)
     mixed = xh * yl + xl * yh
-    low = xl * yl
-    low = _low(low, 61) + _shr(low, 61)
-    high = xh * yh * 2  # 2^62 is 2 modulo p
-    high = _low(high, 61) + _shr(high, 61)
-    return _once(_once(high + _shr(mixed, 30)) + _once(F.shiftleft(_low(mixed, 30), 31) + low))
+    upper = _mod(xh * yh * 2 + F.shiftright(mixed, 30))
+    lower = _mod(F.shiftleft(low(mixed, 30), 31) + _mod(xl * yl))
+    return _mod(upper + lower)
 
 
 def power(x: Column, n: int) -> Column:
-    """x to a public exponent by squaring; the chain is unrolled, so keep it to small exponents or single rows."""
-    out = None
-    while n:
-        if n & 1:
-            out = x if out is None else mul(out, x)
-        n >>= 1
-        if n:
-            x = mul(x, x)
-    return F.lit(1).cast("long") if out is None else out
+    """x to a public exponent, by squaring along its bits."""
+    bits = F.array(*[F.lit(b == "1") for b in bin(n)[2:]])
+    return F.aggregate(bits, F.lit(1).cast("long"), lambda s, b: let(mul(s, s), lambda q: F.when(b, mul(q, x)).otherwise(q)))
 
 
 def compress(cols: list[Column], beta: int) -> Column:
     """A tuple as one element: Horner's rule at beta, first entry lowest. 2L - 2 gates."""
     b = F.lit(beta).cast("long")
-    out = cols[-1]
-    for c in reversed(cols[:-1]):
-        out = add(mul(out, b), c)
-    return out
+    if len(cols) == 1:
+        return cols[0]
+    return F.aggregate(F.array(*reversed(cols[:-1])), cols[-1], lambda s, c: _mod(mul(s, b) + c))
 
 
 def inverse(x: int) -> int:

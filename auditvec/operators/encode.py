@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.field import let
 from ..functions.field import to_field as field_of
 from ..functions.vectors import largest, norm
 
@@ -32,8 +33,7 @@ def decode_fixed(v: Column, v_max: float, bits: int = 16) -> Column:
 
 def l2_normalize(df: DataFrame, col: str = "embedding", drop_zero: bool = True) -> DataFrame:
     """Unit vectors; rows without direction are dropped, or kept with a null vector."""
-    n = norm(F.col(col))
-    out = df.withColumn(col, F.when(n > 0, F.transform(F.col(col), lambda x: x.cast("double") / n)))
+    out = df.withColumn(col, let(norm(F.col(col)), lambda n: F.when(n > 0, F.transform(F.col(col), lambda x: x.cast("double") / n))))
     return out.filter(F.col(col).isNotNull()) if drop_zero else out
 
 

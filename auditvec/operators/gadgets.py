@@ -8,7 +8,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..functions.field import P, T_CMP, compress, product_by, sub
+from ..functions.field import P, T_CMP, compress, mul, power, product_by, sub, to_field
+from ..session import written
 
 
 def challenges(public: str, trace_digest: str, repeats: int = 2) -> list[tuple[int, int]]:
@@ -47,18 +48,11 @@ def multiset_unequal_exact(x: DataFrame, y: DataFrame, cols: list[str], keys: tu
 
 def multiset_unequal_additive(x: DataFrame, y: DataFrame, cols: list[str], alpha: int, beta: int, keys: tuple[str, ...] = ("query_id",)) -> DataFrame:
     """The same by sums of inverses: equal tuples are counted first, so inverses are of distinct values only."""
-    from ..functions.field import mul, to_field
-
     c = [F.pmod(F.col(k).cast("long"), F.lit(P)) for k in cols]
     n = x.select(*keys, compress(c, beta).alias("z")).withColumn("s", F.lit(1)).unionByName(y.select(*keys, compress(c, beta).alias("z")).withColumn("s", F.lit(-1)))
     n = n.groupBy(*keys, "z").agg(F.sum("s").alias("s")).filter("s <> 0")
-    # The inverse of each value is its power p - 2, a fixed chain of products in columns.
-    a = sub(F.lit(alpha).cast("long"), F.col("z"))
-    rows = n.select(*keys, "s", a.alias("acc"), a.alias("base"))
-    for bit in bin(P - 2)[3:]:
-        rows = rows.withColumn("acc", mul(F.col("acc"), F.col("acc")))
-        if bit == "1":
-            rows = rows.withColumn("acc", mul(F.col("acc"), F.col("base")))
+    inverse = power(sub(F.lit(alpha).cast("long"), F.col("z")), P - 2)
+    rows = n.select(*keys, "s", inverse.alias("acc"))
     term = mul(to_field(F.col("s")), F.col("acc")).cast("decimal(38,0)")
     return rows.groupBy(*keys).agg(F.sum(term).alias("t")).filter(F.col("t") % P != 0).select(*keys)
 
@@ -72,13 +66,13 @@ def inclusion_witness(selected: DataFrame, table: DataFrame, cols: list[str], be
     """
     k = list(keys)
     z = lambda d: d.select(*k, compress([F.pmod(F.col(c).cast("long"), F.lit(P)) for c in cols], beta).alias("z"))
-    x, t = z(selected), z(table)
+    x, t = written(z(selected), "selected"), written(z(table), "table")
     size = x.groupBy(*k).agg(F.count("*").alias("nx")).join(t.groupBy(*k).agg(F.count("*").alias("nt"), F.min("z").alias("pad")), k, "full")
     extra = lambda have, other: size.filter(F.col(other) > F.coalesce(have, F.lit(0))).select(*k, F.explode(F.array_repeat("pad", (F.col(other) - F.coalesce(have, F.lit(0))).cast("int"))).alias("z"))
-    x, t = x.unionByName(extra(F.col("nx"), "nt")), t.unionByName(extra(F.col("nt"), "nx"))
+    x, t = written(x.unionByName(extra(F.col("nx"), "nt")), "selected"), written(t.unionByName(extra(F.col("nt"), "nx")), "table")
     by = Window.partitionBy(*k).orderBy("z")
     ordered = x.withColumn("i", F.row_number().over(by)).withColumn("prev", F.lag("z").over(by))
-    ordered = ordered.withColumn("first", F.col("prev").isNull() | (F.col("prev") != F.col("z")))
+    ordered = written(ordered.withColumn("first", F.col("prev").isNull() | (F.col("prev") != F.col("z"))), "ordered")
     copies = t.withColumn("c", F.row_number().over(Window.partitionBy(*k, "z").orderBy(F.lit(0))))
     heads = ordered.filter("first").select(*k, "i", "z").join(copies.filter("c = 1").select(*k, F.col("z")), [*k, "z"], "left_semi")
     missing = ordered.filter("first").select(*k, "z").join(t.select(*k, "z").distinct(), [*k, "z"], "left_anti")
