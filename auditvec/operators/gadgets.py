@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import hashlib
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -97,26 +99,38 @@ def not_included_exact(selected: DataFrame, table: DataFrame, cols: list[str], k
     return selected.select(*c).join(table.select(*c), c, "left_anti").select(*keys).distinct()
 
 
-def bubble_pass(pairs: Column) -> Column:
-    """One pass of adjacent compare-and-swap from the far end over an array of (key, companion): the least comes first.
-    Carried in one fold: the running least moves on, the larger of each compared pair stays behind."""
-    start = F.struct(F.element_at(pairs, -1).alias("least"), F.slice(pairs, 1, 0).alias("rest"))
-    step = lambda s, x: F.struct(F.when(x["key"] <= s["least"]["key"], x).otherwise(s["least"]).alias("least"), F.concat(F.array(F.when(x["key"] <= s["least"]["key"], s["least"]).otherwise(x)), s["rest"]).alias("rest"))
-    done = F.aggregate(F.reverse(F.slice(pairs, 1, F.size(pairs) - 1)), start, step)
-    return F.concat(F.array(done["least"]), done["rest"])
+def bubble_pass(keys: np.ndarray) -> np.ndarray:
+    """Order after one pass of adjacent compare-and-swap from the far end: the least comes first (ties: the nearer one),
+    and each comparison leaves its loser one place further."""
+    n = len(keys)
+    least = np.minimum.accumulate(keys[::-1])[::-1]
+    wins = np.concatenate([keys[:-1] <= least[1:], [True]])
+    at = np.minimum.accumulate(np.where(wins, np.arange(n), n)[::-1])[::-1]
+    return np.concatenate([at[:1], np.where(wins[:-1], at[1:], np.arange(n - 1))])
 
 
 def network_prefix(rows: DataFrame, keys: list[str], key: str, companion: Column, passes: int) -> DataFrame:
-    """(keys, prefix): the first `passes` entries after that many passes of the comparison network.
-
-    A pass is one array expression on one query's sequence, as long as the circuit's, so it is for audits of single
-    queries; the number of passes is configuration.
-    """
-    seq = rows.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct(F.col("pos"), F.col(key).alias("key"), companion.alias("mate")))).alias("a"))
-    seq = seq.withColumn("a", F.transform("a", lambda s: F.struct(s["key"].alias("key"), s["mate"].alias("mate")))).withColumn("prefix", F.slice("a", 1, 0))
-    for _ in range(passes):
-        seq = seq.withColumn("b", bubble_pass(F.col("a"))).withColumn("prefix", F.concat("prefix", F.slice("b", 1, 1))).withColumn("a", F.expr("slice(b, 2, greatest(size(b) - 1, 0))")).drop("b")
-    return seq.select(*keys, "prefix")
+    """(keys, prefix): the first `passes` (key, mate) after that many passes of the comparison network over the rows in
+    order of pos. A query's sequence is one array, as long as the circuit's, which the configuration bounds."""
+    seq = rows.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("pos", F.col(key).cast("long").alias("key"), companion.cast("long").alias("mate")))).alias("a"))
+    flat = seq.select(*keys, F.transform("a", lambda s: s["key"]).alias("ks"), F.transform("a", lambda s: s["mate"]).alias("ms"))
+
+    def run(batches):
+        for b in batches:
+            out = []
+            for ks, ms in zip(b.column("ks").to_pylist(), b.column("ms").to_pylist()):
+                k, m, first = np.array(ks, np.int64), np.array(ms, np.int64), []
+                for _ in range(min(passes, len(k))):
+                    order = bubble_pass(k)
+                    k, m = k[order], m[order]
+                    first.append({"key": int(k[0]), "mate": int(m[0])})
+                    k, m = k[1:], m[1:]
+                out.append(first)
+            kind = pa.list_(pa.struct([("key", pa.int64()), ("mate", pa.int64())]))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in keys), pa.array(out, kind)], names=[*keys, "prefix"])
+
+    schema = ", ".join([*(f"{c} {rows.schema[c].dataType.simpleString()}" for c in keys), "prefix array<struct<key:bigint,mate:bigint>>"])
+    return flat.mapInArrow(run, schema)
 
 
 def lookup_scan(table: Column, index: Column) -> Column:
