@@ -694,20 +694,21 @@ def _pow2_sql(e: str) -> str:
 
 
 def _sweep(spark):
-    rows = spark.createDataFrame(SWEEP, "D long, n_list long, printed long, seconds double")
-    return rows.withColumns({"n_probe": F.col("n_list") / 128, "n": F.lit(CAP) / F.col("n_list"), "M": F.lit(8), "K": F.lit(256)}).select(*[F.col(c).cast("long").alias(c) for c in ("D", "n_list", "printed", "n_probe", "n", "M", "K")], "seconds")
+    rows = spark.createDataFrame(SWEEP, "dims long, n_list long, printed long, seconds double")
+    rows = rows.withColumns({"n_probe": F.col("n_list") / 128, "slots": F.lit(CAP) / F.col("n_list"), "blocks": F.lit(8), "codes": F.lit(256)})
+    return rows.select(*[F.col(c).cast("long").alias(c) for c in ("dims", "n_list", "printed", "n_probe", "slots", "blocks", "codes")], "seconds")
 
 
 @query(f"""WITH {SWEEP_SQL}, c AS (SELECT d, n_list, printed, n_list // 128 AS n_probe, {CAP} // n_list AS n, 8 AS m, 256 AS k FROM sw),
 g AS (SELECT d, n_list, printed, round({MODEL})::BIGINT AS gates FROM c)
 SELECT d::BIGINT AS D, n_list::BIGINT AS n_list, printed::BIGINT AS printed, gates, {_pow2_sql('gates')} AS bin, {_pow2_sql('printed')} AS printed_bin FROM g""")
 def list_sweep(spark, sf_dir):
-    return cost.with_costs(_sweep(spark)).select("D", "n_list", "printed", "gates", "bin", cost.padded_bin(F.col("printed")).alias("printed_bin"))
+    return cost.with_costs(_sweep(spark)).select(F.col("dims").alias("D"), "n_list", "printed", "gates", "bin", cost.padded_bin(F.col("printed")).alias("printed_bin"))
 
 
 @query(f"WITH {SWEEP_SQL} SELECT d::BIGINT AS D, round(regr_slope(printed, n_list), 3) AS slope, round(corr(printed, n_list), 6) AS r FROM sw GROUP BY d")
 def sweep_linear_fit(spark, sf_dir):
-    return cost.fit_linear(_sweep(spark), "n_list", "printed", ("D",)).select("D", F.round("slope", 3).alias("slope"), "r")
+    return cost.fit_linear(_sweep(spark), "n_list", "printed", ("dims",)).select(F.col("dims").alias("D"), F.round("slope", 3).alias("slope"), "r")
 
 
 @query(f"WITH {SWEEP_SQL}, b AS (SELECT seconds, {_pow2_sql('printed')} AS g FROM sw) SELECT round(regr_slope(seconds, g * log2(g)) * 1e6, 4) AS alpha_us, round(regr_intercept(seconds, g * log2(g)), 4) AS beta, round(corr(seconds, g * log2(g)), 5) AS r FROM b")
@@ -721,12 +722,13 @@ gg AS (SELECT d, n_list, k, round({MODEL})::BIGINT AS gates FROM gr), gb AS (SEL
 
 
 def _grid(spark):
-    return tune.grid(spark, CAP, 64, 128, 128, 1024).unionByName(tune.grid(spark, CAP, 64, 128, 960, 1024))
+    both = tune.grid(spark, CAP, 64, 128, 128, 1024).unionByName(tune.grid(spark, CAP, 64, 128, 960, 1024))
+    return both.select(F.col("dims").alias("D"), "n_list", F.col("codes").alias("K"), "gates", "bin")
 
 
 @query(f"WITH {GRID_SQL} SELECT d::BIGINT AS D, n_list::BIGINT AS n_list, k::BIGINT AS K, gates, bin FROM gb")
 def k_grid(spark, sf_dir):
-    return _grid(spark).select("D", "n_list", "K", "gates", "bin")
+    return _grid(spark)
 
 
 @query(f"WITH {GRID_SQL} SELECT d::BIGINT AS D, bin, n_list::BIGINT AS n_list, k::BIGINT AS K FROM (SELECT *, row_number() OVER (PARTITION BY d ORDER BY bin, n_list DESC, k DESC) AS r FROM gb) WHERE r = 1")
@@ -738,12 +740,12 @@ def tuner_choice(spark, sf_dir):
 
 @query(f"WITH {GRID_SQL} SELECT bin, n_list::BIGINT AS n_list, k::BIGINT AS K FROM (SELECT *, row_number() OVER (ORDER BY bin, n_list DESC, k DESC) AS r FROM gb WHERE d = 960) WHERE r = 1")
 def grid_choice(spark, sf_dir):
-    return tune.grid_config(tune.grid(spark, CAP, 64, 128, 960, 1024))
+    return tune.grid_config(tune.grid(spark, CAP, 64, 128, 960, 1024)).withColumnRenamed("codes", "K")
 
 
 @query(f"WITH {GRID_SQL} SELECT bin, n_list::BIGINT AS n_list, k::BIGINT AS K FROM gb WHERE d = 960 ORDER BY n_list DESC, k DESC LIMIT 1")
 def high_acc_choice(spark, sf_dir):
-    return tune.high_acc_config(tune.grid(spark, CAP, 64, 128, 960, 1024))
+    return tune.high_acc_config(tune.grid(spark, CAP, 64, 128, 960, 1024)).withColumnRenamed("codes", "K")
 
 
 @query(f"""WITH {GRID_SQL}, s AS (SELECT n_list, k, sign(gates - lag(gates) OVER (PARTITION BY n_list ORDER BY k)) AS s FROM gb WHERE d = 960),

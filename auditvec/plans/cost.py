@@ -67,8 +67,12 @@ def prove_seconds(g, alpha: float = TIME[0], beta: float = TIME[1]):
     return alpha * g * log2_of(g) + beta
 
 
+#: Column names of a table of configurations; upper and lower case would clash in one.
+COLUMNS = {"n_list": "n_list", "D": "dims", "n_probe": "n_probe", "n": "slots", "M": "blocks", "K": "codes", "k": "k"}
+
+
 def columns(df: DataFrame) -> dict:
-    return {n: F.col(n).cast("long") for n in ("n_list", "D", "n_probe", "n", "M", "K", "k") if n in df.columns}
+    return {key: F.col(name).cast("long") for key, name in COLUMNS.items() if name in df.columns}
 
 
 def with_costs(configs: DataFrame) -> DataFrame:

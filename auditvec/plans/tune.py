@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .cost import gate_rows, padded_bin
+from .cost import gate_rows, padded_bin, with_costs
 
 
 def feasible_codebooks(bits: int, cap: int = 256) -> list[int]:
@@ -43,22 +43,20 @@ def grid(spark, capacity: int, bits: int, ratio_inverse: int, dims: int, max_lis
         lists.append(n)
         n *= 2
     rows = [tuple(derive(capacity, bits, ratio_inverse, n, c, dims).values()) for n in lists for c in feasible_codebooks(bits)]
-    from .cost import with_costs
-
-    return with_costs(spark.createDataFrame(rows, "n_list long, D long, n_probe long, n long, M long, K long, k long"))
+    return with_costs(spark.createDataFrame(rows, "n_list long, dims long, n_probe long, slots long, blocks long, codes long, k long"))
 
 
 def grid_config(layouts: DataFrame) -> DataFrame:
     """The least bin; in it the most lists, then the largest codebook."""
-    w = Window.orderBy("bin", F.desc("n_list"), F.desc("K"))
-    return layouts.withColumn("r", F.row_number().over(w)).filter("r = 1").select("bin", "n_list", "K")
+    w = Window.orderBy("bin", F.desc("n_list"), F.desc("codes"))
+    return layouts.withColumn("r", F.row_number().over(w)).filter("r = 1").select("bin", "n_list", "codes")
 
 
 def high_acc_config(layouts: DataFrame) -> DataFrame:
-    return layouts.orderBy(F.desc("n_list"), F.desc("K")).limit(1).select("bin", "n_list", "K")
+    return layouts.orderBy(F.desc("n_list"), F.desc("codes")).limit(1).select("bin", "n_list", "codes")
 
 
-def unimodal(layouts: DataFrame, x: str = "K", y: str = "gates", by: str = "n_list") -> DataFrame:
+def unimodal(layouts: DataFrame, x: str = "codes", y: str = "gates", by: str = "n_list") -> DataFrame:
     """(by, turns, unimodal): whether y falls and then rises along x."""
     w = Window.partitionBy(by).orderBy(x)
     step = layouts.withColumn("d", F.signum(F.col(y) - F.lag(y).over(w)))
