@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from .shared import small, staged
 
 #: Lines under the rolling hash; one line in CUT ends a chunk on average; words that make a line long.
-ROLL, CUT, LONG_WORDS = 2, 4, 50
+ROLL, CUT, LONG_WORDS = 2, 3, 50
 CHUNK = "row binary, doc_id long, line int, n_lines int, hash binary"
 
 
@@ -32,7 +32,7 @@ def chunks(text: str, roll: int = ROLL, cut: int = CUT, long_words: int = LONG_W
     out, begin, mask = [], 0, (1 << 64) - 1
     for i in range(len(lines)):
         rolled = 0
-        for j in range(max(begin, i - roll + 1), i + 1):
+        for j in range(max(0, i - roll + 1), i + 1):
             rolled = (rolled * 0x9E3779B97F4A7C15 + hashes[j]) & mask
         last = i + 1 == len(lines)
         if last or long[i] or long[i + 1] or (rolled >> 32) % cut == 0:
