@@ -1,4 +1,4 @@
-"""Connected components by least labels with pointer jumping, on written tables."""
+"""Connected components by hooking and contraction, on written tables."""
 
 from __future__ import annotations
 
@@ -11,16 +11,23 @@ from .shared import staged
 def connected_components(edges: DataFrame) -> DataFrame:
     """edges (a, b) -> (node, label) for every node of an edge; label is the least node of its component.
 
-    A round takes the least label around each node and then that label's own label, so paths shorten geometrically.
-    Every round is written to the shared folder; only the number of changed labels comes to the driver.
+    In a round every label hooks to its least neighbour, hooks are followed once more, and the edges between labels
+    that are still apart are all that the next round reads: they shrink geometrically. When none is left, neighbours
+    share labels, and the least node of a component, which never hooks, gives it its own.
     """
-    both = staged(edges.select("a", "b").union(edges.select("b", "a")).filter("a <> b").distinct(), "links")
-    labels = staged(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("label")), "labels")
-    while True:
-        around = both.join(labels.select(F.col("node").alias("b"), "label"), "b").groupBy(F.col("a").alias("node")).agg(F.min("label").alias("m"))
-        near = labels.join(around, "node").select("node", F.least("label", "m").alias("to"), F.col("label").alias("old"))
-        jump = labels.select(F.col("node").alias("to"), F.col("label").alias("next"))
-        moved = staged(near.join(jump, "to", "left").select("node", F.least("to", "next").alias("label"), (F.least("to", "next") < F.col("old")).alias("changed")), "labels")
-        labels = moved.select("node", "label")
-        if moved.filter("changed").isEmpty():
-            return labels
+    left = staged(edges.select("a", "b").union(edges.select("b", "a")).filter("a <> b").distinct(), "links")
+    labels = None
+    while not left.isEmpty():
+        hook = left.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("to"))
+        hook = staged(hook, "hooks")
+        up = hook.select(F.col("node").alias("to"), F.col("to").alias("next"))
+        hook = staged(hook.join(up, "to").select("node", F.col("next").alias("to")), "hooks")
+        if labels is None:
+            labels = hook.select("node", F.col("to").alias("label"))
+        else:
+            moved = labels.join(hook.select(F.col("node").alias("label"), "to"), "label", "left")
+            labels = staged(moved.select("node", F.coalesce("to", "label").alias("label")), "labels")
+        side = lambda c: hook.select(F.col("node").alias(c), F.col("to").alias(f"{c}_to"))
+        left = left.join(side("a"), "a").join(side("b"), "b").filter("a_to <> b_to")
+        left = staged(left.select(F.col("a_to").alias("a"), F.col("b_to").alias("b")).distinct(), "links")
+    return edges.select(F.col("a").alias("node"), F.col("a").alias("label")).limit(0) if labels is None else labels

@@ -2,15 +2,16 @@
 
 A document is its set of word shingles; documents with equal sets form a class. Each of TREES trees orders the
 classes by a signature of DEPTH min-hashes; a run of neighbours with a common prefix of at least SHALLOW of them
-holds candidates. Candidates are taken in two rounds:
+holds candidates. Candidates are taken in three rounds, each only between components that are still apart:
 
-1. Every class is paired with the least class seen so far in its run, over all trees, and keeps the pair that most
-   trees agree on. Confirmed pairs join most members of every group, with one pair a class.
-2. Where a run still holds several components, all pairs across components are candidates. A region where many
-   components remain goes deeper, level by level, until few share the prefix or the signature ends; nothing is capped.
+1. of every class, the neighbours in the trees' orders with the longest common prefixes, summed over the trees, so
+   the depth that counts adapts to how crowded a region is;
+2. all other neighbours;
+3. of runs with at most FEW pairs across components, all of those; of the classes of more crowded runs, the pairs that
+   an exact prefix filter finds. Nothing is capped.
 
 Each pair is confirmed on the full sets. Two sets with similarity 0.85 miss a common prefix of 4 in all 24 trees
-with probability 2e-8 (0.48 to the 24th), and one of 8 with 6e-4; with similarity 0.8, 3e-6 and 1e-2.
+with probability 2e-8 (0.48 to the 24th), with similarity 0.8, 3e-6.
 
 Defined results: null texts and texts without words have 0 shingles, are linked with nothing and are kept; rows that
 repeat an id and text agree; a null doc_id is no candidate for component_id, and a group of null ids only has a null
@@ -27,11 +28,12 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from .components import connected_components
 from .shared import small, staged
 
-TREES, DEPTH, SHALLOW, FEW = 24, 8, 4, 32
+TREES, DEPTH, SHALLOW, FEW, FIRST, SKETCH = 24, 8, 4, 64, 3, 1 << 20
 WORDS, LEAST = 5, (80, 100)
 REMEMBERED = 400_000
 _MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
@@ -99,32 +101,30 @@ def _profiler(width: int, trees: int, depth: int):
 
 
 def _runs(depth: int, shallow: int):
-    """Rows of a partition in order of (tree, key): those in a run of neighbours, with the least class before them."""
+    """Rows of a partition in order of (tree, key): those in a run of neighbours, with the class before them and how
+    many levels of the prefix they share."""
+    kinds = [pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.binary(), pa.int32()]
+    names = ["tree", "key", "cls", "n", "prev", "shared"]
 
     def fixed(col, width: int) -> np.ndarray:
         return np.frombuffer(b"".join(col.to_pylist()), np.uint8).reshape(-1, width)
 
     def run(batches):
-        held, leader, begun = None, None, False
+        held, first = None, 0  # the last row waits for what follows it; first: what it shares with the row before it
+        before = None
 
-        def settle(rows, prev_linked):
-            """rows: (tree, key, cls, n) arrays whose last row waits for what follows it."""
-            nonlocal leader
+        def emit(rows, shared, upto):
+            """Rows 0 to upto - 1; shared[i] is what row i shares with the row before it."""
             tree, key, cls, n = rows
-            same = (tree[1:] == tree[:-1]) & (key[1:, : 2 * shallow] == key[:-1, : 2 * shallow]).all(1)
-            before = np.concatenate([[prev_linked], same])
-            out = []
-            for i in np.flatnonzero(before[:-1] | same):
-                own = cls[i].tobytes()
-                if not before[i]:
-                    leader = None
-                out.append((int(tree[i]), key[i].tobytes(), own, int(n[i]), leader))
-                leader = own if leader is None else min(leader, own)
-            return out, bool(before[-1])
-
-        def batch_of(out):
-            cols = list(zip(*out))
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.binary()))], names=["tree", "key", "cls", "n", "leader"])
+            linked = np.zeros(upto, bool)
+            linked |= shared[:upto] > 0
+            linked[: len(shared) - 1] |= shared[1 : upto + 1] > 0
+            at = np.flatnonzero(linked)
+            if not len(at):
+                return None
+            prev = [(cls[i - 1].tobytes() if i else before) if shared[i] else None for i in at]
+            cols = [tree[at], [key[i].tobytes() for i in at], [cls[i].tobytes() for i in at], n[at], prev, shared[at]]
+            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=names)
 
         for b in batches:
             if not b.num_rows:
@@ -132,13 +132,18 @@ def _runs(depth: int, shallow: int):
             rows = [b.column("tree").to_numpy(), fixed(b.column("key"), 2 * depth), fixed(b.column("cls"), 16), b.column("n").to_numpy()]
             if held is not None:
                 rows = [np.concatenate([h, r]) for h, r in zip(held, rows)]
-            out, begun = settle(rows, begun)
-            if out:
-                yield batch_of(out)
-            held = [r[-1:] for r in rows]
-        if held is not None and begun:
-            out = [(int(held[0][0]), held[1][0].tobytes(), held[2][0].tobytes(), int(held[3][0]), leader)]
-            yield batch_of(out)
+            tree, key = rows[0], rows[1].reshape(len(rows[0]), depth, 2)
+            same = (key[1:] == key[:-1]).all(2) & (tree[1:] == tree[:-1])[:, None]
+            levels = np.cumprod(same, 1).sum(1)
+            shared = np.concatenate([[first], np.where(levels >= shallow, levels, 0)]).astype(np.int32)
+            out = emit(rows, shared, len(shared) - 1)
+            if out is not None:
+                yield out
+            held, first = [r[-1:] for r in rows], int(shared[-1])
+            before = rows[2][-2].tobytes() if len(rows[2]) > 1 else before
+        if held is not None and first:
+            out = emit(held, np.array([first], np.int32), 1)
+            yield out
 
     return run
 
@@ -179,32 +184,85 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, least: tuple[int, int]) -> Dat
     return staged(joined.select("a", "b", "items_a", "items_b").mapInArrow(_confirmer(least), "a binary, b binary"), "confirmed")
 
 
+def _absorbed(member: DataFrame, pairs: DataFrame, sets: DataFrame, least: tuple[int, int], apart: bool = False) -> DataFrame:
+    """member (node, label) after the confirmed ones of the pairs that lie across its components (apart: all do)."""
+    side = lambda c: member.select(F.col("node").alias(c), F.col("label").alias(f"l{c}"))
+    across = staged(pairs if apart else pairs.join(side("a"), "a").join(side("b"), "b").filter("la <> lb").select("a", "b").distinct(), "across")
+    if across.isEmpty():
+        return member
+    links = _confirmed(across, sets, least).join(side("a"), "a").join(side("b"), "b").select(F.col("la").alias("a"), F.col("lb").alias("b"))
+    joined = connected_components(links).select(F.col("node").alias("label"), F.col("label").alias("to"))
+    return staged(member.join(joined, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "member")
+
+
 def _prefix(levels: int):
     return F.substring("key", 1, 2 * levels)
 
 
-def _across(runs: DataFrame, labels: DataFrame, depth: int, shallow: int, few: int, least: tuple[int, int]) -> DataFrame | None:
-    """Candidate pairs (a, b) across components that share a run; None where no run holds two components."""
-    rows = runs.join(labels.select(F.col("node").alias("cls"), "label"), "cls", "left").select("tree", "key", "cls", "n", F.coalesce("label", "cls").alias("label"))
-    mixed = rows.groupBy("tree", _prefix(shallow).alias("p")).agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("tree", "p")
-    left = staged(rows.withColumn("p", _prefix(shallow)).join(mixed, ["tree", "p"], "left_semi").drop("p"), "mixed-runs")
-    if left.isEmpty():
-        return None
-    found = None
-    for d in range(shallow, depth + 1):
-        at = left.withColumn("p", _prefix(d))
-        sizes = at.groupBy("tree", "p", "label").agg(F.lit(1).alias("x")).groupBy("tree", "p").agg(F.count("*").alias("c")).filter("c > 1")
-        ready = at.join(sizes.filter(F.lit(d == depth) | (F.col("c") <= few)).select("tree", "p"), ["tree", "p"])
-        x, y = (ready.select("tree", "p", *[F.col(c).alias(f"{c}_{s}") for c in ("cls", "n", "label")]) for s in "ab")
-        near = (F.col("n_a") * least[1] >= F.col("n_b") * least[0]) & (F.col("n_b") * least[1] >= F.col("n_a") * least[0])
-        pairs = x.join(y, ["tree", "p"]).filter((F.col("label_a") < F.col("label_b")) & near).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
-        found = pairs if found is None else found.union(pairs)
-        if d == depth:
-            break
-        left = staged(at.join(sizes.filter(F.col("c") > few).select("tree", "p"), ["tree", "p"], "left_semi").drop("p"), "deeper-runs")
-        if left.isEmpty():
-            break
-    return staged(found.distinct(), "pairs")
+def _across(runs: DataFrame, member: DataFrame, sets: DataFrame, shallow: int, few: int, least: tuple[int, int]) -> list[DataFrame]:
+    """Candidate pairs (a, b) across components: of runs with few such pairs, all; of dense regions, an exact join."""
+    rows = runs.join(member.select(F.col("node").alias("cls"), "label"), "cls").select("tree", _prefix(shallow).alias("p"), "cls", "n", "label")
+    parts = rows.groupBy("tree", "p", "label").agg(F.count("*").alias("m")).groupBy("tree", "p").agg(F.sum("m").alias("m"), F.sum(F.col("m") * F.col("m")).alias("mm"), F.count("*").alias("labels"))
+    mixed = staged(parts.filter("labels > 1").select("tree", "p", (F.col("m") * F.col("m") - F.col("mm") <= 2 * few).alias("easy")), "mixed-runs")
+    if mixed.isEmpty():
+        return []
+    ready = rows.join(mixed.filter("easy"), ["tree", "p"])
+    x, y = (ready.select("tree", "p", *[F.col(c).alias(f"{c}_{s}") for c in ("cls", "n", "label")]) for s in "ab")
+    easy = x.join(y, ["tree", "p"]).filter((F.col("label_a") < F.col("label_b")) & _close(least)).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
+    dense = staged(rows.join(mixed.filter("not easy"), ["tree", "p"], "left_semi").select("cls", "label").distinct(), "dense")
+    return [easy.distinct()] + ([] if dense.isEmpty() else [_dense_pairs(dense, sets, least)])
+
+
+def _close(least: tuple[int, int]):
+    return (F.col("n_a") * least[1] >= F.col("n_b") * least[0]) & (F.col("n_b") * least[1] >= F.col("n_a") * least[0])
+
+
+def _frequencies(batches):
+    counts = np.zeros(SKETCH, np.int64)
+    for b in batches:
+        for x in b.column("items"):
+            np.add.at(counts, (np.frombuffer(x.as_py(), np.uint64) % np.uint64(SKETCH)).astype(np.int64), 1)
+    at = np.flatnonzero(counts)
+    yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], names=["at", "c"])
+
+
+def _prefixes(shipped, least: tuple[int, int]):
+    """Of each set, the rarest shingles that a set similar enough must share one of."""
+
+    def run(batches):
+        counts = shipped.value
+        for b in batches:
+            for i in range(0, b.num_rows, 128):
+                part, out, rows, sizes, places = b.slice(i, 128), [], [], [], []
+                for j, x in enumerate(part.column("items")):
+                    s = np.frombuffer(x.as_py(), np.uint64)
+                    keep = len(s) - -(-least[0] * len(s) // least[1]) + 1
+                    order = np.lexsort((s, counts[(s % np.uint64(SKETCH)).astype(np.int64)]))[:keep]
+                    out.append(s[order].view(np.int64))
+                    rows += [j] * len(order)
+                    sizes += [len(s)] * len(order)
+                    places += range(len(order))
+                at = pa.array(rows, pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out)), part.column("cls").take(at), part.column("label").take(at), pa.array(sizes, pa.int64()), pa.array(places, pa.int64())], names=["s", "cls", "label", "n", "i"])
+
+    return run
+
+
+def _dense_pairs(dense: DataFrame, sets: DataFrame, least: tuple[int, int]) -> DataFrame:
+    """Candidate pairs across the components of dense regions, without a miss: two sets that are similar enough share
+    one of their rarest shingles (prefix filter). Any order of shingles is right; a sketch of counts makes it a good one."""
+    rows = staged(sets.join(dense, "cls"), "dense-sets")
+    counts = np.zeros(SKETCH, np.int64)
+    table = rows.select("items").mapInArrow(_frequencies, "at long, c long").groupBy("at").agg(F.sum("c").alias("c")).toPandas()  # at most SKETCH rows
+    counts[table["at"].to_numpy()] = table["c"].to_numpy()
+    shipped = dense.sparkSession.sparkContext.broadcast(counts)
+    tokens = staged(rows.select("cls", "label", "items").mapInArrow(_prefixes(shipped, least), "s long, cls binary, label binary, n long, i long"), "rare-shingles")
+    shared = tokens.groupBy("s").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("s")
+    ready = tokens.join(shared, "s", "left_semi")
+    x, y = (ready.select("s", *[F.col(c).alias(f"{c}_{k}") for c in ("cls", "n", "label", "i")]) for k in "ab")
+    # The first shingle that both have leaves room for the overlap that they need; a later one need not.
+    room = F.least(F.col("n_a") - F.col("i_a"), F.col("n_b") - F.col("i_b")) * (least[0] + least[1]) >= (F.col("n_a") + F.col("n_b")) * least[0]
+    return x.join(y, "s").filter((F.col("label_a") < F.col("label_b")) & _close(least) & room).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b")).distinct()
 
 
 def _classified(docs: DataFrame, width: int, least: tuple[int, int], trees: int, depth: int, shallow: int, few: int) -> DataFrame:
@@ -215,7 +273,7 @@ def _classified(docs: DataFrame, width: int, least: tuple[int, int], trees: int,
     tree = classes.select("cls", "n", "sig", F.explode(F.sequence(F.lit(0), F.lit(trees - 1))).alias("tree"))
     keys = tree.select("tree", F.expr(f"substring(sig, tree * {2 * depth} + 1, {2 * depth})").alias("key"), "cls", "n").withColumn("p", _prefix(shallow))
     ordered = keys.repartitionByRange("tree", "p").sortWithinPartitions("tree", "key", "cls").drop("p")
-    runs = staged(ordered.mapInArrow(_runs(depth, shallow), "tree int, key binary, cls binary, n long, leader binary"), "runs")
+    runs = staged(ordered.mapInArrow(_runs(depth, shallow), "tree int, key binary, cls binary, n long, prev binary, shared int"), "runs")
 
     near = staged(runs.select("cls").distinct(), "near")
     ids = classes.join(near, "cls", "left_semi").select("rep")
@@ -224,19 +282,16 @@ def _classified(docs: DataFrame, width: int, least: tuple[int, int], trees: int,
     sets = text_of.mapInArrow(_set_maker(width), "cls binary, items binary").join(near, "cls", "left_semi")
     sets = staged(sets.groupBy("cls").agg(F.any_value("items").alias("items")), "sets")
 
-    votes = runs.filter("leader is not null and leader <> cls").groupBy("cls", "leader").agg(F.count("*").alias("votes"))
-    first = votes.groupBy("cls").agg(F.min(F.struct((-F.col("votes")).alias("v"), "leader")).alias("best")).select(F.col("cls").alias("a"), F.col("best.leader").alias("b"))
-    one = connected_components(_confirmed(first, sets, least))
-    pairs = _across(runs, one, depth, shallow, few, least)
-    member = one
-    if pairs is not None:
-        to = one.select(F.col("node"), F.col("label"))
-        links = _confirmed(pairs, sets, least)
-        links = links.join(to.select(F.col("node").alias("a"), F.col("label").alias("la")), "a", "left").join(to.select(F.col("node").alias("b"), F.col("label").alias("lb")), "b", "left")
-        links = links.select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b"))
-        two = connected_components(links)
-        base = near.select(F.col("cls").alias("node")).join(one, "node", "left").select("node", F.coalesce("label", "node").alias("mid"))
-        member = base.join(two.select(F.col("node").alias("mid"), F.col("label").alias("end")), "mid", "left").select("node", F.coalesce("end", "mid").alias("label"))
+    pairs = runs.filter("prev is not null").select(F.least("cls", "prev").alias("a"), F.greatest("cls", "prev").alias("b"), "shared").groupBy("a", "b").agg(F.sum("shared").alias("votes"))
+    pairs = staged(pairs, "neighbours")
+    ends = pairs.select("a", "b", "votes", F.explode(F.array("a", "b")).alias("of"))
+    best = Window.partitionBy("of").orderBy(F.desc("votes"), "a", "b")
+    first = ends.withColumn("r", F.row_number().over(best)).filter(F.col("r") <= FIRST).select("a", "b").distinct()
+    member = staged(near.select(F.col("cls").alias("node"), F.col("cls").alias("label")), "member")
+    member = _absorbed(member, first, sets, least)
+    member = _absorbed(member, pairs.select("a", "b"), sets, least)
+    for rest in _across(runs, member, sets, shallow, few, least):
+        member = _absorbed(member, rest, sets, least, apart=True)
     named = classes.select("cls", "rep").join(member.withColumnRenamed("node", "cls"), "cls", "left").select("cls", "rep", F.coalesce("label", "cls").alias("label"))
     named = staged(named, "members")
     first_of = named.groupBy("label").agg(F.min("rep").alias("component_id"))
