@@ -31,11 +31,13 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .components import connected_components
-from .shared import small, staged
+from .shared import arrow_rows, small, staged
 
 TREES, DEPTH, SHALLOW, FEW, FIRST, SKETCH = 24, 8, 4, 64, 3, 1 << 20
 WORDS, LEAST = 5, (80, 100)
 REMEMBERED = 400_000
+#: Rows with sets that go to Python at once; a set of a very long text has megabytes.
+SETS_A_BATCH = 128
 _MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
 
 
@@ -181,7 +183,8 @@ def _confirmer(least: tuple[int, int]):
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, least: tuple[int, int]) -> DataFrame:
     joined = pairs.join(sets.select(F.col("cls").alias("a"), F.col("items").alias("items_a")), "a").join(sets.select(F.col("cls").alias("b"), F.col("items").alias("items_b")), "b")
-    return staged(joined.select("a", "b", "items_a", "items_b").mapInArrow(_confirmer(least), "a binary, b binary"), "confirmed")
+    with arrow_rows(pairs.sparkSession, SETS_A_BATCH):
+        return staged(joined.select("a", "b", "items_a", "items_b").mapInArrow(_confirmer(least), "a binary, b binary"), "confirmed")
 
 
 def _absorbed(member: DataFrame, pairs: DataFrame, sets: DataFrame, least: tuple[int, int], apart: bool = False) -> DataFrame:
@@ -253,10 +256,11 @@ def _dense_pairs(dense: DataFrame, sets: DataFrame, least: tuple[int, int]) -> D
     one of their rarest shingles (prefix filter). Any order of shingles is right; a sketch of counts makes it a good one."""
     rows = staged(sets.join(dense, "cls"), "dense-sets")
     counts = np.zeros(SKETCH, np.int64)
-    table = rows.select("items").mapInArrow(_frequencies, "at long, c long").groupBy("at").agg(F.sum("c").alias("c")).toPandas()  # at most SKETCH rows
-    counts[table["at"].to_numpy()] = table["c"].to_numpy()
-    shipped = dense.sparkSession.sparkContext.broadcast(counts)
-    tokens = staged(rows.select("cls", "label", "items").mapInArrow(_prefixes(shipped, least), "s long, cls binary, label binary, n long, i long"), "rare-shingles")
+    with arrow_rows(dense.sparkSession, SETS_A_BATCH):
+        table = rows.select("items").mapInArrow(_frequencies, "at long, c long").groupBy("at").agg(F.sum("c").alias("c")).toPandas()  # at most SKETCH rows
+        counts[table["at"].to_numpy()] = table["c"].to_numpy()
+        shipped = dense.sparkSession.sparkContext.broadcast(counts)
+        tokens = staged(rows.select("cls", "label", "items").mapInArrow(_prefixes(shipped, least), "s long, cls binary, label binary, n long, i long"), "rare-shingles")
     shared = tokens.groupBy("s").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("s")
     ready = tokens.join(shared, "s", "left_semi")
     x, y = (ready.select("s", *[F.col(c).alias(f"{c}_{k}") for c in ("cls", "n", "label", "i")]) for k in "ab")

@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows up to which the small side of a join is broadcast; beyond it the join shuffles.
-BROADCAST_ROWS = 1_000_000
+BROADCAST_ROWS = 300_000
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -40,6 +41,18 @@ def small(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_ROWS) -
     return F.broadcast(df) if n <= limit else df
 
 
+@contextmanager
+def arrow_rows(spark: SparkSession, rows: int):
+    """Batches of at most so many rows to Python while an eager action runs: for rows that can be long."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    old = spark.conf.get(key)
+    spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, old)
+
+
 def hash60(*parts: Column) -> Column:
     """First 60 bits of the MD5 of the parts joined by '|'; the same in any SQL engine. Nulls read as 'null'."""
     text = F.concat_ws("|", *[F.coalesce(p.cast("string"), F.lit("null")) for p in parts])
