@@ -307,6 +307,47 @@ def test_line_chunks(spark):
     assert linechunks.dedup_lines(empty(spark)).count() == 0
 
 
+def repeated_by_hand(texts, least=linechunks.LONG_WORDS):
+    """Lines of each text that lie in a run of so many words which occurs at an earlier place, without overlap."""
+    texts = [t.split("\n") for t in texts]
+    size = lambda lines: sum(len(x.split()) for x in lines)
+    gone = [set() for _ in texts]
+    for a, x in enumerate(texts):
+        for i in range(len(x)):
+            for b, y in enumerate(texts[: a + 1]):
+                for j in range(len(y) if b < a else i):
+                    n = 0
+                    while i + n < len(x) and j + n < (len(y) if b < a else i) and x[i + n] == y[j + n]:
+                        n += 1
+                    if size(x[i : i + n]) >= least:
+                        gone[a].update(range(i, i + n))
+    return gone
+
+
+def test_repeated_runs_of_short_lines_go_whole(spark):
+    rng = random.Random(8)
+    runs = [[text(rng, -(-54 // n) + (k == 1) * 3, 10**9) for k in range(n)] for n in (2, 2, 3, 4, 5, 6)]
+    runs += [[text(rng, 45, 10**9), text(rng, 4, 10**9), "", text(rng, 2, 10**9)]]
+    texts = []
+    for _ in range(5):
+        for r in runs:
+            own = [text(rng, rng.randrange(1, 9), 10**9) for _ in range(6)]
+            at = rng.choice([0, 0, 2, 4, 6])
+            texts.append("\n".join(own[:at] + r + own[at:]))
+    texts.append("\n".join(runs[3][1:] + ["apart"] + runs[3][:2]))
+    want = repeated_by_hand(texts)
+    assert sum(map(len, want)) >= 4 * sum(map(len, runs))
+    got = {r.doc_id: r for r in linechunks.dedup_lines(docs_of(spark, [(i, t, "s") for i, t in enumerate(texts)])).collect()}
+    for i, t in enumerate(texts[:-1]):
+        left = [x for j, x in enumerate(t.split("\n")) if j not in want[i]]
+        assert got[i].text == "\n".join(left) and got[i].removed_lines == len(want[i]) and got[i].removed_chunks == bool(want[i]), i
+    # The parts of a run of under LONG_WORDS words are no passage; a chunk of several lines may still go.
+    assert "apart" in got[len(texts) - 1].text
+    again = "\n".join([text(rng, 10, 10**9)] * 12)
+    r = linechunks.dedup_lines(docs_of(spark, [(0, again, "s")])).first()
+    assert r.text == "\n".join(again.split("\n")[:5]) and r.removed_lines == 7
+
+
 # 2, 3 classifiers
 
 
