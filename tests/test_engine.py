@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from auditvec import catalogue
 from auditvec.config import Config
 from auditvec.functions import field as FLD
 from auditvec.operators import adversary, coarse, codebook, metrics, shaping
@@ -14,6 +15,7 @@ from auditvec.operators import commit as C
 from auditvec.operators import gadgets as G
 from auditvec.operators import search as S
 from auditvec.plans import cost, tune
+from auditvec.plans.snapshot import build_snapshot, encode_queries
 from auditvec.sources import store
 
 VECTORS = [(0, 1, 0, 0), (2, 2, -1, 1), (1, 1, 0, 0), (4, 3, 5, 4), (2, 1, -2, 1), (11, 10, 9, 10), (12, 12, 8, 11)]
@@ -124,6 +126,35 @@ def test_audits_accept_and_name_what_is_wrong(toy, q):
     assert A.verify(adversary.tie_reorder(ev), version, repeats=1).filter("not ok and relation not in ('answer.prefix')").count() == 0
 
 
+@pytest.fixture(scope="module")
+def several(spark):
+    """A snapshot of four lists, two of them probed, with padding; and three queries."""
+    rng = np.random.default_rng(11)
+    rows = spark.createDataFrame([(i, [float(x) for x in v]) for i, v in enumerate(rng.normal(0, 1, (40, 4)))], "vec_id long, embedding array<double>")
+    snap = build_snapshot(rows, Config(4, 4, 2, 16, 2, 2, 3), init="stride", iters=0)
+    asked = rows.filter("vec_id < 3").select(F.col("vec_id").alias("query_id"), "embedding")
+    return snap, encode_queries(asked, snap), C.commit(snap)
+
+
+@pytest.mark.parametrize("attack", list(adversary.MUST_FAIL), ids=lambda f: f.__name__)
+def test_every_attack_is_named(several, attack):
+    snap, asked, version = several
+    if not hasattr(snap, "trace"):
+        snap.trace = A.prove(asked, snap)
+    bad = {r.relation for r in A.verify(attack(snap.trace), version, repeats=1).filter("not ok").collect()}
+    assert adversary.MUST_FAIL[attack] in bad
+
+
+def test_registered_audits_see_every_held_out_query(spark, several, monkeypatch):
+    snap, asked, version = several
+    monkeypatch.setattr(catalogue.X, "snapshot", lambda *_: snap)
+    monkeypatch.setattr(catalogue.X, "queries", lambda *_: asked)
+    ev, v = catalogue._whole_audit(spark, "")
+    assert v == version and {r.query_id for r in ev.answers.select("query_id").collect()} == {0, 1, 2}
+    r = catalogue.QUERIES["bundle_bytes"](spark, "").first()
+    assert (r.queries, r.ok) == (3, True)
+
+
 #: Published rows of the multiset design (fixed values): name, configuration, rows.
 PRINTED = [({"n_list": 256, "D": 128, "n_probe": 16, "n": 32, "M": 8, "K": 16}, 21198), ({"n_list": 16, "D": 128, "n_probe": 1, "n": 512, "M": 8, "K": 1}, 5929), ({"n_list": 512, "D": 256, "n_probe": 64, "n": 128, "M": 16, "K": 256}, 915627)]
 
