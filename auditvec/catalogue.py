@@ -211,6 +211,13 @@ def pairwise_sqdist(spark, sf_dir):
     return rows.join(F.broadcast(q), F.lit(True)).select("query_id", "vec_id", sqdist(F.col("q"), F.col("v")).alias("dist"))
 
 
+@query()
+def pairwise_sqdist_whole(spark, sf_dir):
+    """Distances of every held-out query; pairwise_sqdist and its SQL have those of every tenth one."""
+    rows, q = X.encoded(spark, sf_dir), X.queries(spark, sf_dir)
+    return rows.join(F.broadcast(q), F.lit(True)).select("query_id", "vec_id", sqdist(F.col("q"), F.col("v")).alias("dist"))
+
+
 @query(f"WITH {lists_sql(X.LISTS)} SELECT list_id, {csv('mu')} AS mu FROM cen")
 def stride_centroids(spark, sf_dir):
     return X.snapshot(spark, sf_dir).centroids
@@ -547,7 +554,17 @@ def lookup_inclusion(spark, sf_dir):
     """Selected table entries are in the tables; a forged entry is found out."""
     snap, q, _, p = _steps(spark, sf_dir)
     q = q.filter("query_id % 50 = 0")
-    p = p.join(q.select("query_id"), "query_id", "left_semi")
+    return _inclusion(snap, q, p.join(q.select("query_id"), "query_id", "left_semi"))
+
+
+@query()
+def lookup_inclusion_whole(spark, sf_dir):
+    """The same for every held-out query; lookup_inclusion and its SQL have every fifth one."""
+    snap, q, _, p = _steps(spark, sf_dir)
+    return _inclusion(snap, q, p)
+
+
+def _inclusion(snap, q, p):
     lut = S.adc_tables(p, q, snap)
     sel = S.selected_entries(lut, p, snap)
     forged = sel.withColumn("val", F.when((F.col("slot") == 0) & (F.col("m") == 0), F.col("val") + 1).otherwise(F.col("val")))

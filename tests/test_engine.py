@@ -155,6 +155,18 @@ def test_registered_audits_see_every_held_out_query(spark, several, monkeypatch)
     assert (r.queries, r.ok) == (3, True)
 
 
+def test_whole_jobs_take_every_query(spark, several, monkeypatch):
+    snap, asked, _ = several
+    monkeypatch.setattr(catalogue.X, "snapshot", lambda *_: snap)
+    monkeypatch.setattr(catalogue.X, "queries", lambda *_: asked)
+    monkeypatch.setattr(catalogue.X, "encoded", lambda *_: snap.extra["vec"])
+    got = {(r.query_id, r.vec_id): r.dist for r in catalogue.QUERIES["pairwise_sqdist_whole"](spark, "").collect()}
+    vec = {r.vec_id: r.v for r in snap.extra["vec"].collect()}
+    assert got == {(r.query_id, i): sum((a - b) ** 2 for a, b in zip(r.q, v)) for r in asked.collect() for i, v in vec.items()}
+    rows = catalogue.QUERIES["lookup_inclusion_whole"](spark, "").collect()
+    assert sorted((r.query_id, r.fails, r.forged_fails) for r in rows) == [(i, False, True) for i in range(3)]
+
+
 #: Published rows of the multiset design (fixed values): name, configuration, rows.
 PRINTED = [({"n_list": 256, "D": 128, "n_probe": 16, "n": 32, "M": 8, "K": 16}, 21198), ({"n_list": 16, "D": 128, "n_probe": 1, "n": 512, "M": 8, "K": 1}, 5929), ({"n_list": 512, "D": 256, "n_probe": 64, "n": 128, "M": 16, "K": 256}, 915627)]
 
