@@ -407,7 +407,7 @@ def _float_answers(spark, sf_dir):
     from .sources.tables import split_queries
 
     base, held = split_queries(load_table(spark, sf_dir, "embeddings"))
-    snap = baselines.build_float_index(base.select("vec_id", "embedding"), X.snapshot(spark, sf_dir).cfg, init="stride", iters=0)
+    snap = baselines.build_float_index(base.select("vec_id", "embedding"), X.trained_config(base.count()), init="hash", iters=X.TRAIN_ITERS)
     return S.search(held.select("query_id", F.transform("embedding", lambda x: x.cast("double")).alias("q")), snap)
 
 
@@ -443,7 +443,7 @@ def hit_mrr_ndcg(spark, sf_dir):
 def std_zk_delta(spark, sf_dir):
     q, truth = X.queries(spark, sf_dir), _truth(spark, sf_dir)
     rows = None
-    for name, ans in (("std", _float_answers(spark, sf_dir)), ("zk", S.search(q, X.snapshot(spark, sf_dir)))):
+    for name, ans in (("std", _float_answers(spark, sf_dir)), ("zk", S.search(q, X.trained(spark, sf_dir)))):
         part = metrics.recall_at(ans, truth, q, [1, 10]).select(F.lit(name).alias("pipeline"), F.concat(F.lit("recall_"), "k").alias("metric"), F.col("recall").alias("value"))
         rows = part if rows is None else rows.unionByName(part)
     return metrics.delta(rows)

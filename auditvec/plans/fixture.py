@@ -15,6 +15,8 @@ from ..sources.tables import load_table, split_queries
 from .snapshot import build_snapshot, encode_queries
 
 DIMS, LISTS, TIGHT_LISTS, BLOCKS, CODES, PROBES, K = 64, 8, 32, 8, 16, 2, 10
+#: Steps of k-means of the trained indexes, for centroids and for codebooks.
+TRAIN_ITERS = 5
 
 
 @lru_cache(maxsize=8)
@@ -47,6 +49,20 @@ def snapshot(spark: SparkSession, sf_dir: str) -> S.Snapshot:
     return build_snapshot(base.select("vec_id", "embedding"), cfg, bound, init="stride", iters=0)
 
 
+def trained_config(n0: int) -> Config:
+    """Lists by table size, half to one times the square root of the vectors; a quarter of them is probed."""
+    lists = max(LISTS, next_power_of_two(-(-int(n0**0.5) // 2)))
+    return Config(DIMS, lists, lists * PROBES // LISTS, next_power_of_two(-(-2 * n0 // lists)), BLOCKS, CODES, K)
+
+
+@lru_cache(maxsize=8)
+def trained(spark: SparkSession, sf_dir: str) -> S.Snapshot:
+    """A trained index for queries that SQL does not repeat; it shares the bound, so queries() fit it."""
+    bound, n0 = _bound(spark, sf_dir)
+    base, _ = split_queries(load_table(spark, sf_dir, "embeddings"))
+    return build_snapshot(base.select("vec_id", "embedding"), trained_config(n0), bound, init="hash", iters=TRAIN_ITERS)
+
+
 @lru_cache(maxsize=8)
 def queries(spark: SparkSession, sf_dir: str):
     _, held = split_queries(load_table(spark, sf_dir, "embeddings"))

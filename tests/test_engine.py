@@ -167,6 +167,19 @@ def test_whole_jobs_take_every_query(spark, several, monkeypatch):
     assert sorted((r.query_id, r.fails, r.forged_fails) for r in rows) == [(i, False, True) for i in range(3)]
 
 
+def test_float_against_fixed_compares_trained_indexes(spark, tmp_path, monkeypatch):
+    rng = np.random.default_rng(12)
+    rows = [(i, [float(x) for x in v], i % 3) for i, v in enumerate(rng.normal(0, 1, (400, 64)))]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int").write.parquet(str(tmp_path / "embeddings.parquet"))
+    asked, train = [], coarse.train_coarse
+    monkeypatch.setattr(coarse, "train_coarse", lambda vec, n, iters=5, *a, **b: asked.append((n, iters)) or train(vec, n, iters, *a, **b))
+    monkeypatch.setattr(catalogue.X, "queries", lambda s, d: encode_queries(catalogue.X.split_queries(catalogue.load_table(s, d, "embeddings"))[1], catalogue.X.trained(s, d)))
+    assert catalogue.QUERIES["std_zk_delta"](spark, str(tmp_path)).count() == 2
+    assert len(asked) == 2 and len({n for n, _ in asked}) == 1 and all(iters > 0 for _, iters in asked)
+    lists = [catalogue.X.trained_config(n).validate(n).n_list for n in (360, 1800, 45_000, 1_000_000)]
+    assert lists == sorted(set(lists))
+
+
 #: Published rows of the multiset design (fixed values): name, configuration, rows.
 PRINTED = [({"n_list": 256, "D": 128, "n_probe": 16, "n": 32, "M": 8, "K": 16}, 21198), ({"n_list": 16, "D": 128, "n_probe": 1, "n": 512, "M": 8, "K": 1}, 5929), ({"n_list": 512, "D": 256, "n_probe": 64, "n": 128, "M": 16, "K": 256}, 915627)]
 
