@@ -351,13 +351,6 @@ def test_repeated_runs_of_short_lines_go_whole(spark):
 # 2, 3 classifiers
 
 
-def test_some_window_holds_every_short_statement_whole():
-    for n in (1, 17, 31, 32, 33, 48, 49, 500):
-        starts = toxicity.window_starts(n)
-        for size in range(1, 18):
-            assert all(any(s <= at and at + size <= s + toxicity.WINDOW for s in starts) for at in range(n - size + 1)), (n, size)
-
-
 def labelled(rng, n, kind):
     rows, labels = [], []
     for i in range(n):
