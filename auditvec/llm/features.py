@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import small
+from .shared import small, staged
 
 #: Of the ids' CRC-32 remainders by HOLD_OF, the one whose rows are kept out of training.
 HOLD_OF, HOLD_AT = 4, 2
@@ -35,7 +35,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, most: tuple[in
     k = F.ceil(F.length("text") / max_bytes).cast("int")
     thin = F.array_join(F.filter(words, lambda _, i: F.pmod((i / 32).cast("int"), k) == 0), " ")
     text = F.when(F.length("text") > max_bytes, thin).otherwise(F.coalesce(F.col("text"), F.lit("")))
-    rows = docs.select("doc_id", "text").join(small(ids, rows=sum(most)), "doc_id").select("doc_id", "y", text.alias("text"))
+    rows = docs.select("doc_id", "text").join(small(staged(ids, "sampled")), "doc_id").select("doc_id", "y", text.alias("text"))
     got = rows.toPandas().sort_values(["doc_id", "text"], kind="stable")
     return list(zip(got["text"], got["y"].astype(int)))
 

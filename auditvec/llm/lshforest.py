@@ -1,22 +1,28 @@
 """Near-duplicate documents by an LSH forest.
 
 A document is its set of word shingles; documents with equal sets form a class. Each of TREES trees orders the
-classes by a signature of DEPTH min-hashes; a run of neighbours with a common prefix of at least SHALLOW of them
-holds candidates. Candidates are taken in three rounds, each only between components that are still apart:
+classes by a signature of DEPTH min-hashes. A region of a tree is a run of neighbours with a common prefix of at
+least SHALLOW of them. Its depth adapts to how crowded it is: the shallowest one at which at most FEW classes share
+the prefix.
 
-1. of every class, the neighbours in the trees' orders with the longest common prefixes, summed over the trees, so
-   the depth that counts adapts to how crowded a region is;
-2. all other neighbours;
-3. of runs with at most FEW pairs across components, all of those; of the classes of more crowded runs, the pairs that
-   an exact prefix filter finds. Nothing is capped.
+1. Candidates are all pairs of a region at its own depth, and all neighbours of a tree's order with a common prefix.
+   They are confirmed on the full sets, and the links give components.
+2. A region that is crowded at SHALLOW, or that a partition border cuts, has lost pairs by that. Where it holds several
+   components, those pairs between components that are missing follow: all, if they are at most FEW squared, else
+   those that an exact prefix filter over the classes of such regions finds. They are confirmed as well.
 
-Each pair is confirmed on the full sets. Two sets with similarity 0.85 miss a common prefix of 4 in all 24 trees
-with probability 2e-8 (0.48 to the 24th), with similarity 0.8, 3e-6.
+So of two sets with a common prefix in some tree none is lost, whatever the region's size; nothing is capped. Two sets
+with similarity 0.85 miss a common prefix of 4 in all 24 trees with probability 2e-8 (0.48 to the 24th), with
+similarity 0.8, 3e-6.
+
+Trees are dealt by ranges of (tree, signature, class), so a group of near copies spreads over tasks however many
+signatures are equal; joins on a region or a shingle are salted.
 
 Defined results: null texts and texts without words have 0 shingles, are linked with nothing and are kept; rows that
 repeat an id and text agree; a null doc_id is no candidate for component_id, and a group of null ids only has a null
-component and is kept; empty input gives an empty result; other columns are ignored by near_duplicates and kept by
-keep_one.
+component and near_duplicates keeps it; keep_one leaves one row of each group, of null ids and of repeated rows too
+(the smallest id, ties by a digest of the text, null ids last); empty input gives an empty result; other columns are
+ignored by near_duplicates and kept by keep_one.
 """
 
 from __future__ import annotations
@@ -26,24 +32,30 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from .components import connected_components
-from .shared import arrow_rows, small, staged
+from .shared import discard, row_key, slices, small, staged
 
-TREES, DEPTH, SHALLOW, FEW, FIRST, SKETCH = 24, 8, 4, 64, 3, 1 << 20
+TREES, DEPTH, SHALLOW, FEW, SKETCH = 24, 8, 4, 8, 1 << 18
 WORDS, LEAST = 5, (80, 100)
-REMEMBERED = 400_000
-#: Rows with sets that go to Python at once; a set of a very long text has megabytes.
-SETS_A_BATCH = 128
+#: Words, and bytes of a word, whose hashes a worker keeps; others are hashed again.
+REMEMBERED, SHORT = 150_000, 48
+#: Parts that the rows of one region or shingle are dealt to in joins.
+SALTS = 16
+#: Rows of one region that a task holds at once; a longer one goes on in the next part.
+HELD = 1 << 16
 _MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
 
 
 class _WordHashes(dict):
     def __missing__(self, word):
-        h = self[word] = xxhash.xxh64_intdigest(word)
+        h = xxhash.xxh64_intdigest(word)
+        if len(word) <= SHORT and len(self) < REMEMBERED:
+            self[word] = h
         return h
 
 
@@ -57,7 +69,7 @@ def _finish(h: np.ndarray) -> np.ndarray:
 
 def shingle_sets(texts: list, width: int = WORDS):
     """Sorted distinct 64-bit shingle hashes of each text; words are runs of non-blanks, A-Z in lower case."""
-    if len(_KNOWN) > REMEMBERED:
+    if len(_KNOWN) >= REMEMBERED:
         _KNOWN.clear()
     for t in texts:
         words = (t or "").encode(errors="surrogatepass").lower().split()
@@ -86,78 +98,131 @@ def signature(shingles: np.ndarray, a: np.ndarray, b: np.ndarray) -> bytes:
     return ((least * np.uint32(0x9E3779B1)) >> np.uint32(16)).astype(">u2").tobytes()
 
 
+def _digest(shingles: np.ndarray) -> bytes | None:
+    return hashlib.blake2b(shingles.tobytes(), digest_size=16).digest() if len(shingles) else None
+
+
 def _profiler(width: int, trees: int, depth: int):
     def run(batches):
         a, b = _functions(trees * depth)
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                part = batch.slice(at, 512)
+            for part in slices(batch, "text"):
                 sizes, classes, signs = [], [], []
                 for s in shingle_sets(part.column("text").to_pylist(), width):
                     sizes.append(len(s))
-                    classes.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
+                    classes.append(_digest(s))
                     signs.append(signature(s, a, b) if len(s) else None)
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes, pa.int64()), pa.array(classes, pa.binary()), pa.array(signs, pa.binary())], names=["doc_id", "n", "cls", "sig"])
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("row"), pa.array(sizes, pa.int64()), pa.array(classes, pa.binary()), pa.array(signs, pa.binary())], names=["doc_id", "row", "n", "cls", "sig"])
 
     return run
 
 
-def _runs(depth: int, shallow: int):
-    """Rows of a partition in order of (tree, key): those in a run of neighbours, with the class before them and how
-    many levels of the prefix they share."""
-    kinds = [pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.binary(), pa.int32()]
-    names = ["tree", "key", "cls", "n", "prev", "shared"]
+def regions(levels: np.ndarray, shallow: int, depth: int, few: int) -> tuple[np.ndarray, np.ndarray]:
+    """levels[i]: min-hashes that row i shares with the row before it. (region, size): a number for the rows that share
+    a region at its own depth, -1 where even the full depth holds more than few; rows that share the shallow prefix."""
+    region, size = np.full(len(levels), -1, np.int64), None
+    for d in range(shallow, depth + 1):
+        group = np.cumsum(levels < d)
+        n = np.bincount(group)[group]
+        size = n if size is None else size
+        region = np.where((region < 0) & (n <= few), group + d * (len(levels) + 1), region)
+    return region, size
+
+
+WALK = "a binary, b binary, tree int, key binary, cls binary, n long, part int, edge int"
+
+
+def _walker(depth: int, shallow: int, few: int):
+    """Of a partition in order of (tree, key, cls): candidate pairs (a, b); rows of regions that are crowded or reach
+    the partition's border (edge 0); its first row (edge 1) and its last (edge 2)."""
+    kinds = [pa.binary(), pa.binary(), pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.int32(), pa.int32()]
+    names = [x.split()[0] for x in WALK.split(", ")]
 
     def fixed(col, width: int) -> np.ndarray:
         return np.frombuffer(b"".join(col.to_pylist()), np.uint8).reshape(-1, width)
 
+    def levels_of(tree, key) -> np.ndarray:
+        words = key.reshape(len(key), depth, 2)
+        same = (words[1:] == words[:-1]).all(2) & (tree[1:] == tree[:-1])[:, None]
+        return np.concatenate([[0], np.cumprod(same, 1).sum(1)])
+
+    def table(cols: list[list]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=names)
+
     def run(batches):
-        held, first = None, 0  # the last row waits for what follows it; first: what it shares with the row before it
-        before = None
+        part = TaskContext.get().partitionId()
 
-        def emit(rows, shared, upto):
-            """Rows 0 to upto - 1; shared[i] is what row i shares with the row before it."""
+        def rows_out(rows, at, edge):
             tree, key, cls, n = rows
-            linked = np.zeros(upto, bool)
-            linked |= shared[:upto] > 0
-            linked[: len(shared) - 1] |= shared[1 : upto + 1] > 0
-            at = np.flatnonzero(linked)
-            if not len(at):
-                return None
-            prev = [(cls[i - 1].tobytes() if i else before) if shared[i] else None for i in at]
-            cols = [tree[at], [key[i].tobytes() for i in at], [cls[i].tobytes() for i in at], n[at], prev, shared[at]]
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=names)
+            none = [None] * len(at)
+            return table([none, none, tree[at], [key[i].tobytes() for i in at], [cls[i].tobytes() for i in at], n[at], [part] * len(at), [edge] * len(at)])
 
+        def done(rows, levels, cut_before: bool, cut_after: bool):
+            """Pairs and open rows of whole regions, but for the first and last one, if they are cut."""
+            tree, key, cls, n = rows
+            region, size = regions(levels, shallow, depth, few)
+            pairs = [np.flatnonzero(levels >= shallow)]
+            offsets = [np.ones(len(pairs[0]), np.int64)]
+            for k in range(2, min(few, len(levels))):
+                at = np.flatnonzero((region[k:] >= 0) & (region[k:] == region[:-k])) + k
+                pairs.append(at)
+                offsets.append(np.full(len(at), k, np.int64))
+            i, j = np.concatenate(pairs), np.concatenate(pairs) - np.concatenate(offsets)
+            for lo in range(0, len(i), 50_000):
+                ends = [sorted((cls[x].tobytes(), cls[y].tobytes())) for x, y in zip(i[lo : lo + 50_000], j[lo : lo + 50_000])]
+                none = [None] * len(ends)
+                yield table([[x for x, _ in ends], [y for _, y in ends], *[none] * 6])
+            still = size > few
+            if cut_before:
+                still[: size[0]] = True
+            if cut_after:
+                still[len(size) - size[-1] :] = True
+            at = np.flatnonzero(still)
+            for lo in range(0, len(at), 50_000):
+                yield rows_out(rows, at[lo : lo + 50_000], 0)
+
+        held, first = None, True  # rows of the last region so far, whose end is not yet known
         for b in batches:
             if not b.num_rows:
                 continue
             rows = [b.column("tree").to_numpy(), fixed(b.column("key"), 2 * depth), fixed(b.column("cls"), 16), b.column("n").to_numpy()]
-            if held is not None:
+            if held is None:
+                yield rows_out(rows, [0], 1)
+            else:
                 rows = [np.concatenate([h, r]) for h, r in zip(held, rows)]
-            tree, key = rows[0], rows[1].reshape(len(rows[0]), depth, 2)
-            same = (key[1:] == key[:-1]).all(2) & (tree[1:] == tree[:-1])[:, None]
-            levels = np.cumprod(same, 1).sum(1)
-            shared = np.concatenate([[first], np.where(levels >= shallow, levels, 0)]).astype(np.int32)
-            out = emit(rows, shared, len(shared) - 1)
-            if out is not None:
-                yield out
-            held, first = [r[-1:] for r in rows], int(shared[-1])
-            before = rows[2][-2].tobytes() if len(rows[2]) > 1 else before
-        if held is not None and first:
-            out = emit(held, np.array([first], np.int32), 1)
-            yield out
+            levels = levels_of(rows[0], rows[1])
+            starts = np.flatnonzero(levels < shallow)
+            upto, cut = int(starts[-1]), False
+            if len(levels) - upto > HELD:
+                upto, cut = len(levels) - 1, True  # the last row is the first of the next part
+            if upto:
+                yield from done([r[:upto] for r in rows], levels[:upto], first, cut)
+                if cut:
+                    yield table([[x] for x in sorted((rows[2][upto - 1].tobytes(), rows[2][upto].tobytes()))] + [[None]] * 6)
+                first = cut
+            held = [r[upto:] for r in rows]
+        if held is not None:
+            yield from done(held, levels_of(held[0], held[1]), first, True)
+            yield rows_out(held, [len(held[0]) - 1], 2)
 
     return run
 
 
+def _over_borders(walked: DataFrame, shallow: int) -> DataFrame:
+    """Pairs of a partition's last row and the next one's first, if they share a prefix. Two rows a partition."""
+    place = F.struct("tree", _prefix(shallow).alias("p"), "cls")
+    ends = walked.filter("edge > 0").groupBy("part").agg(F.max(F.when(F.col("edge") == 1, place)).alias("first"), F.max(F.when(F.col("edge") == 2, place)).alias("last"))
+    ends = ends.withColumn("before", F.lag("last").over(Window.orderBy("part")))
+    met = ends.filter((F.col("before.tree") == F.col("first.tree")) & (F.col("before.p") == F.col("first.p")))
+    return met.select(F.least("before.cls", "first.cls").alias("a"), F.greatest("before.cls", "first.cls").alias("b"))
+
+
 def _set_maker(width: int):
     def run(batches):
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                texts = batch.slice(at, 256).column("text").to_pylist()
-                rows = [(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), s.tobytes()) for s in shingle_sets(texts, width) if len(s)]
-                if rows:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in zip(*rows)], names=["cls", "items"])
+            for part in slices(batch, "text", 256):
+                sets = [s for s in shingle_sets(part.column("text").to_pylist(), width) if len(s)]
+                yield pa.RecordBatch.from_arrays([pa.array([_digest(s) for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["cls", "items"])
 
     return run
 
@@ -167,64 +232,62 @@ def _confirmer(least: tuple[int, int]):
         for b in batches:
             keep = []
             for i, (x, y) in enumerate(zip(b.column("items_a"), b.column("items_b"))):
-                s, t = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
-                if min(len(s), len(t)) * least[1] < least[0] * max(len(s), len(t)):
-                    continue
+                s, t = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
                 both = np.concatenate([s, t])
                 both.sort()
                 common = int((both[1:] == both[:-1]).sum())
                 if least[1] * common >= least[0] * (len(s) + len(t) - common):
                     keep.append(i)
-            part = b.select(["a", "b"]).take(pa.array(keep, pa.int64()))
-            yield part
+            yield b.select(["a", "b"]).take(pa.array(keep, pa.int64()))
 
     return run
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, least: tuple[int, int]) -> DataFrame:
-    joined = pairs.join(sets.select(F.col("cls").alias("a"), F.col("items").alias("items_a")), "a").join(sets.select(F.col("cls").alias("b"), F.col("items").alias("items_b")), "b")
-    with arrow_rows(pairs.sparkSession, SETS_A_BATCH):
-        return staged(joined.select("a", "b", "items_a", "items_b").mapInArrow(_confirmer(least), "a binary, b binary"), "confirmed")
+    """The pairs (a, b) whose full sets are similar enough."""
+    side = lambda c: sets.select(F.col("cls").alias(c), F.col("items").alias(f"items_{c}"), F.octet_length("items").alias(f"n_{c}"))
+    joined = pairs.join(side("a"), "a").join(side("b"), "b").filter(_close(least))
+    return staged(joined.select("a", "b", "items_a", "items_b").mapInArrow(_confirmer(least), "a binary, b binary"), "confirmed")
 
 
-def _absorbed(member: DataFrame, pairs: DataFrame, sets: DataFrame, least: tuple[int, int], apart: bool = False) -> DataFrame:
-    """member (node, label) after the confirmed ones of the pairs that lie across its components (apart: all do)."""
-    side = lambda c: member.select(F.col("node").alias(c), F.col("label").alias(f"l{c}"))
-    across = staged(pairs if apart else pairs.join(side("a"), "a").join(side("b"), "b").filter("la <> lb").select("a", "b").distinct(), "across")
-    if across.isEmpty():
-        return member
-    links = _confirmed(across, sets, least).join(side("a"), "a").join(side("b"), "b").select(F.col("la").alias("a"), F.col("lb").alias("b"))
-    joined = connected_components(links).select(F.col("node").alias("label"), F.col("label").alias("to"))
-    return staged(member.join(joined, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "member")
+def _close(least: tuple[int, int]):
+    return (F.col("n_a") * least[1] >= F.col("n_b") * least[0]) & (F.col("n_b") * least[1] >= F.col("n_a") * least[0])
 
 
 def _prefix(levels: int):
     return F.substring("key", 1, 2 * levels)
 
 
-def _across(runs: DataFrame, member: DataFrame, sets: DataFrame, shallow: int, few: int, least: tuple[int, int]) -> list[DataFrame]:
-    """Candidate pairs (a, b) across components: of runs with few such pairs, all; of dense regions, an exact join."""
-    rows = runs.join(member.select(F.col("node").alias("cls"), "label"), "cls").select("tree", _prefix(shallow).alias("p"), "cls", "n", "label")
-    parts = rows.groupBy("tree", "p", "label").agg(F.count("*").alias("m")).groupBy("tree", "p").agg(F.sum("m").alias("m"), F.sum(F.col("m") * F.col("m")).alias("mm"), F.count("*").alias("labels"))
-    mixed = staged(parts.filter("labels > 1").select("tree", "p", (F.col("m") * F.col("m") - F.col("mm") <= 2 * few).alias("easy")), "mixed-runs")
-    if mixed.isEmpty():
-        return []
-    ready = rows.join(mixed.filter("easy"), ["tree", "p"])
-    x, y = (ready.select("tree", "p", *[F.col(c).alias(f"{c}_{s}") for c in ("cls", "n", "label")]) for s in "ab")
-    easy = x.join(y, ["tree", "p"]).filter((F.col("label_a") < F.col("label_b")) & _close(least)).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
-    dense = staged(rows.join(mixed.filter("not easy"), ["tree", "p"], "left_semi").select("cls", "label").distinct(), "dense")
-    return [easy.distinct()] + ([] if dense.isEmpty() else [_dense_pairs(dense, sets, least)])
+def _salted(rows: DataFrame, by: str, keyed: DataFrame, keys: list[str]) -> DataFrame:
+    """rows join keyed on the keys, which are unique in keyed and may be hot in rows: a key's rows go to SALTS parts by
+    a hash of another column, and keyed to each of them."""
+    every = keyed.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.withColumn("salt", F.pmod(F.xxhash64(by), F.lit(SALTS)).cast("int")).join(every, [*keys, "salt"])
 
 
-def _close(least: tuple[int, int]):
-    return (F.col("n_a") * least[1] >= F.col("n_b") * least[0]) & (F.col("n_b") * least[1] >= F.col("n_a") * least[0])
+def _across(opened: DataFrame, sets: DataFrame, few: int, least: tuple[int, int]) -> DataFrame | None:
+    """Candidate pairs (a, b) between components in opened regions: (tree, p, cls, n, label)."""
+    parts = opened.groupBy("tree", "p", "label").agg(F.count("*").alias("m")).groupBy("tree", "p").agg(F.sum("m").alias("m"), F.sum(F.col("m") * F.col("m")).alias("mm"), F.count("*").alias("labels"))
+    mixed = staged(parts.filter("labels > 1").select("tree", "p", (F.col("m") * F.col("m") - F.col("mm") <= 2 * few * few).alias("easy")), "mixed-regions")
+    if mixed.isEmpty():
+        return None
+    rows = staged(_salted(opened, "cls", mixed, ["tree", "p"]).drop("salt"), "mixed-rows")
+    x, y = (rows.filter("easy").select("tree", "p", *[F.col(c).alias(f"{c}_{s}") for c in ("cls", "n", "label")]) for s in "ab")
+    easy = x.join(y, ["tree", "p"]).filter((F.col("label_a") < F.col("label_b")) & _close(least)).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b"))
+    dense = staged(rows.filter("not easy").select("cls", "label").distinct(), "dense")
+    if not dense.isEmpty():
+        found = dense_pairs(dense, sets, least)
+        easy = easy if found is None else easy.union(found)
+    out = staged(easy.distinct(), "across")
+    discard(mixed, rows, dense)
+    return out
 
 
 def _frequencies(batches):
     counts = np.zeros(SKETCH, np.int64)
     for b in batches:
         for x in b.column("items"):
-            np.add.at(counts, (np.frombuffer(x.as_py(), np.uint64) % np.uint64(SKETCH)).astype(np.int64), 1)
+            np.add.at(counts, (np.frombuffer(x.as_buffer(), np.uint64) % np.uint64(SKETCH)).astype(np.int64), 1)
     at = np.flatnonzero(counts)
     yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(counts[at])], names=["at", "c"])
 
@@ -235,87 +298,108 @@ def _prefixes(shipped, least: tuple[int, int]):
     def run(batches):
         counts = shipped.value
         for b in batches:
-            for i in range(0, b.num_rows, 128):
-                part, out, rows, sizes, places = b.slice(i, 128), [], [], [], []
+            for part in slices(b, "items", 128, 4 << 20):
+                out, rows, sizes, places = [], [], [], []
                 for j, x in enumerate(part.column("items")):
-                    s = np.frombuffer(x.as_py(), np.uint64)
+                    s = np.frombuffer(x.as_buffer(), np.uint64)
                     keep = len(s) - -(-least[0] * len(s) // least[1]) + 1
                     order = np.lexsort((s, counts[(s % np.uint64(SKETCH)).astype(np.int64)]))[:keep]
                     out.append(s[order].view(np.int64))
-                    rows += [j] * len(order)
-                    sizes += [len(s)] * len(order)
-                    places += range(len(order))
-                at = pa.array(rows, pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out)), part.column("cls").take(at), part.column("label").take(at), pa.array(sizes, pa.int64()), pa.array(places, pa.int64())], names=["s", "cls", "label", "n", "i"])
+                    rows.append(np.full(len(order), j))
+                    sizes.append(np.full(len(order), len(s)))
+                    places.append(np.arange(len(order)))
+                at = pa.array(np.concatenate(rows))
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(out)), part.column("cls").take(at), part.column("label").take(at), pa.array(np.concatenate(sizes)), pa.array(np.concatenate(places))], names=["s", "cls", "label", "n", "i"])
 
     return run
 
 
-def _dense_pairs(dense: DataFrame, sets: DataFrame, least: tuple[int, int]) -> DataFrame:
-    """Candidate pairs across the components of dense regions, without a miss: two sets that are similar enough share
-    one of their rarest shingles (prefix filter). Any order of shingles is right; a sketch of counts makes it a good one."""
+def dense_pairs(dense: DataFrame, sets: DataFrame, least: tuple[int, int]) -> DataFrame | None:
+    """Candidate pairs between the components of dense (cls, label), without a miss: two sets that are similar enough
+    share one of their rarest shingles (prefix filter). Any order of shingles is right; a sketch of counts makes it a
+    good one. Of a shingle's classes, those of its largest component are not joined with each other."""
+    spark = dense.sparkSession
     rows = staged(sets.join(dense, "cls"), "dense-sets")
     counts = np.zeros(SKETCH, np.int64)
-    with arrow_rows(dense.sparkSession, SETS_A_BATCH):
-        table = rows.select("items").mapInArrow(_frequencies, "at long, c long").groupBy("at").agg(F.sum("c").alias("c")).toPandas()  # at most SKETCH rows
-        counts[table["at"].to_numpy()] = table["c"].to_numpy()
-        shipped = dense.sparkSession.sparkContext.broadcast(counts)
-        tokens = staged(rows.select("cls", "label", "items").mapInArrow(_prefixes(shipped, least), "s long, cls binary, label binary, n long, i long"), "rare-shingles")
-    shared = tokens.groupBy("s").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("s")
-    ready = tokens.join(shared, "s", "left_semi")
-    x, y = (ready.select("s", *[F.col(c).alias(f"{c}_{k}") for c in ("cls", "n", "label", "i")]) for k in "ab")
+    for r in rows.select("items").mapInArrow(_frequencies, "at long, c long").groupBy("at").agg(F.sum("c").alias("c")).collect():  # at most SKETCH rows
+        counts[r["at"]] = r["c"]
+    tokens = staged(rows.select("cls", "label", "items").mapInArrow(_prefixes(spark.sparkContext.broadcast(counts), least), "s long, cls binary, label binary, n long, i long"), "rare-shingles")
+    shared = tokens.groupBy("s", "label").agg(F.count("*").alias("m")).groupBy("s").agg(F.max_by("label", "m").alias("top"), F.count("*").alias("labels")).filter("labels > 1").select("s", "top")
+    ready = staged(_salted(tokens, "cls", shared, ["s"]), "shared-shingles")
+    discard(rows, tokens)
+    if ready.isEmpty():
+        return None
+    x, y = (ready.select("s", *[F.col(c).alias(f"{c}_{k}") for c in ("cls", "n", "label", "i", "top", "salt")]) for k in "ab")
+    x = x.filter("label_a <> top_a").withColumn("salt_b", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     # The first shingle that both have leaves room for the overlap that they need; a later one need not.
     room = F.least(F.col("n_a") - F.col("i_a"), F.col("n_b") - F.col("i_b")) * (least[0] + least[1]) >= (F.col("n_a") + F.col("n_b")) * least[0]
-    return x.join(y, "s").filter((F.col("label_a") < F.col("label_b")) & _close(least) & room).select(F.col("cls_a").alias("a"), F.col("cls_b").alias("b")).distinct()
+    met = x.join(y, ["s", "salt_b"]).filter((F.col("label_a") != F.col("label_b")) & _close(least) & room)
+    found = staged(met.select(F.least("cls_a", "cls_b").alias("a"), F.greatest("cls_a", "cls_b").alias("b")).distinct(), "dense-pairs")
+    discard(ready)
+    return found
+
+
+def _joined(member: DataFrame, links: DataFrame) -> DataFrame:
+    """member (node, label) after links between its labels."""
+    to = connected_components(links).select(F.col("node").alias("label"), F.col("label").alias("to"))
+    return staged(member.join(to, "label", "left").select("node", F.coalesce("to", "label").alias("label")), "member")
 
 
-def _classified(docs: DataFrame, width: int, least: tuple[int, int], trees: int, depth: int, shallow: int, few: int) -> DataFrame:
-    """Per row of docs: doc_id, n, cls and component_id."""
+def _classified(docs: DataFrame, width: int, least: tuple[int, int], trees: int, depth: int, shallow: int, few: int) -> tuple[DataFrame, DataFrame]:
+    """Rows (doc_id, row, n, cls) of docs, and (cls, label) of the classes, label naming the component."""
     kind = docs.schema["doc_id"].dataType.simpleString()
-    rows = staged(docs.select("doc_id", "text").mapInArrow(_profiler(width, trees, depth), f"doc_id {kind}, n long, cls binary, sig binary"), "profiles")
+    rows = staged(docs.select("doc_id", row_key().alias("row"), "text").mapInArrow(_profiler(width, trees, depth), f"doc_id {kind}, row binary, n long, cls binary, sig binary"), "profiles")
     classes = staged(rows.filter("cls is not null").groupBy("cls").agg(F.min("doc_id").alias("rep"), F.any_value("n").alias("n"), F.any_value("sig").alias("sig")), "classes")
     tree = classes.select("cls", "n", "sig", F.explode(F.sequence(F.lit(0), F.lit(trees - 1))).alias("tree"))
-    keys = tree.select("tree", F.expr(f"substring(sig, tree * {2 * depth} + 1, {2 * depth})").alias("key"), "cls", "n").withColumn("p", _prefix(shallow))
-    ordered = keys.repartitionByRange("tree", "p").sortWithinPartitions("tree", "key", "cls").drop("p")
-    runs = staged(ordered.mapInArrow(_runs(depth, shallow), "tree int, key binary, cls binary, n long, prev binary, shared int"), "runs")
-
-    near = staged(runs.select("cls").distinct(), "near")
-    ids = classes.join(near, "cls", "left_semi").select("rep")
-    text_of = docs.select("doc_id", "text").join(small(ids.filter("rep is not null").withColumnRenamed("rep", "doc_id").distinct()), "doc_id", "left_semi").select("text")
-    text_of = text_of.union(docs.filter("doc_id is null").select("text"))
-    sets = text_of.mapInArrow(_set_maker(width), "cls binary, items binary").join(near, "cls", "left_semi")
+    keys = tree.select("tree", F.expr(f"substring(sig, tree * {2 * depth} + 1, {2 * depth})").alias("key"), "cls", "n")
+    ordered = keys.repartitionByRange("tree", "key", "cls").sortWithinPartitions("tree", "key", "cls")
+    walked = staged(ordered.mapInArrow(_walker(depth, shallow, few), WALK), "walk")
+    pairs = staged(walked.filter("a is not null").select("a", "b").union(_over_borders(walked, shallow)).distinct(), "pairs")
+
+    near = staged(pairs.select(F.explode(F.array("a", "b")).alias("cls")).distinct(), "near")
+    ids = staged(classes.join(near, "cls", "left_semi").filter("rep is not null").select(F.col("rep").alias("doc_id")).distinct(), "near-ids")
+    texts = docs.select("doc_id", "text").join(small(ids), "doc_id", "left_semi").select("text").union(docs.filter("doc_id is null").select("text"))
+    sets = texts.mapInArrow(_set_maker(width), "cls binary, items binary").join(near, "cls", "left_semi")
     sets = staged(sets.groupBy("cls").agg(F.any_value("items").alias("items")), "sets")
 
-    pairs = runs.filter("prev is not null").select(F.least("cls", "prev").alias("a"), F.greatest("cls", "prev").alias("b"), "shared").groupBy("a", "b").agg(F.sum("shared").alias("votes"))
-    pairs = staged(pairs, "neighbours")
-    ends = pairs.select("a", "b", "votes", F.explode(F.array("a", "b")).alias("of"))
-    best = Window.partitionBy("of").orderBy(F.desc("votes"), "a", "b")
-    first = ends.withColumn("r", F.row_number().over(best)).filter(F.col("r") <= FIRST).select("a", "b").distinct()
-    member = staged(near.select(F.col("cls").alias("node"), F.col("cls").alias("label")), "member")
-    member = _absorbed(member, first, sets, least)
-    member = _absorbed(member, pairs.select("a", "b"), sets, least)
-    for rest in _across(runs, member, sets, shallow, few, least):
-        member = _absorbed(member, rest, sets, least, apart=True)
+    links = _confirmed(pairs, sets, least)
+    member = _joined(staged(near.select(F.col("cls").alias("node"), F.col("cls").alias("label")), "near-labels"), links)
+    side = lambda c: member.select(F.col("node").alias(c), F.col("label").alias(f"label_{c}"))
+    opened = walked.filter("edge = 0").select("tree", _prefix(shallow).alias("p"), "cls", "n")
+    opened = staged(opened.join(side("cls"), "cls", "left").select("tree", "p", "cls", "n", F.coalesce("label_cls", "cls").alias("label")), "open-regions")
+    across = _across(opened, sets, few, least)
+    if across is not None:
+        late = _confirmed(across, sets, least).join(side("a"), "a").join(side("b"), "b").select(F.col("label_a").alias("a"), F.col("label_b").alias("b"))
+        member = _joined(member, late)
+        discard(across)
     named = classes.select("cls", "rep").join(member.withColumnRenamed("node", "cls"), "cls", "left").select("cls", "rep", F.coalesce("label", "cls").alias("label"))
     named = staged(named, "members")
-    first_of = named.groupBy("label").agg(F.min("rep").alias("component_id"))
-    component = named.join(first_of, "label").select("cls", "component_id", F.lit(True).alias("__in"))
-    out = rows.select("doc_id", "n", "cls").join(component, "cls", "left")
-    return out.select("doc_id", "n", "cls", F.when(F.col("__in"), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
+    discard(classes, walked, pairs, near, ids, sets, links, opened)
+    return rows.drop("sig"), named
 
 
 def near_duplicates(docs: DataFrame, width: int = WORDS, least: tuple[int, int] = LEAST, trees: int = TREES, depth: int = DEPTH, shallow: int = SHALLOW, few: int = FEW) -> DataFrame:
     """Per row of docs: doc_id, n_shingles, component_id, kept. least: similarity as a fraction (85, 100)."""
-    out = _classified(docs, width, least, trees, depth, shallow, few)
+    rows, named = _classified(docs, width, least, trees, depth, shallow, few)
+    first = named.groupBy("label").agg(F.min("rep").alias("component_id"))
+    component = named.join(first, "label").select("cls", "component_id", F.lit(True).alias("__in"))
+    out = rows.join(component, "cls", "left").withColumn("component_id", F.when(F.col("__in"), F.col("component_id")).otherwise(F.col("doc_id")))
     return out.select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
-def keep_one(docs: DataFrame, **how) -> DataFrame:
-    """The rows of docs that near_duplicates keeps, with all their columns; of rows that repeat an id, one a text."""
-    found = near_duplicates(docs, **how)
-    gone = staged(found.groupBy("doc_id").agg(F.bool_or("kept").alias("any"), F.count("*").alias("n")).filter("not any or n > 1"), "dropped")
-    lost = gone.filter("not any").select(F.col("doc_id").alias("__gone"))
-    left = docs.join(small(lost), docs["doc_id"].eqNullSafe(F.col("__gone")), "left_anti")
-    if gone.filter("n > 1").isEmpty():
-        return left
-    return left.dropDuplicates(["doc_id", "text"])
+def keep_one(docs: DataFrame, width: int = WORDS, least: tuple[int, int] = LEAST, **how) -> DataFrame:
+    """One row of docs of each group of near duplicates, and the rows without words, with all their columns."""
+    rows, named = _classified(docs, width, least, **({"trees": TREES, "depth": DEPTH, "shallow": SHALLOW, "few": FEW} | how))
+    grouped = rows.filter("cls is not null").join(named.select("cls", "label"), "cls").select("label", "row", F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("row").alias("c")).alias("place"))
+    best = grouped.groupBy("label").agg(F.min("place").alias("place"), F.count("*").alias("n")).filter("n > 1").select("label", F.col("place.c").alias("stays"))
+    many = grouped.select("label", "row").join(best, "label").select("row", (F.col("row") == F.col("stays")).alias("stays"))
+    many = staged(many.groupBy("row", "stays").agg(F.count("*").alias("n")).filter("not stays or n > 1"), "copies")
+    mark = "__row"
+    while mark in (c.lower() for c in docs.columns):
+        mark += "_"
+    keyed = docs.withColumn(mark, row_key())
+    out = keyed.join(small(many.select(F.col("row").alias(mark))), mark, "left_anti")
+    again = staged(many.filter("stays").select(F.col("row").alias(mark)), "repeated")
+    if not again.isEmpty():
+        out = out.unionByName(keyed.join(small(again), mark, "left_semi").dropDuplicates([mark]))
+    return out.select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -59,7 +59,7 @@ def _with_taken(rows: DataFrame, narrow: DataFrame, weights, max_epochs: int) ->
     """rows plus source_size, target and taken; narrow: the same rows' (__src, __size, __key), cheap to read."""
     plan = staged(source_plan(narrow.select("__src", F.col("source"), F.col("__size").alias("size")), weights, max_epochs), "mix-plan")
     buckets = F.least(F.lit(MAX_BUCKETS), F.greatest(F.lit(1), F.ceil(F.col("__rows") / BUCKET_ROWS))).cast("long")
-    plan = small(plan.withColumn("__n", buckets).withColumn("__budget", F.floor(F.col("target") + 0.5)), limit=100_000)
+    plan = small(plan.withColumn("__n", buckets).withColumn("__budget", F.floor(F.col("target") + 0.5)))
     bucket = F.expr("shiftright(shiftright(__key, 20) * __n, 40)")
     sums = narrow.join(plan.select("__src", "__n"), "__src").groupBy("__src", bucket.alias("__bucket")).agg(F.sum("__size").alias("__sum"))
     earlier = Window.partitionBy("__src").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
