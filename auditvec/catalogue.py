@@ -11,7 +11,7 @@ from pyspark.sql.window import Window
 
 
 from .functions import field as FLD
-from .functions.vectors import largest, split_blocks, sqdist
+from .functions.vectors import largest, split_blocks
 from .operators import adversary, baselines, coarse, codebook, encode, metrics, shaping
 from .operators import audit as A
 from .operators import commit as C
@@ -19,6 +19,9 @@ from .operators import gadgets as G
 from .operators import search as S
 from .plans import cost, tune
 from .plans import fixture as X
+from .plans import workloads as W
+from .plans.snapshot import build_snapshot, encode_queries
+from .session import rows_frame, written
 from .sources.store import version_as_of
 from .sources.tables import hash_vectors, load_table, numeric_vectors
 from .streaming import epochs
@@ -88,20 +91,25 @@ alld AS (SELECT vec_id, list_id, {sq('v', 'mu')} AS dist FROM enc, cen),
 asg AS (SELECT vec_id, list_id, dist FROM (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY dist, list_id) AS r FROM alld) WHERE r = 1)"""
 
 
-SNAP = f"""{lists_sql(X.LISTS)},
+def snap_sql(n_list: int) -> str:
+    """Residuals, codes and padded slots on the lists, with room for about twice the vectors."""
+    return f"""{lists_sql(n_list)},
 res AS (SELECT asg.vec_id, asg.list_id, list_transform(list_zip(v, mu), lambda p: p[1] - p[2]) AS r FROM asg JOIN enc USING (vec_id) JOIN cen ON cen.list_id = asg.list_id),
 rnum AS (SELECT r, row_number() OVER (ORDER BY vec_id) - 1 AS i, (SELECT count(*) FROM vec) // 16 AS step FROM res),
 cbk AS (SELECT m, (i // step)::BIGINT AS code, r[m * 8 + 1:m * 8 + 8] AS word FROM rnum, (SELECT unnest(range(8)) AS m) WHERE i % step = 0 AND i < step * 16),
 cod AS (SELECT vec_id, list_id, list(code ORDER BY m) AS codes FROM (
   SELECT vec_id, list_id, cbk.m, code, row_number() OVER (PARTITION BY vec_id, cbk.m ORDER BY {sq('r[cbk.m * 8 + 1:cbk.m * 8 + 8]', 'word')}, code) AS k FROM res, cbk) WHERE k = 1 GROUP BY vec_id, list_id),
-room AS (SELECT 1::BIGINT << ceil(log2(ceil(count(*) / 4.0)))::INT AS n FROM vec),
+room AS (SELECT 1::BIGINT << ceil(log2(ceil(count(*) * 2.0 / {n_list})))::INT AS n FROM vec),
 members AS (SELECT list_id, row_number() OVER (PARTITION BY list_id ORDER BY vec_id) - 1 AS slot, vec_id, codes FROM cod),
 slt AS (SELECT g.list_id, g.slot, CASE WHEN vec_id IS NULL THEN 0 ELSE 1 END AS valid, coalesce(vec_id, 0) AS item, coalesce(codes, [0, 0, 0, 0, 0, 0, 0, 0]) AS codes
-  FROM (SELECT l AS list_id, unnest(range(n)) AS slot FROM (SELECT unnest(range({X.LISTS})) AS l), room) g LEFT JOIN members ON members.list_id = g.list_id AND members.slot = g.slot)"""
+  FROM (SELECT l AS list_id, unnest(range(n)) AS slot FROM (SELECT unnest(range({n_list})) AS l), room) g LEFT JOIN members ON members.list_id = g.list_id AND members.slot = g.slot)"""
 
-FIND = f"""{SNAP},
+
+def found_sql(n_list: int, probes: int, k: int = 10) -> str:
+    """All five steps over the held-out queries."""
+    return f"""{snap_sql(n_list)},
 cd AS (SELECT query_id, list_id, {sq('q', 'mu')} AS dist FROM qry, cen),
-prb AS (SELECT query_id, rank, list_id, dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, list_id) AS rank FROM cd) WHERE rank <= {{probes}}),
+prb AS (SELECT query_id, rank, list_id, dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, list_id) AS rank FROM cd) WHERE rank <= {probes}),
 qr AS (SELECT prb.query_id, prb.list_id, list_transform(list_zip(q, mu), lambda p: p[1] - p[2]) AS r FROM prb JOIN qry USING (query_id) JOIN cen ON cen.list_id = prb.list_id),
 lut AS (SELECT query_id, list_id, m, code, {sq('r[m * 8 + 1:m * 8 + 8]', 'word')} AS val FROM qr, cbk),
 sel AS (SELECT query_id, x.list_id, slot, x.m, x.code, val FROM (SELECT prb.query_id, slt.list_id, slot, unnest(range(8)) AS m, unnest(codes) AS code FROM prb JOIN slt ON slt.list_id = prb.list_id) x
@@ -109,9 +117,11 @@ sel AS (SELECT query_id, x.list_id, slot, x.m, x.code, val FROM (SELECT prb.quer
 adc AS (SELECT query_id, list_id, slot, sum(val)::BIGINT AS adc FROM sel GROUP BY ALL),
 cnd AS (SELECT adc.query_id, adc.list_id, adc.slot, item, valid, adc, CASE WHEN valid = 1 THEN adc ELSE 16 * 64 * 65535::BIGINT * 65535 + 1 END AS masked FROM adc JOIN slt ON slt.list_id = adc.list_id AND slt.slot = adc.slot),
 ord AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY masked, list_id, slot) AS rank FROM cnd),
-ans AS (SELECT query_id, rank, CASE WHEN valid = 1 THEN item END AS item, masked AS dist, valid = 0 AS is_padding FROM ord WHERE rank <= 10)"""
+ans AS (SELECT query_id, rank, CASE WHEN valid = 1 THEN item END AS item, masked AS dist, valid = 0 AS is_padding FROM ord WHERE rank <= {k})"""
+
 
-FOUND = FIND.format(probes=X.PROBES)
+SNAP = snap_sql(X.LISTS)
+FOUND = found_sql(X.LISTS, X.PROBES)
 
 DIGEST = f"""{SNAP},
 dig AS (SELECT list_id, slot, sha256(concat_ws('|', 'slot', list_id::VARCHAR, slot::VARCHAR, valid::VARCHAR, item::VARCHAR, {csv('codes')})) AS h FROM slt)"""
@@ -164,10 +174,20 @@ def decode_error(spark, sf_dir):
     return rows.agg((F.max(err) / (bound / 65535.0)).alias("worst"))
 
 
-@query("WITH u AS (SELECT count(*) AS n FROM embeddings WHERE vec_id % 10 <> 0) SELECT 0::BIGINT AS outside, n AS rows_checked FROM u")
+@query(f"WITH {VEC} SELECT count(*) FILTER (WHERE list_max(list_transform(v, lambda x: abs(x))) > 65535) AS outside, count(*) FILTER (WHERE list_max(list_transform(v, lambda x: abs(x))) > 40000) AS far, count(*) AS rows_checked FROM enc")
 def range_violations(spark, sf_dir):
+    """Rows beyond the fixed-point range (none may be), and beyond a narrower one."""
     rows = X.encoded(spark, sf_dir)
-    return rows.select(F.lit(1).alias("x"), F.exists("v", lambda x: F.abs(x) > 65535).alias("bad")).agg(F.count_if("bad").alias("outside"), F.count("*").alias("rows_checked"))
+    beyond = lambda s: encode.range_check(rows, ["v"], -s, s).agg(F.count("*").alias("n"))
+    return beyond(65535).select(F.col("n").alias("outside")).join(beyond(40000).select(F.col("n").alias("far"))).join(rows.agg(F.count("*").alias("rows_checked")))
+
+
+@query("SELECT vec_id, CASE WHEN vec_id % 4 = 0 THEN 'no vector' WHEN vec_id % 4 = 1 THEN 'wrong length' ELSE 'not a number' END AS reason FROM embeddings WHERE vec_id % 4 < 3")
+def rejected_rows(spark, sf_dir):
+    """Vectors that cannot be indexed, with the reason: three of four rows are spoilt first."""
+    e, turn = F.col("embedding"), F.col("vec_id") % 4
+    spoilt = F.when(turn == 0, F.lit(None)).when(turn == 1, F.slice(e, 1, 5)).when(turn == 2, F.transform(e, lambda x, i: F.when(i == 3, F.lit(float("nan"))).otherwise(x))).otherwise(e)
+    return encode.rejected(load_table(spark, sf_dir, "embeddings").withColumn("embedding", spoilt), X.DIMS).select("vec_id", "reason")
 
 
 @query(f"WITH {VEC} SELECT vec_id, {csv('list_transform(v, lambda x: ((x % 2305843009213693951) + 2305843009213693951) % 2305843009213693951)')} AS z FROM enc")
@@ -204,18 +224,9 @@ def numeric_vectors_z(spark, sf_dir):
 # Partition and codes -------------------------------------------------------------------------------------------------
 
 
-@query(f"WITH {VEC} SELECT query_id, vec_id, {sq('q', 'v')} AS dist FROM qry, enc WHERE query_id % 100 = 0")
+@query(f"WITH {VEC} SELECT query_id, vec_id, {sq('q', 'v')} AS dist FROM qry, enc")
 def pairwise_sqdist(spark, sf_dir):
-    rows = X.encoded(spark, sf_dir)
-    q = X.queries(spark, sf_dir).filter("query_id % 100 = 0")
-    return rows.join(F.broadcast(q), F.lit(True)).select("query_id", "vec_id", sqdist(F.col("q"), F.col("v")).alias("dist"))
-
-
-@query()
-def pairwise_sqdist_whole(spark, sf_dir):
-    """Distances of every held-out query; pairwise_sqdist and its SQL have those of every tenth one."""
-    rows, q = X.encoded(spark, sf_dir), X.queries(spark, sf_dir)
-    return rows.join(F.broadcast(q), F.lit(True)).select("query_id", "vec_id", sqdist(F.col("q"), F.col("v")).alias("dist"))
+    return baselines.all_distances(X.queries(spark, sf_dir), X.encoded(spark, sf_dir))
 
 
 @query(f"WITH {lists_sql(X.LISTS)} SELECT list_id, {csv('mu')} AS mu FROM cen")
@@ -228,7 +239,17 @@ def label_centroids(spark, sf_dir):
     return coarse.label_centroids(X.encoded(spark, sf_dir))
 
 
-@query()
+def lloyd_sql(rounds: int) -> str:
+    """Rounds of k-means from the stride start; a list without members would drop out, and none is."""
+    parts = [f"{lists_sql(X.LISTS)}, l0 AS (SELECT list_id, mu FROM cen)"]
+    for i in range(rounds):
+        parts.append(f"""n{i} AS (SELECT vec_id, list_id FROM (SELECT vec_id, list_id, row_number() OVER (PARTITION BY vec_id ORDER BY {sq('v', 'mu')}, list_id) AS r FROM enc, l{i}) WHERE r = 1),
+l{i + 1} AS (SELECT list_id, list(x ORDER BY pos) AS mu FROM (SELECT list_id, pos, floor(sum(x) / count(*) + 0.5)::BIGINT AS x
+  FROM (SELECT list_id, unnest(range(64)) AS pos, unnest(v) AS x FROM n{i} JOIN enc USING (vec_id)) GROUP BY list_id, pos) GROUP BY list_id)""")
+    return ",\n".join(parts)
+
+
+@query(f"WITH {lloyd_sql(3)} SELECT list_id, {csv('mu')} AS mu FROM l3")
 def lloyd_centroids(spark, sf_dir):
     return coarse.train_coarse(X.encoded(spark, sf_dir), X.LISTS, iters=3, init="stride")
 
@@ -250,7 +271,17 @@ def stride_codebooks(spark, sf_dir):
     return X.snapshot(spark, sf_dir).codebooks
 
 
-@query()
+def lloyd_words_sql(rounds: int) -> str:
+    """The same in every block of the residuals; a codeword without members stays."""
+    parts = [f"{SNAP}, part AS (SELECT vec_id, m, r[m * 8 + 1:m * 8 + 8] AS b FROM res, (SELECT unnest(range(8)) AS m)), w0 AS (SELECT m, code, word FROM cbk)"]
+    for i in range(rounds):
+        parts.append(f"""c{i} AS (SELECT vec_id, m, code, b FROM (SELECT vec_id, part.m, code, b, row_number() OVER (PARTITION BY vec_id, part.m ORDER BY {sq('b', 'word')}, code) AS r FROM part JOIN w{i} ON w{i}.m = part.m) WHERE r = 1),
+m{i} AS (SELECT m, code, list(x ORDER BY pos) AS word FROM (SELECT m, code, pos, floor(sum(x) / count(*) + 0.5)::BIGINT AS x FROM (SELECT m, code, unnest(range(8)) AS pos, unnest(b) AS x FROM c{i}) GROUP BY m, code, pos) GROUP BY m, code),
+w{i + 1} AS (SELECT w{i}.m, w{i}.code, coalesce(m{i}.word, w{i}.word) AS word FROM w{i} LEFT JOIN m{i} ON m{i}.m = w{i}.m AND m{i}.code = w{i}.code)""")
+    return ",\n".join(parts)
+
+
+@query(f"WITH {lloyd_words_sql(2)} SELECT m, code, {csv('word')} AS word FROM w2")
 def lloyd_codebooks(spark, sf_dir):
     return codebook.train_codebooks(X.snapshot(spark, sf_dir).extra["resid"], X.BLOCKS, X.CODES, X.DIMS // X.BLOCKS, iters=2)
 
@@ -380,7 +411,7 @@ def topk_answers(spark, sf_dir):
     return S.search(X.queries(spark, sf_dir), X.snapshot(spark, sf_dir))
 
 
-@query(f"WITH {FIND.format(probes=X.LISTS)} SELECT query_id, rank, item, dist, is_padding FROM ans")
+@query(f"WITH {found_sql(X.LISTS, X.LISTS)} SELECT query_id, rank, item, dist, is_padding FROM ans")
 def exhaustive_probe(spark, sf_dir):
     return S.search(X.queries(spark, sf_dir), X.snapshot(spark, sf_dir), n_probe=X.LISTS)
 
@@ -441,21 +472,119 @@ def hit_mrr_ndcg(spark, sf_dir):
 
 @query()
 def std_zk_delta(spark, sf_dir):
-    q, truth = X.queries(spark, sf_dir), _truth(spark, sf_dir)
-    rows = None
+    """Both pipelines on trained indexes, judged by the neighbours of the real-valued vectors."""
+    base, held = W.embeddings(spark, sf_dir)
+    real = lambda d, key, out: d.select(key, F.transform("embedding", lambda x: x.cast("double")).alias(out))
+    truth = baselines.exact_knn(real(held, "query_id", "q"), real(base, "vec_id", "v"), 1).select("query_id", F.col("vec_id").alias("item"))
+    rows, q = None, X.queries(spark, sf_dir)
     for name, ans in (("std", _float_answers(spark, sf_dir)), ("zk", S.search(q, X.trained(spark, sf_dir)))):
         part = metrics.recall_at(ans, truth, q, [1, 10]).select(F.lit(name).alias("pipeline"), F.concat(F.lit("recall_"), "k").alias("metric"), F.col("recall").alias("value"))
         rows = part if rows is None else rows.unionByName(part)
     return metrics.delta(rows)
 
 
-@query("""WITH pairs AS (SELECT item_id, doc_id FROM benchmark JOIN documents ON contains(documents.text, benchmark.text) WHERE length(benchmark.text) > 0)
-SELECT item_id, min(doc_id) AS doc_id FROM pairs GROUP BY item_id HAVING count(*) = 1""")
+QRELS = """pairs AS (SELECT item_id, doc_id FROM benchmark JOIN documents ON contains(documents.text, benchmark.text) WHERE length(benchmark.text) > 0),
+qrels AS (SELECT item_id, min(doc_id) AS doc_id FROM pairs GROUP BY item_id HAVING count(*) = 1)"""
+
+
+@query(f"WITH {QRELS} SELECT item_id, doc_id FROM qrels")
 def passage_qrels(spark, sf_dir):
     """Passages that exactly one document holds word for word."""
-    docs, bench = load_table(spark, sf_dir, "documents"), load_table(spark, sf_dir, "benchmark").filter("length(text) > 0").select("item_id", F.col("text").alias("passage"))
-    pairs = docs.join(F.broadcast(bench), F.contains("text", "passage"))
-    return pairs.groupBy("item_id").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("n")).filter("n = 1").select("item_id", "doc_id")
+    return W.single_passages(load_table(spark, sf_dir, "documents"), load_table(spark, sf_dir, "benchmark"))
+
+
+# Workloads -----------------------------------------------------------------------------------------------------------
+
+
+@query("""WITH t AS (SELECT 'embeddings' AS dataset, 64 AS dims, count(*) FILTER (WHERE vec_id % 10 <> 0) AS n0, count(*) FILTER (WHERE vec_id % 10 = 0) AS asked FROM embeddings
+  UNION ALL SELECT 'texts', unnest([128, 960]), count(*) FILTER (WHERE doc_id % 50 <> 0), count(*) FILTER (WHERE doc_id % 50 = 0) FROM documents WHERE trim(coalesce(text, '')) <> ''),
+c AS (SELECT *, 1::BIGINT << ceil(log2(2 * n0))::INT AS capacity FROM t), l AS (SELECT *, 1::BIGINT << (ceil(log2(capacity) / 2)::INT + 1) AS lists FROM c)
+SELECT dataset, dims::BIGINT AS dims, n0 AS vectors, capacity, asked AS queries, setting, lists // part AS n_list, probes AS n_probe, capacity // (lists // part) AS slots
+FROM l, (VALUES ('high_acc', 1, 8::BIGINT), ('zk_opt', 4, 2::BIGINT)) s(setting, part, probes)""")
+def workload_layouts(spark, sf_dir):
+    """Layouts of both settings on each vector set."""
+    ids = load_table(spark, sf_dir, "embeddings").agg(F.count_if(F.col("vec_id") % 10 != 0), F.count_if(F.col("vec_id") % 10 == 0)).first()
+    docs = load_table(spark, sf_dir, "documents").filter(F.trim(F.coalesce("text", F.lit(""))) != "").agg(F.count_if(F.col("doc_id") % 50 != 0), F.count_if(F.col("doc_id") % 50 == 0)).first()
+    return W.layouts(spark, [("embeddings", 64, *ids), *(("texts", d, *docs) for d in (128, 960))])
+
+
+def _ann_sql(lists: int, probes: int, setting: str) -> str:
+    zk = f"""WITH {found_sql(lists, probes, 100)}, real AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings),
+near AS (SELECT query_id, vec_id AS item FROM (SELECT a.vec_id AS query_id, b.vec_id, row_number() OVER (PARTITION BY a.vec_id ORDER BY list_sum(list_transform(list_zip(a.e, b.e), lambda p: (p[1] - p[2]) * (p[1] - p[2]))), b.vec_id) AS r
+  FROM real a JOIN real b ON a.vec_id % 10 = 0 AND b.vec_id % 10 <> 0) WHERE r = 1),
+hit AS (SELECT near.query_id, min(rank) AS rank FROM near LEFT JOIN ans ON ans.query_id = near.query_id AND ans.item = near.item GROUP BY near.query_id)
+SELECT '{setting}' AS setting, k, round(avg(CASE WHEN rank <= k THEN 1.0 ELSE 0.0 END), 6)::DOUBLE AS recall FROM hit, (SELECT unnest([1, 10, 100])::BIGINT AS k) GROUP BY k"""
+    return f"SELECT * FROM ({zk})"
+
+
+@query(" UNION ALL ".join(_ann_sql(n, p, s) for n, p, s in ((64, 8, "high_acc"), (16, 2, "zk_opt"))))
+def workload_ann_stride(spark, sf_dir):
+    """Fixed-shape recall under both settings on an index of picked rows, which SQL repeats for sf0.01's layouts."""
+    base, held = W.embeddings(spark, sf_dir)
+    real = lambda d, key, out: d.select(key, F.transform("embedding", lambda x: x.cast("double")).alias(out))
+    truth = baselines.exact_knn(real(held, "query_id", "q"), real(base, "vec_id", "v"), 1).select("query_id", F.col("vec_id").alias("item"))
+    out, bound = None, X._bound(spark, sf_dir)[0]
+    for setting in W.SETTINGS:
+        snap = build_snapshot(base, W.layout(base.count(), X.DIMS, setting), bound, init="stride", iters=0)
+        rows = metrics.recall_at(S.search(encode_queries(held, snap), snap), truth, held, [1, 10, 100]).select(F.lit(setting).alias("setting"), "k", "recall")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+def _report(df: DataFrame) -> DataFrame:
+    return df.select("setting", "metric", "std", "zk", "delta")
+
+
+@query()
+def workload_ann_embeddings(spark, sf_dir):
+    """Float and fixed-shape pipelines under both settings, trained, with hardly any room, so that vectors move."""
+    return _report(W.ann(*W.embeddings(spark, sf_dir), X.DIMS, iters=X.TRAIN_ITERS))
+
+
+@query()
+def workload_ann_texts_128(spark, sf_dir):
+    return _report(W.ann(*W.texts(spark, sf_dir, 128), 128, iters=2))
+
+
+@query()
+def workload_ann_texts_960(spark, sf_dir):
+    return _report(W.ann(*W.texts(spark, sf_dir, 960), 960, iters=2))
+
+
+@query()
+def workload_retrieval(spark, sf_dir):
+    """Passage retrieval: the one document that holds a passage is its relevant item."""
+    return _report(W.retrieval(*W.passages(spark, sf_dir), 384, iters=X.TRAIN_ITERS))
+
+
+@query()
+def workload_ablation(spark, sf_dir):
+    """Fixed point and rebalancing each on their own."""
+    return W.ablation(*W.embeddings(spark, sf_dir), X.DIMS, iters=2)
+
+
+def _hashed_sql(table: str, key: str) -> str:
+    return f"""SELECT {key} AS id, (h % 384)::BIGINT AS b, sum(CASE WHEN (h // 384) % 2 = 0 THEN 1 ELSE -1 END)::BIGINT AS x
+  FROM (SELECT {key}, ('0x' || substr(md5(w), 1, 8))::BIGINT AS h FROM (SELECT {key}, unnest(regexp_split_to_array(lower(coalesce(text, '')), '\\s+')) AS w FROM {table}) WHERE w <> '') GROUP BY ALL"""
+
+
+@query(f"""WITH {QRELS}, d AS ({_hashed_sql('documents', 'doc_id')}), p AS ({_hashed_sql('(SELECT * FROM benchmark WHERE item_id IN (SELECT item_id FROM qrels))', 'item_id')}),
+dl AS (SELECT id, sqrt(sum(x * x)) AS l FROM d GROUP BY id HAVING sum(x * x) > 0), pl AS (SELECT id, sqrt(sum(x * x)) AS l FROM p GROUP BY id HAVING sum(x * x) > 0),
+dn AS (SELECT id, b, x / l AS x FROM d JOIN dl USING (id)), pn AS (SELECT id, b, x / l AS x FROM p JOIN pl USING (id)),
+lim AS (SELECT max(abs(x)) AS m FROM (SELECT x FROM dn UNION ALL SELECT x FROM pn)),
+di AS (SELECT id, b, round(x * 65535.0 / m)::BIGINT AS x FROM dn, lim), pi AS (SELECT id, b, round(x * 65535.0 / m)::BIGINT AS x FROM pn, lim),
+ds AS (SELECT id, sum(x * x) AS s FROM di GROUP BY id), ps AS (SELECT id, sum(x * x) AS s FROM pi GROUP BY id),
+dot AS (SELECT pi.id AS q, di.id AS d, sum(pi.x * di.x) AS t FROM pi JOIN di USING (b) GROUP BY ALL),
+far AS (SELECT ps.id AS q, ds.id AS d, row_number() OVER (PARTITION BY ps.id ORDER BY ps.s + ds.s - 2 * coalesce(t, 0), ds.id) AS rank FROM ps CROSS JOIN ds LEFT JOIN dot ON dot.q = ps.id AND dot.d = ds.id),
+hit AS (SELECT q, min(rank) FILTER (WHERE far.d = qrels.doc_id AND rank <= 10) AS rank FROM far JOIN qrels ON item_id = q GROUP BY q)
+SELECT round(avg(CASE WHEN rank IS NULL THEN 0.0 ELSE 1.0 END), 6)::DOUBLE AS hit, round(avg(coalesce(1.0 / rank, 0)), 6)::DOUBLE AS mrr, round(avg(coalesce(1 / log2(rank + 1), 0)), 6)::DOUBLE AS ndcg FROM hit""")
+def workload_retrieval_exact(spark, sf_dir):
+    """The same judgments for an exact scan of fixed-point vectors: what any index is measured against."""
+    base, held, relevant = W.passages(spark, sf_dir)
+    bound = encode.coordinate_bound(base, held)
+    vec = base.select("vec_id", encode.fixed(F.col("embedding"), bound).alias("v"))
+    found = baselines.exact_knn(held.select("query_id", encode.fixed(F.col("embedding"), bound).alias("q")), vec, 10)
+    return metrics.ranking(found.withColumnRenamed("vec_id", "item"), relevant, held, 10)
 
 
 # Commitment ----------------------------------------------------------------------------------------------------------
@@ -494,10 +623,11 @@ def codebook_digest(spark, sf_dir):
     return spark.createDataFrame([(C.codebook_digest(X.snapshot(spark, sf_dir).codebooks),)], "digest string")
 
 
-@query(f"WITH {TOP}, cb AS ({CODEBOOK}) SELECT h AS root_mk, digest AS root_cb FROM top3, cb")
+@query(f"""WITH {TOP}, cb AS ({CODEBOOK}) SELECT h AS root_mk, digest AS root_cb,
+  sha256('config|64|{X.LISTS}|{X.PROBES}|' || n || '|8|16|{X.K}|16|' || b || '|' || (16 * 64 * 65535::BIGINT * 65535 + 1) || '|zk') AS config_digest FROM top3, cb, room, bound""")
 def version_id(spark, sf_dir):
     v = C.commit(X.snapshot(spark, sf_dir))
-    return spark.createDataFrame([(v.root_mk, v.root_cb)], "root_mk string, root_cb string")
+    return spark.createDataFrame([(v.root_mk, v.root_cb, v.config_digest)], "root_mk string, root_cb string, config_digest string")
 
 
 def _paths(spark, sf_dir):
@@ -536,7 +666,13 @@ def incremental_root(spark, sf_dir):
 ALPHA, BETA = 1234567890123456789, 987654321987654321
 
 
-@query(f"WITH {FOUND}, n AS (SELECT query_id, count(*) AS n FROM cd GROUP BY query_id) SELECT query_id, n > 0 AS equal, n > 0 AS equal_exact, n = 0 AS equal_forged FROM n")
+def _bags_sql(forged: str) -> str:
+    """Whether a query's distances and their ordering differ as bags, by counting tuples on both sides."""
+    return f"(SELECT query_id, list_id, dist, sum(s) AS s FROM (SELECT query_id, list_id, dist, 1 AS s FROM cd UNION ALL SELECT query_id, list_id, dist + {forged}, -1 FROM ranked) GROUP BY ALL HAVING sum(s) <> 0)"
+
+
+@query(f"""WITH {FOUND}, ranked AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, list_id) AS rank FROM cd), a AS {_bags_sql('0')}, f AS {_bags_sql('CASE WHEN rank = 1 THEN 1 ELSE 0 END')}
+SELECT query_id, query_id NOT IN (SELECT query_id FROM a) AS equal, query_id NOT IN (SELECT query_id FROM a) AS equal_exact, query_id NOT IN (SELECT query_id FROM f) AS equal_forged FROM qry""")
 def slots_multiset_equal(spark, sf_dir):
     """Distances and their ordering as bags: equal, and not equal once one entry is forged."""
     _, q, dist, _ = _steps(spark, sf_dir)
@@ -549,18 +685,11 @@ def slots_multiset_equal(spark, sf_dir):
     return out
 
 
-@query(f"WITH {VEC} SELECT query_id, query_id < 0 AS fails, query_id >= 0 AS forged_fails FROM qry WHERE query_id % 50 = 0")
+@query(f"""WITH {FOUND}, forged AS (SELECT query_id, list_id, m, code, CASE WHEN slot = 0 AND m = 0 THEN val + 1 ELSE val END AS val FROM sel)
+SELECT query_id, query_id IN (SELECT query_id FROM sel ANTI JOIN lut USING (query_id, list_id, m, code, val)) AS fails, query_id IN (SELECT query_id FROM forged ANTI JOIN lut USING (query_id, list_id, m, code, val)) AS forged_fails FROM qry""")
 def lookup_inclusion(spark, sf_dir):
     """Selected table entries are in the tables; a forged entry is found out."""
     snap, q, _, p = _steps(spark, sf_dir)
-    q = q.filter("query_id % 50 = 0")
-    return _inclusion(snap, q, p.join(q.select("query_id"), "query_id", "left_semi"))
-
-
-@query()
-def lookup_inclusion_whole(spark, sf_dir):
-    """The same for every held-out query; lookup_inclusion and its SQL have every fifth one."""
-    snap, q, _, p = _steps(spark, sf_dir)
     return _inclusion(snap, q, p)
 
 
@@ -583,12 +712,14 @@ def network_prefix(spark, sf_dir):
     return got.select("query_id", F.transform("prefix", lambda s: s["mate"]).alias("lists"))
 
 
-@query(f"WITH {FOUND} SELECT query_id, list_id, m, code, val FROM lut WHERE code = 3")
+@query(f"WITH {FOUND} SELECT query_id, list_id, m, code, val FROM lut")
 def table_scan_lookup(spark, sf_dir):
+    """Every entry of every table, read by a scan of the whole table."""
     snap, q, _, p = _steps(spark, sf_dir)
     lut = S.adc_tables(p, q, snap)
     t = lut.groupBy("query_id", "list_id", "m").agg(F.transform(F.array_sort(F.collect_list(F.struct("code", "val"))), lambda s: s["val"]).alias("t"))
-    return t.select("query_id", "list_id", "m", F.lit(3).alias("code"), G.lookup_scan(F.col("t"), F.lit(3)).alias("val"))
+    every = t.withColumn("code", F.explode(F.sequence(F.lit(0), F.size("t") - 1)))
+    return every.select("query_id", "list_id", "m", "code", G.lookup_scan(F.col("t"), F.col("code")).alias("val"))
 
 
 @query(f"WITH {FOUND} SELECT query_id, list_id, ((list_id::HUGEINT + (dist::HUGEINT % 2305843009213693951) * ({BETA}::HUGEINT % 4294967296) % 2305843009213693951 + ((dist::HUGEINT * ({BETA}::HUGEINT // 4294967296)) % 2305843009213693951 * 4294967296) % 2305843009213693951) % 2305843009213693951)::BIGINT AS z FROM cd")
@@ -615,50 +746,81 @@ def select_bit(spark, sf_dir):
 
 
 def _whole_audit(spark, sf_dir):
+    """Statement and evidence for all held-out queries."""
     snap = X.snapshot(spark, sf_dir)
-    return A.prove(X.queries(spark, sf_dir), snap), C.commit(snap)
+    asked = X.queries(spark, sf_dir)
+    answers, ev = A.prove(asked, snap)
+    return A.state(asked, answers, snap, C.commit(snap)), ev
 
 
-RELATIONS = "bind.codebook bind.centroids bind.probed dist.centroid probe.multiset probe.order probe.boundary lut.recompute lookup.inclusion score.sum score.mask topk.multiset topk.order topk.boundary answer.prefix range.bounds shape.counts".split()
+#: Relation -> the SQL table that holds the rows it goes through.
+RELATIONS = {
+    "bind.config": None, "bind.codebook": None, "bind.centroids": None, "bind.probed": None, "range.bounds": None, "shape.counts": None, "dist.centroid": "cd", "probe.multiset": "cd", "probe.order": "cd",
+    "probe.boundary": "cd", "lut.recompute": "lut", "lookup.inclusion": "sel", "score.sum": "cnd", "score.mask": "cnd", "topk.multiset": "ord", "topk.order": "ord", "topk.boundary": "ord", "answer.prefix": "ans",
+}
 
 
-@query("SELECT d AS design, r AS relation, 0::BIGINT AS violations FROM (VALUES ('multiset'), ('network')) x(d), (VALUES " + ", ".join(f"('{r}')" for r in RELATIONS) + ") y(r)")
+@query(f"WITH {FOUND} " + " UNION ALL ".join(f"SELECT d AS design, '{r}' AS relation, (SELECT count(*) FROM qry) AS queries, 0::BIGINT AS violations, {f'(SELECT count(*) FROM {t})' if t else '0::BIGINT'} AS checked FROM (VALUES ('multiset'), ('network')) x(d)" for r, t in RELATIONS.items()))
 def audit_honest(spark, sf_dir):
-    """Violations over all held-out queries; a query without a verdict counts as one."""
-    ev, version = _whole_audit(spark, sf_dir)
-    held = load_table(spark, sf_dir, "embeddings").filter("vec_id % 10 = 0").count()
-    parts = [A.verify(ev, version, d, b).withColumn("design", F.lit(d)) for d, b in (("multiset", "path"), ("network", "direct"))]
-    missing = F.lit(held) - F.count_distinct("query_id")
-    return parts[0].unionByName(parts[1]).groupBy("design", "relation").agg((F.sum("violations") + missing).alias("violations"))
+    """Verdicts over all held-out queries under both designs: queries judged, violations, rows gone through."""
+    st, ev = _whole_audit(spark, sf_dir)
+    parts = [A.verify(st, ev, d, b).withColumn("design", F.lit(d)) for d, b in (("multiset", "path"), ("network", "direct"))]
+    return parts[0].unionByName(parts[1]).groupBy("design", "relation").agg(F.count_distinct("query_id").alias("queries"), F.sum("violations").alias("violations"), F.sum("checked").alias("checked"))
+
 
+#: Attack -> SQL of the queries that it changes so that its relation fails.
+ALL, LISTED = "SELECT query_id FROM qry", "SELECT DISTINCT query_id FROM prb WHERE list_id = (SELECT min(list_id) FROM prb WHERE rank = 1)"
+CHANGED = {f.__name__: ALL for f in adversary.MUST_FAIL} | {
+    "wrong_probe": "SELECT DISTINCT query_id FROM far JOIN last USING (query_id) WHERE far.rank >= {p} AND far.rank < {n} AND far.dist < last.dist",
+    "unmasked_padding": "SELECT DISTINCT query_id FROM cnd WHERE valid = 0",
+    "suppressed_best": "SELECT query_id FROM ord WHERE rank = 1 AND valid = 1",
+    "swapped_ranks": "SELECT a.query_id FROM ord a JOIN ord b ON a.query_id = b.query_id AND a.rank = 1 AND b.rank = {k} AND a.masked < b.masked",
+    "promoted_item": "SELECT a.query_id FROM ord a JOIN (SELECT query_id, max(masked) AS most FROM ord GROUP BY query_id) b ON a.query_id = b.query_id AND a.rank = {k} AND a.masked < most",
+    "other_answer": "SELECT query_id FROM ans WHERE rank = 1 AND item IS NOT NULL",
+} | dict.fromkeys(("wrong_code", "flipped_flag", "foreign_payload", "mixed_snapshots", "forged_sibling"), LISTED)
 
-TAMPERED = [adversary.forged_distance, adversary.wrong_probe, adversary.forged_entry, adversary.promoted_item, adversary.wrong_code, adversary.other_answer]
 
+def _tampered_sql() -> str:
+    places = {"p": X.PROBES, "n": X.LISTS, "k": X.K}
+    rows = [f"SELECT '{f.__name__}' AS attack, '{r}' AS relation, (SELECT count(*) FROM ({CHANGED[f.__name__].format(**places)})) AS queries" for f, r in adversary.MUST_FAIL.items()]
+    return f"WITH {FOUND}, far AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, list_id) AS rank FROM cd), last AS (SELECT query_id, dist FROM far WHERE rank = {X.LISTS}) " + " UNION ALL ".join(rows)
 
-@query("SELECT a AS attack, r AS relation FROM (VALUES " + ", ".join(f"('{f.__name__}', '{adversary.MUST_FAIL[f]}')" for f in TAMPERED) + ") t(a, r)")
+
+@query(_tampered_sql())
 def audit_tampered(spark, sf_dir):
-    """Tampered traces of all held-out queries with the relation that names them, where it fails on any; the tests
-    run every attack of the catalogue."""
-    ev, version = _whole_audit(spark, sf_dir)
-    out = None
-    for f in TAMPERED:
-        bad = A.verify(f(ev), version, repeats=1).filter(~F.col("ok") & (F.col("relation") == adversary.MUST_FAIL[f])).select(F.lit(f.__name__).alias("attack"), "relation").distinct()
-        out = bad if out is None else out.unionByName(bad)
+    """Every attack of the catalogue on all held-out queries: on how many the relation that names it fails. Attacks on
+    traces are verified together, those on the snapshot by the binding relations."""
+    st, ev = _whole_audit(spark, sf_dir)
+    apart = load_table(spark, sf_dir, "embeddings").agg(F.max("vec_id")).first()[0] + 1
+    verdict = A.verify(*adversary.together(st, ev, adversary.ON_TRACE, apart), repeats=1).filter(~F.col("ok"))
+    named = rows_frame(spark, [(i, f.__name__, r) for i, (f, r) in enumerate(adversary.ON_TRACE.items(), 1)], "turn long, attack string, relation string")
+    out = verdict.withColumn("turn", F.expr(f"query_id div {apart}")).join(named, ["turn", "relation"]).groupBy("attack", "relation").agg(F.count("*").alias("queries"))
+    for f, r in adversary.ON_SNAPSHOT.items():
+        bad = A.binding_checks(*f(st, ev), "path")[r].filter("violations > 0")
+        out = out.unionByName(bad.agg(F.count_distinct("query_id").alias("queries")).select(F.lit(f.__name__).alias("attack"), F.lit(r).alias("relation"), "queries"))
     return out
 
 
-@query()
+@query(f"""WITH {FOUND} SELECT query_id, true AS ok, (SELECT count(*) FROM ans a WHERE a.query_id = qry.query_id AND rank = 1 AND item IS NULL) > 0 AS forged_ok,
+(SELECT max(dist) = min(dist) FROM ans a WHERE a.query_id = qry.query_id AND rank IN (1, {X.K})) AS swapped_ok FROM qry""")
 def audit_rerun(spark, sf_dir):
+    """The client searches again: accepted as it is, not with another first item, with ends swapped only in a tie."""
     snap, q = X.snapshot(spark, sf_dir), X.queries(spark, sf_dir)
-    return A.verify_by_rerun(q, snap, S.search(q, snap))
+    ans = written(S.search(q, snap), "answers")
+    forged = ans.withColumn("item", F.when(F.col("rank") == 1, F.col("item") + 1_000_000).otherwise(F.col("item")))
+    swapped = ans.withColumn("rank", F.when(F.col("rank") == 1, X.K).when(F.col("rank") == X.K, 1).otherwise(F.col("rank")))
+    out = q.select("query_id")
+    for name, a in (("ok", ans), ("forged_ok", forged), ("swapped_ok", swapped)):
+        out = out.join(A.verify_by_rerun(q, snap, a).withColumnRenamed("ok", name), "query_id")
+    return out
 
 
 @query()
 def bundle_bytes(spark, sf_dir):
     """One opened bundle for all held-out queries, verified alone."""
-    ev, version = _whole_audit(spark, sf_dir)
-    text = A.open_bundle(ev)
-    seen = A.verify_bundle(spark, text, ev.snap.cfg, version).agg(F.count_distinct("query_id").alias("n"), F.bool_and("ok").alias("ok")).first()
+    st, ev = _whole_audit(spark, sf_dir)
+    text = A.open_bundle(ev, st.k)
+    seen = A.verify_bundle(spark, text, st).agg(F.count_distinct("query_id").alias("n"), F.bool_and("ok").alias("ok")).first()
     return spark.createDataFrame([(len(text), seen.n, seen.ok)], "bytes long, queries long, ok boolean")
 
 
@@ -701,6 +863,13 @@ def commitment_gates(spark, sf_dir):
     return _points(spark).select("name", cost.commit_gates(_cfg_cols()).cast("long").alias("gates"))
 
 
+@query("""SELECT n, 2 * n - 2 AS compress, 60::BIGINT AS compare, 4 * n - 2 AS multiset, 60 * n AS inclusion, 60 * n AS bubble, n AS permute, n AS lookup FROM (SELECT unnest([2, 16, 256, 4096])::BIGINT AS n)""")
+def gadget_gates(spark, sf_dir):
+    """Gates of each gadget by length."""
+    names = ["compress", "compare", "multiset", "inclusion", "bubble", "permute", "lookup"]
+    return spark.createDataFrame([(n, *(G.GATES[g](n) for g in names)) for n in (2, 16, 256, 4096)], "n long, " + ", ".join(f"{g} long" for g in names))
+
+
 #: Sweep of the number of lists: D, then n_list, printed rows and seconds (fixed values).
 SWEEP = [
     (128, 128, 182225, 6.7427), (128, 256, 192846, 5.7520), (128, 512, 213475, 6.0699), (128, 1024, 254433, 6.4267), (128, 2048, 336214, 12.8939), (128, 4096, 499721, 14.1515), (128, 8192, 826743, 29.2398),
@@ -847,7 +1016,8 @@ def events_json_stats(spark, sf_dir):
     return ev.groupBy("event_type").agg(F.count("*").alias("n"), F.sum(F.get_json_object("props", "$.k").cast("long")).alias("k"), F.median("value").alias("middle"))
 
 
-@query(f"WITH {SNAP} SELECT 'changed' AS kind, count(*) AS n FROM slt WHERE list_id < 2 AND valid = 1 UNION ALL SELECT 'same', count(*) FROM slt WHERE NOT (list_id < 2 AND valid = 1)")
+@query(f"""WITH {SNAP}, new AS (SELECT list_id, slot, valid, CASE WHEN list_id < 2 AND valid = 1 THEN item + 1000000 ELSE item END AS item, codes FROM slt)
+SELECT 'changed' AS kind, count(*) AS n FROM (SELECT * FROM new EXCEPT ALL SELECT list_id, slot, valid, item, codes FROM slt) UNION ALL SELECT 'same', count(*) FROM (SELECT * FROM new INTERSECT SELECT list_id, slot, valid, item, codes FROM slt)""")
 def set_diff_versions(spark, sf_dir):
     slots = X.snapshot(spark, sf_dir).slots.select("list_id", "slot", "valid", "item", text_of("codes").alias("codes"))
     new = slots.withColumn("item", F.when((F.col("list_id") < 2) & (F.col("valid") == 1), F.col("item") + 1_000_000).otherwise(F.col("item")))
@@ -885,6 +1055,53 @@ def star_rollup(spark, sf_dir):
     return rows.groupBy("r_name", "n_name").agg(F.count("*").alias("n"), F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue"))
 
 
+@query("""SELECT event_type, round(quantile_cont(value, 0.1), 6) AS p10, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.9), 6) AS p90, count(DISTINCT user_id) AS users, true AS near FROM events GROUP BY event_type""")
+def value_percentiles(spark, sf_dir):
+    """Exact percentiles, and whether the sketched count of users is within a twentieth of the exact one."""
+    ev = load_table(spark, sf_dir, "events")
+    p = lambda x: F.percentile("value", F.lit(x))
+    near = F.abs(F.approx_count_distinct("user_id", 0.01) - F.count_distinct("user_id")) * 20 <= F.count_distinct("user_id")
+    return ev.groupBy("event_type").agg(p(0.1).alias("p10"), p(0.5).alias("p50"), p(0.9).alias("p90"), F.count_distinct("user_id").alias("users"), near.alias("near"))
+
+
+@query("""SELECT c_custkey, rank() OVER w AS r, dense_rank() OVER w AS d, round(percent_rank() OVER w, 6) AS p, ntile(4) OVER (PARTITION BY c_mktsegment ORDER BY floor(c_acctbal / 100), c_custkey) AS quarter
+FROM customer WINDOW w AS (PARTITION BY c_mktsegment ORDER BY floor(c_acctbal / 100))""")
+def rank_kinds(spark, sf_dir):
+    level = F.floor(F.col("c_acctbal") / 100)
+    w = Window.partitionBy("c_mktsegment").orderBy(level)
+    return load_table(spark, sf_dir, "customer").select("c_custkey", F.rank().over(w).alias("r"), F.dense_rank().over(w).alias("d"), F.percent_rank().over(w).alias("p"), F.ntile(4).over(Window.partitionBy("c_mktsegment").orderBy(level, "c_custkey")).alias("quarter"))
+
+
+@query("""WITH d AS (SELECT event_type, date_diff('day', TIMESTAMP '1970-01-01', ts)::BIGINT AS day, count(*) AS n FROM events GROUP BY ALL)
+SELECT event_type, day, sum(n) OVER (PARTITION BY event_type ORDER BY day RANGE BETWEEN 6 PRECEDING AND CURRENT ROW)::BIGINT AS week FROM d""")
+def range_frame(spark, sf_dir):
+    """Events of the last seven days, by a frame over values and not rows."""
+    d = load_table(spark, sf_dir, "events").groupBy("event_type", F.unix_date(F.to_date("ts")).cast("long").alias("day")).agg(F.count("*").alias("n"))
+    return d.select("event_type", "day", F.sum("n").over(Window.partitionBy("event_type").orderBy("day").rangeBetween(-6, 0)).alias("week"))
+
+
+@query("""SELECT p, count(*) AS n FROM (SELECT o_orderpriority AS p FROM orders WHERE o_orderstatus = 'F' INTERSECT ALL SELECT o_orderpriority FROM orders WHERE o_orderstatus = 'O') GROUP BY p""")
+def bag_intersection(spark, sf_dir):
+    o = load_table(spark, sf_dir, "orders")
+    part = lambda s: o.filter(F.col("o_orderstatus") == s).select(F.col("o_orderpriority").alias("p"))
+    return part("F").intersectAll(part("O")).groupBy("p").agg(F.count("*").alias("n"))
+
+
+@query(f"WITH {GRID_SQL} SELECT n_list::BIGINT AS n_list, 'K' || k AS codebook, gates FROM gb WHERE d = 960")
+def grid_unpivoted(spark, sf_dir):
+    """Gates by codebook size: a pivot, and back to rows."""
+    wide = _grid(spark).filter("D = 960").groupBy("n_list").pivot("K", [2, 4, 16, 256]).agg(F.first("gates"))
+    wide = wide.select("n_list", *[F.col(str(k)).alias(f"K{k}") for k in (2, 4, 16, 256)])
+    return wide.unpivot("n_list", [f"K{k}" for k in (2, 4, 16, 256)], "codebook", "gates")
+
+
+@query("SELECT vec_id FROM embeddings WHERE ('0x' || substr(md5('sample|' || vec_id), 1, 8))::BIGINT % 100 < 20")
+def hash_sample(spark, sf_dir):
+    """A fifth of the rows by a hash of their ids: the same rows whatever the partitions."""
+    h = F.conv(F.substring(F.md5(F.concat(F.lit("sample|"), F.col("vec_id").cast("string"))), 1, 8), 16, 10).cast("long")
+    return load_table(spark, sf_dir, "embeddings").filter(h % 100 < 20).select("vec_id")
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Answers of all held-out queries, each with its exact nearest neighbour."""
     ans = S.search(X.queries(spark, sf_dir), X.snapshot(spark, sf_dir))

@@ -72,4 +72,5 @@ class Config:
         return self
 
     def canonical(self, v_max: float) -> str:
-        return "|".join(map(str, ["config", self.dims, self.n_list, self.slots, self.blocks, self.codes, self.scale_bits, repr(v_max), self.d_max, self.pipeline]))
+        """All public parameters as one text, which a version's digest binds."""
+        return "|".join(map(str, ["config", self.dims, self.n_list, self.n_probe, self.slots, self.blocks, self.codes, self.k, self.scale_bits, repr(v_max), self.d_max, self.pipeline]))

@@ -1,19 +1,31 @@
 """Audits: is an answer exactly what the five steps give on the committed snapshot?
 
-This evaluates every relation of the chosen design on the prover's trace, in the open. It is not a succinct or
-hiding proof. Relations are named and each failing one is reported.
+Whatever is public comes from the verifier, as a Statement: the queries, the answers, the version, the configuration
+with its coordinate bound, and k. Evidence is the prover's: snapshot parts and each step's table. No relation takes a
+public value from the evidence, and each part of the evidence that a later relation builds on is tied to the
+statement by an earlier one:
+
+* the configuration to the version's digest, codebooks and centroids to its roots, probed lists to their digests;
+* distances and lookup tables are computed again; selected entries are one a block of every bound slot, with the bound
+  code, and lie in the tables; scores are their sums; masks and payloads are the bound slots';
+* both orderings hold the same tuples as what they order (payload, flag and place included) and number them from 1;
+* the answers are the first k rows of the last ordering.
+
+This evaluates every relation of the chosen design in the open. It is not a succinct or hiding proof. Relations are
+named, and each failing one is reported with the number of rows that violate it.
 """
 
 from __future__ import annotations
 
 import json
-from dataclasses import dataclass, field
+from dataclasses import dataclass, replace
 from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..config import Config
 from ..functions.field import T_CMP
 from ..plans.cost import step_gates_of
 from ..session import written
@@ -21,7 +33,22 @@ from . import commit as C
 from . import gadgets as G
 from . import search as S
 
-VERDICT = "query_id long, relation string, ok boolean, violations long, gates long"
+VERDICT = "query_id long, relation string, ok boolean, violations long, gates long, checked long"
+ANSWER = ["query_id", "rank", "item", "dist", "is_padding"]
+#: What an ordering of candidates must keep of each.
+CANDIDATE = ["list_id", "slot", "item", "valid", "masked"]
+
+
+@dataclass
+class Statement:
+    """What the verifier knows: queries (query_id, q), answers (ANSWER), the version, and the public parameters."""
+
+    queries: DataFrame
+    answers: DataFrame
+    version: C.Version
+    cfg: Config
+    v_max: float
+    k: int
 
 
 @dataclass
@@ -29,7 +56,6 @@ class Evidence:
     """What the prover hands over: the snapshot parts it used, and each step's table in both orders."""
 
     snap: S.Snapshot
-    queries: DataFrame
     roots: DataFrame
     dist: DataFrame
     probes: DataFrame
@@ -37,13 +63,14 @@ class Evidence:
     selected: DataFrame
     cand: DataFrame
     order: DataFrame
-    answers: DataFrame
     paths: DataFrame | None = None
-    note: dict = field(default_factory=dict)
+
+    def tables(self) -> dict[str, DataFrame]:
+        return {"roots": self.roots, "dist": self.dist, "probes": self.probes, "lut": self.lut, "selected": self.selected, "cand": self.cand, "order": self.order}
 
 
-def prove(queries: DataFrame, snap: S.Snapshot, k: int | None = None) -> Evidence:
-    """Run the search and keep the trace, as written tables. queries: (query_id, q)."""
+def prove(queries: DataFrame, snap: S.Snapshot, k: int | None = None) -> tuple[DataFrame, Evidence]:
+    """Answers, and the trace that they come from, as written tables. queries: (query_id, q)."""
     k = k or snap.cfg.k
     queries = written(queries, "queries")
     dist = written(S.centroid_distances(queries, snap), "dist")
@@ -55,40 +82,55 @@ def prove(queries: DataFrame, snap: S.Snapshot, k: int | None = None) -> Evidenc
     cand = written(S.score_candidates(lut, first, snap), "scores")
     w = Window.partitionBy("query_id").orderBy("masked", "list_id", "slot")
     order = written(cand.withColumn("rank", F.row_number().over(w)), "order")
-    answers = written(S.answers_of(order.filter(F.col("rank") <= k)), "answers")
+    answers = written(answers_in(order, k), "answers")
     roots = written(C.list_roots(snap.slots, snap.cfg.slots), "roots")
-    leaves = C.list_leaf(snap.centroids, roots)
-    nodes = C.nodes_frame(dist.sparkSession, leaves, snap.cfg.n_list)
+    nodes = C.nodes_frame(dist.sparkSession, C.list_leaf(snap.centroids, roots), snap.cfg.n_list)
     paths = written(C.merkle_paths(nodes, first.select("list_id").distinct()), "paths")
-    return Evidence(snap, queries, roots, dist, probes, lut, selected, cand, order, answers, paths, {"k": k})
+    return answers, Evidence(snap, roots, dist, probes, lut, selected, cand, order, paths)
+
+
+def answers_in(order: DataFrame, k: int) -> DataFrame:
+    return S.answers_of(order.filter(F.col("rank") <= k)).select(*ANSWER)
+
+
+def state(queries: DataFrame, answers: DataFrame, snap: S.Snapshot, version: C.Version, k: int | None = None) -> Statement:
+    """The statement about a snapshot whose configuration the verifier knows."""
+    return Statement(queries.select("query_id", "q"), answers.select(*ANSWER), version, snap.cfg, snap.v_max, k or snap.cfg.k)
 
 
 def _count(bad: DataFrame) -> DataFrame:
     return bad.groupBy("query_id").agg(F.count("*").alias("violations"))
 
 
-def _global(ev: Evidence, violations: int) -> DataFrame:
-    return ev.queries.select("query_id", F.lit(violations).cast("long").alias("violations"))
+def _global(st: Statement, violations: int) -> DataFrame:
+    return st.queries.select("query_id", F.lit(violations).cast("long").alias("violations"))
 
 
-def binding_checks(ev: Evidence, version: C.Version, binding: str = "direct") -> dict[str, DataFrame]:
-    """Codebooks, all centroids with all list digests, and the probed lists' contents against the version."""
-    snap, n = ev.snap, ev.snap.cfg.n_list
-    leaves = C.list_leaf(snap.centroids, ev.roots)
-    root = C.layout_root(leaves, n)
-    ok_centroids = root == version.root_mk and leaves.count() == n
-    out = {
-        "bind.codebook": _global(ev, int(C.codebook_digest(snap.codebooks) != version.root_cb)),
-        "bind.centroids": _global(ev, int(not ok_centroids)),
-    }
-    probed = ev.probes.filter(F.col("rank") <= snap.cfg.n_probe).select("query_id", "list_id")
-    again = C.list_roots(snap.slots.join(F.broadcast(probed.select("list_id").distinct()), "list_id", "left_semi"), snap.cfg.slots).withColumnRenamed("root", "again")
-    bad = probed.join(again, "list_id", "left").join(ev.roots, "list_id", "left").filter(~F.col("again").eqNullSafe(F.col("root")))
+def _differ(a: DataFrame, b: DataFrame, cols: list[str]) -> DataFrame:
+    """query_id of the rows that one of two bags has more often than the other."""
+    return G.bag_difference(a, b, cols)
+
+
+def binding_checks(st: Statement, ev: Evidence, binding: str = "direct") -> dict[str, DataFrame]:
+    """Configuration, codebooks, all centroids with all list digests, and the probed lists' contents."""
+    cfg, snap, version = st.cfg, ev.snap, st.version
+    shape = snap.codebooks.agg(F.count("*"), F.count_distinct("m", "code"), F.count_if((F.size("word") != cfg.width) | ~F.col("m").between(0, cfg.blocks - 1) | ~F.col("code").between(0, cfg.codes - 1))).first()
+    ok_words = tuple(shape) == (cfg.blocks * cfg.codes, cfg.blocks * cfg.codes, 0) and C.codebook_digest(snap.codebooks) == version.root_cb
+    leaves = written(C.list_leaf(snap.centroids, ev.roots), "leaves")
+    shape = snap.centroids.agg(F.count("*"), F.count_if((F.size("mu") != cfg.dims) | ~F.col("list_id").between(0, cfg.n_list - 1))).first()
+    ok_lists = tuple(shape) == (cfg.n_list, 0) and leaves.count() == cfg.n_list and C.layout_root(leaves, cfg.n_list) == version.root_mk
+    out = {"bind.config": _global(st, int(C.config_digest(cfg, st.v_max) != version.config_digest)), "bind.codebook": _global(st, int(not ok_words)), "bind.centroids": _global(st, int(not ok_lists))}
+    probed = ev.probes.filter(F.col("rank") <= cfg.n_probe).select("query_id", "list_id")
+    slots = snap.slots.join(probed.select("list_id").distinct(), "list_id", "left_semi")
+    full = slots.groupBy("list_id").agg(((F.count("*") == cfg.slots) & (F.count_distinct("slot") == cfg.slots) & (F.min("slot") == 0) & (F.max("slot") == cfg.slots - 1)).alias("full"))
+    again = written(C.list_roots(slots, cfg.slots).withColumnRenamed("root", "again").join(full, "list_id"), "probed-roots")
+    rows = probed.join(again, "list_id", "left").join(ev.roots, "list_id", "left")
+    bad = rows.filter(~F.coalesce(F.col("full"), F.lit(False)) | ~F.col("again").eqNullSafe(F.col("root"))).select("query_id", "list_id")
     if binding == "path":
-        opened = C.list_leaf(snap.centroids, again.withColumnRenamed("again", "root")).join(ev.paths, "list_id").select("list_id", C.merkle_open(F.col("leaf"), F.col("path")).alias("top"))
-        bad = bad.select("query_id", "list_id").unionByName(probed.join(opened, "list_id", "left").filter(~F.col("top").eqNullSafe(F.lit(version.root_mk))).select("query_id", "list_id"))
-    out["bind.probed"] = _count(bad)
-    return out
+        leaf = C.list_leaf(snap.centroids, again.select("list_id", F.col("again").alias("root")))
+        opened = leaf.join(ev.paths, "list_id").select("list_id", C.merkle_open(F.col("leaf"), F.col("path")).alias("top"))
+        bad = bad.unionByName(probed.join(opened, "list_id", "left").filter(~F.col("top").eqNullSafe(F.lit(version.root_mk))).select("query_id", "list_id"))
+    return out | {"bind.probed": _count(bad)}
 
 
 def _ordered(rows: DataFrame, key: str, upto: int) -> DataFrame:
@@ -101,62 +143,71 @@ def _boundary(rows: DataFrame, key: str, upto: int) -> DataFrame:
     return rows.filter(F.col("rank") > upto).join(edge, "query_id").filter(F.col(key) < F.col("edge"))
 
 
-def shared_checks(ev: Evidence) -> dict[str, DataFrame]:
+def _sizes(st: Statement, ev: Evidence) -> dict[str, tuple[DataFrame, int]]:
+    """Each table of the trace with the rows a query that the configuration fixes."""
+    cfg, scanned = st.cfg, st.cfg.scanned
+    return {
+        "dist": (ev.dist, cfg.n_list), "probes": (ev.probes, cfg.n_list), "lut": (ev.lut, cfg.n_probe * cfg.blocks * cfg.codes), "selected": (ev.selected, scanned * cfg.blocks),
+        "cand": (ev.cand, scanned), "order": (ev.order, scanned), "answers": (st.answers, st.k),
+    }
+
+
+def _misshapen(st: Statement, ev: Evidence) -> DataFrame:
+    parts, ids = [], st.queries.select("query_id")
+    for name, (rows, n) in _sizes(st, ev).items():
+        got = rows.groupBy("query_id").agg(F.count("*").alias("n"), *([F.count_distinct("rank").alias("d"), F.min("rank").alias("lo"), F.max("rank").alias("hi")] if "rank" in rows.columns else []))
+        fits = F.col("n").eqNullSafe(F.lit(n))
+        if "rank" in rows.columns:
+            fits &= F.col("d").eqNullSafe(F.lit(n)) & F.col("lo").eqNullSafe(F.lit(1)) & F.col("hi").eqNullSafe(F.lit(n))
+        parts.append(ids.join(got, "query_id", "left").filter(~fits).select("query_id"))
+    return reduce(lambda a, b: a.unionByName(b), parts)
+
+
+def shared_checks(st: Statement, ev: Evidence) -> dict[str, DataFrame]:
     """Relations that both designs have."""
-    snap, cfg, k = ev.snap, ev.snap.cfg, ev.note["k"]
+    cfg, snap = st.cfg, replace(ev.snap, cfg=st.cfg, v_max=st.v_max)
     first = ev.probes.filter(F.col("rank") <= cfg.n_probe)
-    dist = S.centroid_distances(ev.queries, snap)
-    lut = S.adc_tables(first, ev.queries, snap)
+    dist = S.centroid_distances(st.queries, snap)
+    lut = S.adc_tables(first, st.queries, snap)
     sums = ev.selected.groupBy("query_id", "list_id", "slot").agg(F.sum("val").alias("adc"))
-    codes = first.select("query_id", "list_id").join(snap.slots, "list_id")
-    want = codes.select("query_id", "list_id", "slot", F.col("valid").alias("v"), F.col("item").alias("it"))
-    scored = ev.cand.join(want, ["query_id", "list_id", "slot"], "full")
-    mask_bad = scored.filter(~F.col("valid").eqNullSafe(F.col("v")) | ~F.col("item").eqNullSafe(F.col("it")) | ~F.col("masked").eqNullSafe(F.when(F.col("v") == 1, F.col("adc")).otherwise(F.lit(cfg.d_max))))
-    prefix = S.answers_of(ev.order.filter(F.col("rank") <= k))
-    pub = ["query_id", "rank", "item", "dist", "is_padding"]
-    diff = prefix.select(*pub).exceptAll(ev.answers.select(*pub)).unionByName(ev.answers.select(*pub).exceptAll(prefix.select(*pub)))
-    far = ev.queries.filter(F.exists("q", lambda x: F.abs(x) > cfg.scale))
-    shape = [
-        (ev.dist, cfg.n_list), (ev.probes.filter(F.col("rank") <= cfg.n_probe), cfg.n_probe), (ev.probes, cfg.n_list), (ev.cand, cfg.scanned), (ev.order, cfg.scanned),
-        (ev.lut, cfg.n_probe * cfg.blocks * cfg.codes), (ev.selected, cfg.scanned * cfg.blocks), (ev.answers, k),
-    ]
-    sizes = []
-    for rows, n in shape:
-        got = rows.groupBy("query_id").agg(F.count("*").alias("n"))
-        sizes.append(ev.queries.select("query_id").join(got, "query_id", "left").filter(~F.col("n").eqNullSafe(F.lit(n))).select("query_id"))
+    bound = first.select("query_id", "list_id").join(snap.slots, "list_id").select("query_id", "list_id", "slot", "item", "valid")
+    masked = F.when(F.col("valid") == 1, F.col("adc")).otherwise(F.lit(cfg.d_max))
+    unmasked = ev.cand.filter(~F.col("masked").eqNullSafe(masked)).select("query_id")
+    far = st.queries.filter(F.col("q").isNull() | (F.size("q") != cfg.dims) | F.exists("q", lambda x: x.isNull() | (F.abs(x) > cfg.scale)))
     return {
-        "dist.centroid": _count(dist.join(ev.dist, ["query_id", "list_id", "dist"], "left_anti").select("query_id").unionByName(ev.dist.join(dist, ["query_id", "list_id", "dist"], "left_anti").select("query_id"))),
-        "lut.recompute": _count(ev.lut.join(lut, ["query_id", "list_id", "m", "code", "val"], "left_anti")),
-        "score.sum": _count(ev.cand.join(sums, ["query_id", "list_id", "slot", "adc"], "left_anti")),
-        "score.mask": _count(mask_bad),
-        "answer.prefix": _count(diff),
+        "dist.centroid": _count(_differ(dist, ev.dist, ["list_id", "dist"])),
+        "lut.recompute": _count(_differ(lut, ev.lut, ["list_id", "m", "code", "val"])),
+        "score.sum": _count(_differ(sums, ev.cand, ["list_id", "slot", "adc"])),
+        "score.mask": _count(_differ(bound, ev.cand, ["list_id", "slot", "item", "valid"]).unionByName(unmasked)),
+        "answer.prefix": _count(_differ(answers_in(ev.order, st.k), st.answers, ANSWER[1:])),
         "range.bounds": _count(far),
-        "shape.counts": _count(reduce(lambda a, b: a.unionByName(b), sizes)),
+        "shape.counts": _count(_misshapen(st, ev)),
     }
 
 
-def _codes_wrong(ev: Evidence) -> DataFrame:
-    first = ev.probes.filter(F.col("rank") <= ev.snap.cfg.n_probe).select("query_id", "list_id")
+def _codes_wrong(st: Statement, ev: Evidence) -> DataFrame:
+    """Selected entries are one a block of every bound slot, with its code."""
+    first = ev.probes.filter(F.col("rank") <= st.cfg.n_probe).select("query_id", "list_id")
     want = first.join(ev.snap.slots, "list_id").select("query_id", "list_id", "slot", F.posexplode("codes").alias("m", "code"))
-    return ev.selected.join(want, ["query_id", "list_id", "slot", "m", "code"], "left_anti").select("query_id")
+    return _differ(want, ev.selected, ["list_id", "slot", "m", "code"])
 
 
-def multiset_checks(ev: Evidence, pairs: list[tuple[int, int]]) -> dict[str, DataFrame]:
+def multiset_checks(st: Statement, ev: Evidence, pairs: list[tuple[int, int]]) -> dict[str, DataFrame]:
     """Probe and top-k selection by multiset equality and a boundary; table lookups by multiset inclusion."""
-    cfg, k = ev.snap.cfg, ev.note["k"]
-    out: dict[str, list[DataFrame]] = {"probe.multiset": [], "topk.multiset": [], "lookup.inclusion": [_codes_wrong(ev)]}
+    cfg, k = st.cfg, st.k
+    out: dict[str, list[DataFrame]] = {"probe.multiset": [], "topk.multiset": [], "lookup.inclusion": [_codes_wrong(st, ev)]}
     for alpha, beta in pairs:
         out["probe.multiset"].append(G.multiset_unequal(ev.dist, ev.probes, ["list_id", "dist"], alpha, beta))
-        out["topk.multiset"].append(G.multiset_unequal(ev.cand, ev.order, ["item", "masked"], alpha, beta))
+        out["topk.multiset"].append(G.multiset_unequal(ev.cand, ev.order, CANDIDATE, alpha, beta))
         out["lookup.inclusion"].append(G.not_included(ev.selected, ev.lut, ["list_id", "m", "code", "val"], alpha, beta))
     done = {name: _count(reduce(lambda a, b: a.unionByName(b), parts)) for name, parts in out.items()}
     done |= {"probe.order": _count(_ordered(ev.probes, "dist", cfg.n_probe)), "probe.boundary": _count(_boundary(ev.probes, "dist", cfg.n_probe))}
     return done | {"topk.order": _count(_ordered(ev.order, "masked", k)), "topk.boundary": _count(_boundary(ev.order, "masked", k))}
 
 
-def network_checks(ev: Evidence) -> dict[str, DataFrame]:
+def network_checks(st: Statement, ev: Evidence) -> dict[str, DataFrame]:
     """The same selections by comparison networks, and lookups by scanning each table."""
-    cfg, k = ev.snap.cfg, ev.note["k"]
+    cfg, k = st.cfg, st.k
 
     def prefix_of(rows, key, mate, pos, n):
         got = G.network_prefix(rows.withColumn("pos", pos), ["query_id"], key, mate, n)
@@ -166,16 +217,22 @@ def network_checks(ev: Evidence) -> dict[str, DataFrame]:
     score = prefix_of(ev.cand, "masked", F.col("item"), F.col("list_id").cast("long") * cfg.slots + F.col("slot"), k)
     tables = ev.lut.groupBy("query_id", "list_id", "m").agg(F.transform(F.array_sort(F.collect_list(F.struct("code", "val"))), lambda s: s["val"]).alias("t"))
     scan = ev.selected.join(tables, ["query_id", "list_id", "m"], "left").filter(~G.lookup_scan(F.col("t"), F.col("code")).eqNullSafe(F.col("val")))
-    exact = lambda a, b, cols: _count(G.multiset_unequal_exact(a, b, cols))
     off = lambda net, rows, key, n: _count(rows.filter(F.col("rank") <= n).join(net, ["query_id", "rank"], "full").filter(~F.col("net").eqNullSafe(F.col(key))))
     return {
-        "probe.multiset": exact(ev.dist, ev.probes, ["list_id", "dist"]), "probe.order": _count(_ordered(ev.probes, "dist", cfg.n_probe)), "probe.boundary": off(probe, ev.probes, "dist", cfg.n_probe),
-        "topk.multiset": exact(ev.cand, ev.order, ["item", "masked"]), "topk.order": _count(_ordered(ev.order, "masked", k)), "topk.boundary": off(score, ev.order, "masked", k),
-        "lookup.inclusion": _count(scan.select("query_id").unionByName(_codes_wrong(ev))),
+        "probe.multiset": _count(_differ(ev.dist, ev.probes, ["list_id", "dist"])), "probe.order": _count(_ordered(ev.probes, "dist", cfg.n_probe)), "probe.boundary": off(probe, ev.probes, "dist", cfg.n_probe),
+        "topk.multiset": _count(_differ(ev.cand, ev.order, CANDIDATE)), "topk.order": _count(_ordered(ev.order, "masked", k)), "topk.boundary": off(score, ev.order, "masked", k),
+        "lookup.inclusion": _count(scan.select("query_id").unionByName(_codes_wrong(st, ev))),
     }
 
 
-def relation_gates(cfg, k: int, design: str) -> dict[str, int]:
+#: Table of the trace whose rows a relation goes through.
+CHECKED = {
+    "dist.centroid": "dist", "probe.multiset": "probes", "probe.order": "probes", "probe.boundary": "probes", "lut.recompute": "lut", "lookup.inclusion": "selected", "score.sum": "cand", "score.mask": "cand",
+    "topk.multiset": "order", "topk.order": "order", "topk.boundary": "order", "answer.prefix": "answers",
+}
+
+
+def relation_gates(cfg: Config, k: int, design: str) -> dict[str, int]:
     """Counters of the relations, by the gadgets' formulas."""
     n_sel, m, codes = cfg.scanned, cfg.blocks, cfg.codes
     if design == "network":
@@ -184,57 +241,83 @@ def relation_gates(cfg, k: int, design: str) -> dict[str, int]:
     n_max = max(n_sel * m, cfg.n_probe * m * codes)
     return {
         "probe.multiset": G.GATES["multiset"](cfg.n_list) + 2 * cfg.n_list * G.GATES["compress"](2), "probe.order": (cfg.n_probe - 1) * T_CMP, "probe.boundary": (cfg.n_list - cfg.n_probe) * T_CMP,
-        "topk.multiset": G.GATES["multiset"](n_sel) + 2 * n_sel * G.GATES["compress"](2), "topk.order": (k - 1) * T_CMP, "topk.boundary": (n_sel - k) * T_CMP,
+        "topk.multiset": G.GATES["multiset"](n_sel) + 2 * n_sel * G.GATES["compress"](len(CANDIDATE)), "topk.order": (k - 1) * T_CMP, "topk.boundary": (n_sel - k) * T_CMP,
         "lookup.inclusion": (n_max - 1) * T_CMP + 2 * G.GATES["multiset"](n_max) + 2 * n_max * G.GATES["compress"](4),
     }
 
 
-def verify(ev: Evidence, version: C.Version, design: str = "multiset", binding: str = "direct", repeats: int = 2) -> DataFrame:
-    """(query_id, relation, ok, violations, gates): one row a query and relation; accepted if all are ok."""
-    checks = shared_checks(ev) | binding_checks(ev, version, binding)
+def verify(st: Statement, ev: Evidence, design: str = "multiset", binding: str = "direct", repeats: int = 2) -> DataFrame:
+    """VERDICT: one row a query and relation; a query is accepted if all are ok. checked counts the rows of the trace
+    that the relation went through for the query."""
+    st.cfg.validate()
+    if not 1 <= st.k <= st.cfg.scanned:
+        raise ValueError("k must be between 1 and the number of scanned slots")
+    checks = shared_checks(st, ev) | binding_checks(st, ev, binding)
     if design == "multiset":
-        seed = f"{version.root_mk}|{version.root_cb}|{version.config_digest}"
-        digest = G.trace_digest({"dist": ev.dist, "probes": ev.probes, "lut": ev.lut, "selected": ev.selected, "cand": ev.cand, "order": ev.order, "answers": ev.answers, "queries": ev.queries})
-        checks |= multiset_checks(ev, G.challenges(seed, digest, repeats))
+        seed = "|".join(map(str, (st.version.root_mk, st.version.root_cb, st.version.config_digest, st.k)))
+        digest = G.trace_digest(ev.tables() | {"answers": st.answers, "queries": st.queries})
+        checks |= multiset_checks(st, ev, G.challenges(seed, digest, repeats))
     elif design == "network":
-        checks |= network_checks(ev)
+        checks |= network_checks(st, ev)
     else:
         raise ValueError("design is 'multiset' or 'network'")
-    gates = relation_gates(ev.snap.cfg, ev.note["k"], design)
-    by_step = step_gates_of(ev.snap.cfg, design)
+    gates, by_step = relation_gates(st.cfg, st.k, design), step_gates_of(st.cfg, design)
     gates |= {"dist.centroid": by_step["distances"], "lut.recompute": by_step["tables"]}
-    checks = {name: written(bad, "relation") for name, bad in checks.items()}  # a relation at a time: small plans
-    rows = [ev.queries.select("query_id").join(bad, "query_id", "left").select("query_id", F.lit(name).alias("relation"), F.coalesce("violations", F.lit(0)).cast("long").alias("violations"), F.lit(gates.get(name, 0)).cast("long").alias("gates")) for name, bad in checks.items()]
-    out = reduce(lambda a, b: a.unionByName(b), rows)
-    return out.select("query_id", "relation", (F.col("violations") == 0).alias("ok"), "violations", "gates")
+    found = [bad.select("query_id", F.lit(name).alias("relation"), "violations") for name, bad in checks.items()]
+    halves = [written(reduce(lambda a, b: a.unionByName(b), found[i::3]), "violations") for i in range(3)]  # smaller plans
+    counts = [rows.groupBy("query_id").agg(F.count("*").alias("checked")).select("query_id", F.lit(t).alias("table"), "checked") for t, (rows, _) in _sizes(st, ev).items()]
+    counts = reduce(lambda a, b: a.unionByName(b), counts)
+    names = F.explode(F.array(*[F.struct(F.lit(n).alias("relation"), F.lit(CHECKED.get(n)).alias("table"), F.lit(int(gates.get(n, 0))).cast("long").alias("gates")) for n in checks]))
+    every = st.queries.select("query_id", names.alias("x")).select("query_id", "x.*").join(counts, ["query_id", "table"], "left")
+    out = every.join(reduce(lambda a, b: a.unionByName(b), halves), ["query_id", "relation"], "left").withColumn("violations", F.coalesce("violations", F.lit(0)).cast("long"))
+    return out.select("query_id", "relation", (F.col("violations") == 0).alias("ok"), "violations", "gates", F.coalesce("checked", F.lit(0)).cast("long").alias("checked"))
 
 
 def audit(queries: DataFrame, snap: S.Snapshot, version: C.Version, design: str = "multiset", binding: str = "direct") -> DataFrame:
-    return verify(prove(queries, snap), version, design, binding)
+    answers, ev = prove(queries, snap)
+    return verify(state(queries, answers, snap, version), ev, design, binding)
+
+
+def verify_by_rerun(queries: DataFrame, snap: S.Snapshot, answers: DataFrame, k: int | None = None) -> DataFrame:
+    """The baseline in which the client searches again: (query_id, ok). Distances must agree rank by rank, and every
+    answer must be a scanned candidate at its distance, as often as there is one; ties may stand in any order."""
+    probes = S.select_probes(S.centroid_distances(queries, snap), snap.cfg.n_probe)
+    cand = written(S.score_candidates(S.adc_tables(probes, queries, snap), probes, snap), "rerun")
+    again = S.answers_of(S.top_k(cand, k or snap.cfg.k))
+    off = G.bag_difference(again, answers, ["rank", "dist", "is_padding"])
+    pad = F.col("valid") == 0
+    there = cand.select("query_id", F.when(~pad, F.col("item")).alias("item"), F.col("masked").alias("dist")).groupBy("query_id", "item", "dist").agg(F.count("*").alias("there"))
+    told = answers.groupBy("query_id", F.col("item").alias("it"), F.col("dist").alias("d")).agg(F.count("*").alias("told"))
+    met = told.join(there.withColumnRenamed("query_id", "q"), (F.col("query_id") == F.col("q")) & F.col("it").eqNullSafe(F.col("item")) & (F.col("d") == F.col("dist")), "left")
+    false = met.filter(F.col("there").isNull() | (F.col("told") > F.col("there"))).select("query_id")
+    bad = off.unionByName(false).distinct().withColumn("bad", F.lit(True))
+    return queries.select("query_id").join(bad, "query_id", "left").select("query_id", F.col("bad").isNull().alias("ok"))
 
 
-def verify_by_rerun(queries: DataFrame, snap: S.Snapshot, answers: DataFrame) -> DataFrame:
-    """The baseline in which the client searches again: (query_id, ok)."""
-    cols = ["query_id", "rank", "dist"]
-    again = S.search(queries, snap).select(*cols)
-    bad = again.exceptAll(answers.select(*cols)).unionByName(answers.select(*cols).exceptAll(again)).select("query_id").distinct().withColumn("bad", F.lit(True))
-    return queries.select("query_id").join(bad, "query_id", "left").select("query_id", F.col("bad").isNull().alias("ok"))
+PARTS = {
+    "centroids": "list_id int, mu array<bigint>", "roots": "list_id int, root string", "codebooks": "m int, code int, word array<bigint>", "slots": "list_id int, slot int, valid tinyint, item bigint, codes array<int>",
+    "paths": "list_id int, path array<struct<level:int,side:int,digest:string>>", "chosen": "query_id bigint, rank int, list_id int, slot int",
+}
 
 
-def open_bundle(ev: Evidence) -> str:
-    """Portable evidence that reveals what it touches: centroids, digests, codebooks, probed slots and paths, as JSON."""
+def open_bundle(ev: Evidence, k: int) -> str:
+    """Portable evidence that reveals what it touches, as JSON: centroids, digests, codebooks, probed lists and their
+    paths, and the places of the answers. Queries, answers and parameters are the verifier's own."""
     first = ev.probes.filter(F.col("rank") <= ev.snap.cfg.n_probe).select("list_id").distinct()
     take = lambda d: [r.asDict(True) for r in d.collect()]  # noqa: E731  one audit's parts: bounded by the configuration
-    parts = {"centroids": ev.snap.centroids, "roots": ev.roots, "codebooks": ev.snap.codebooks, "slots": ev.snap.slots.join(F.broadcast(first), "list_id", "left_semi"), "paths": ev.paths, "queries": ev.queries, "answers": ev.answers}
-    return json.dumps({"k": ev.note["k"], **{n: take(d) for n, d in parts.items()}}, sort_keys=True)
+    chosen = ev.order.filter(F.col("rank") <= k).select("query_id", "rank", "list_id", "slot")
+    parts = {"centroids": ev.snap.centroids, "roots": ev.roots, "codebooks": ev.snap.codebooks, "slots": ev.snap.slots.join(first, "list_id", "left_semi").drop("list_bucket"), "paths": ev.paths, "chosen": chosen}
+    return json.dumps({n: take(d) for n, d in parts.items()}, sort_keys=True)
 
 
-def verify_bundle(spark, bundle: str, cfg, version: C.Version) -> DataFrame:
-    """Check an opened bundle alone, without the corpus: bindings by path, then the search on the opened lists."""
+def verify_bundle(spark, bundle: str, st: Statement) -> DataFrame:
+    """Check a statement with an opened bundle alone, without the corpus: the steps run again on the opened parts, with
+    the answers' places as told, and every relation is checked, lists by their paths."""
     b = json.loads(bundle)
-    schemas = {"centroids": "list_id int, mu array<bigint>", "roots": "list_id int, root string", "codebooks": "m int, code int, word array<bigint>", "slots": "list_id int, slot int, valid tinyint, item bigint, codes array<int>", "paths": "list_id int, path array<struct<level:int,side:int,digest:string>>", "queries": "query_id bigint, q array<bigint>", "answers": "query_id bigint, rank int, item bigint, dist bigint, is_padding boolean"}
-    f = {n: spark.createDataFrame([tuple(r[c.split()[0]] for c in s.split(", ")) for r in b[n]], s) for n, s in schemas.items()}
-    snap = S.Snapshot(cfg, 0.0, f["centroids"], f["codebooks"], f["slots"])
-    ev = prove(f["queries"], snap, b["k"])
-    ev.answers, ev.roots, ev.paths = f["answers"], f["roots"], f["paths"]
-    return verify(ev, version, "multiset", "path")
+    f = {n: spark.createDataFrame([tuple(r[c.split()[0]] for c in s.split(", ")) for r in b[n]], s) for n, s in PARTS.items()}
+    snap = S.Snapshot(st.cfg, st.v_max, f["centroids"], f["codebooks"], f["slots"])
+    _, ev = prove(st.queries, snap, st.k)
+    told = ev.cand.join(f["chosen"], ["query_id", "list_id", "slot"], "left")
+    rest = Window.partitionBy("query_id", F.col("rank").isNull()).orderBy("masked", "list_id", "slot")
+    order = told.withColumn("rank", F.coalesce("rank", (F.lit(st.k) + F.row_number().over(rest)).cast("int")))
+    return verify(st, replace(ev, order=written(order, "order"), roots=f["roots"], paths=f["paths"]), "multiset", "path")

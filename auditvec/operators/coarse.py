@@ -77,4 +77,4 @@ def assign_coarse(vec: DataFrame, centroids: DataFrame, col: str = "v", exact: b
 def residuals(vec: DataFrame, assign: DataFrame, centroids: DataFrame, col: str = "v") -> DataFrame:
     """(vec_id, list_id, resid) against the centroid of the vector's list."""
     placed = vec.select("vec_id", F.col(col).alias("x")).join(assign.select("vec_id", "list_id"), "vec_id")
-    return placed.join(F.broadcast(centroids), "list_id").select("vec_id", "list_id", difference(F.col("x"), F.col("mu")).alias("resid"))
+    return placed.join(centroids, "list_id").select("vec_id", "list_id", difference(F.col("x"), F.col("mu")).alias("resid"))

@@ -11,7 +11,6 @@ from pyspark.sql.window import Window
 from ..functions.vectors import split_blocks, sqdist
 from ..session import rows_frame
 from . import kernels
-from .coarse import lloyd
 
 
 def stride_codebooks(resid: DataFrame, blocks: int, codes: int, width: int) -> DataFrame:
@@ -23,17 +22,30 @@ def stride_codebooks(resid: DataFrame, blocks: int, codes: int, width: int) -> D
     return rows.select("m", "code", "word")
 
 
-def train_codebooks(resid: DataFrame, blocks: int, codes: int, width: int, iters: int = 5, exact: bool = True) -> DataFrame:
-    """Lloyd's iterations in every block, from the stride start."""
-    start = stride_codebooks(resid, blocks, codes, width)
+def hash_codebooks(resid: DataFrame, blocks: int, codes: int, width: int, seed: int = 0) -> DataFrame:
+    """Codewords are the blocks of the residuals that come first by a hash of their ids: no global numbering."""
+    picked = resid.select("vec_id", "resid").orderBy(F.xxhash64(F.lit(seed), F.col("vec_id")), "vec_id").limit(codes).collect()
+    rows = [(m, c, list(r["resid"][m * width : (m + 1) * width])) for c, r in enumerate(picked) for m in range(blocks)]
+    return rows_frame(resid.sparkSession, rows, f"m int, code int, word {resid.schema['resid'].dataType.simpleString()}")
+
+
+def train_codebooks(resid: DataFrame, blocks: int, codes: int, width: int, iters: int = 5, exact: bool = True, init: str = "stride", seed: int = 0) -> DataFrame:
+    """Lloyd's iterations in all blocks at once, one job each. init: hash, or stride, which numbers all residuals and
+    exists for audits that SQL repeats. A codeword without members stays as it is."""
+    start = hash_codebooks(resid, blocks, codes, width, seed) if init == "hash" else stride_codebooks(resid, blocks, codes, width)
     if not iters:
         return start
     words = as_words(start)
-    kind, out = (int if exact else float), []
-    for m in range(blocks):
-        part = resid.select("vec_id", F.slice("resid", m * width + 1, width).alias("b"))
-        table = lloyd(part, words[m], iters, "b", exact, on_empty="keep")
-        out += [(m, c, [kind(x) for x in row]) for c, row in enumerate(table)]
+    for _ in range(iters):
+        new = words.copy()
+        for r in kernels.block_sums(resid, "resid", words).collect():
+            mean = np.array(r["sums"]) / r["n"]
+            new[divmod(r["list_id"], words.shape[1])] = np.floor(mean + 0.5) if exact else mean
+        if (new == words).all():
+            break
+        words = new
+    kind = int if exact else float
+    out = [(m, c, [kind(x) for x in row]) for m, table in enumerate(words) for c, row in enumerate(table)]
     return rows_frame(resid.sparkSession, out, f"m int, code int, word array<{'bigint' if exact else 'double'}>")
 
 
@@ -63,7 +75,7 @@ def encode_codes(resid: DataFrame, codebooks: DataFrame, keep: tuple[str, ...] =
 
 def decode_codes(codes: DataFrame, codebooks: DataFrame, key: str = "vec_id") -> DataFrame:
     """(key, resid): the codewords put together again."""
-    rows = codes.select(key, F.posexplode("codes").alias("m", "code")).join(F.broadcast(codebooks), ["m", "code"])
+    rows = codes.select(key, F.posexplode("codes").alias("m", "code")).join(codebooks, ["m", "code"])
     return rows.groupBy(key).agg(F.flatten(F.transform(F.array_sort(F.collect_list(F.struct("m", "word"))), lambda s: s["word"])).alias("resid"))
 
 

@@ -8,7 +8,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..config import next_power_of_two
+from ..config import Config, next_power_of_two
 from ..session import rows_frame
 from .search import Snapshot
 
@@ -95,10 +95,14 @@ def codebook_digest(codebooks: DataFrame) -> str:
     return _sha("codebook|" + ",".join(str(x) for r in rows for x in r["word"]))
 
 
+def config_digest(cfg: Config, v_max: float) -> str:
+    return _sha(cfg.canonical(v_max))
+
+
 def commit(snap: Snapshot, roots: DataFrame | None = None) -> Version:
     roots = list_roots(snap.slots, snap.cfg.slots) if roots is None else roots
     root = layout_root(list_leaf(snap.centroids, roots), snap.cfg.n_list)
-    return Version(root, codebook_digest(snap.codebooks), _sha(snap.cfg.canonical(snap.v_max)))
+    return Version(root, codebook_digest(snap.codebooks), config_digest(snap.cfg, snap.v_max))
 
 
 def recommit(old_roots: DataFrame, snap: Snapshot, changed: list[int]) -> DataFrame:

@@ -23,14 +23,25 @@ def challenges(public: str, trace_digest: str, repeats: int = 2) -> list[tuple[i
     return out
 
 
+#: Digests that one row of a trace digest folds.
+FOLD = 1024
+
+
 def trace_digest(frames: dict[str, DataFrame]) -> str:
-    """Digest of all rows of a trace whatever their order or partitions: row hashes are sorted within buckets of
-    hashes, bucket digests are folded in bucket order."""
+    """Digest of all rows of a trace whatever their order or partitions. Row hashes are counted, then folded in sorted
+    order by ranges of hashes, and the ranges' digests again, so that no row holds more than some FOLD of them."""
     out = []
     for name in sorted(frames):
         row = F.sha2(F.to_json(F.struct(*sorted(frames[name].columns))), 256)
-        buckets = frames[name].select(row.alias("h")).groupBy(F.substring("h", 1, 2).alias("b")).agg(F.sha2(F.array_join(F.array_sort(F.collect_list("h")), ""), 256).alias("d"))
-        out.append(name + "|" + "|".join(r["d"] for r in buckets.orderBy("b").collect()))
+        parts = 1 << max(0, (frames[name].count() // FOLD).bit_length())
+        rows = frames[name].select(row.alias("h")).groupBy("h").agg(F.count("*").alias("n")).select((F.conv(F.substring("h", 1, 12), 16, 10).cast("long") % parts).alias("b"), F.concat_ws(":", "h", F.col("n").cast("string")).alias("d"))
+        while True:
+            rows = rows.groupBy("b").agg(F.sha2(F.array_join(F.array_sort(F.collect_list("d")), ""), 256).alias("d"))
+            if parts <= FOLD:
+                break
+            parts //= FOLD
+            rows = rows.select((F.col("b") % parts).alias("b"), "d")
+        out.append(name + "|" + "|".join(f"{r['b']}:{r['d']}" for r in rows.orderBy("b").collect()))
     return hashlib.sha256("\n".join(out).encode()).hexdigest()
 
 
@@ -41,11 +52,16 @@ def multiset_unequal(x: DataFrame, y: DataFrame, cols: list[str], alpha: int, be
     return both.filter(~F.col("left_product").eqNullSafe(F.col("right_product"))).select(*keys)
 
 
-def multiset_unequal_exact(x: DataFrame, y: DataFrame, cols: list[str], keys: tuple[str, ...] = ("query_id",)) -> DataFrame:
-    """Keys whose bags differ, by counting every tuple on both sides."""
+def bag_difference(x: DataFrame, y: DataFrame, cols: list[str], keys: tuple[str, ...] = ("query_id",)) -> DataFrame:
+    """Keys of the tuples that one bag has more often than the other, one row a tuple."""
     c = [*keys, *cols]
     n = x.select(*c).withColumn("s", F.lit(1)).unionByName(y.select(*c).withColumn("s", F.lit(-1)))
-    return n.groupBy(*c).agg(F.sum("s").alias("s")).filter("s <> 0").select(*keys).distinct()
+    return n.groupBy(*c).agg(F.sum("s").alias("s")).filter("s <> 0").select(*keys)
+
+
+def multiset_unequal_exact(x: DataFrame, y: DataFrame, cols: list[str], keys: tuple[str, ...] = ("query_id",)) -> DataFrame:
+    """Keys whose bags differ, by counting every tuple on both sides."""
+    return bag_difference(x, y, cols, keys).distinct()
 
 
 def multiset_unequal_additive(x: DataFrame, y: DataFrame, cols: list[str], alpha: int, beta: int, keys: tuple[str, ...] = ("query_id",)) -> DataFrame:

@@ -65,6 +65,89 @@ def all_distances(df: DataFrame, id_col: str, col: str, table: np.ndarray, exact
     return df.select(id_col, col).mapInArrow(run, f"{id_col} long, list_id int, dist {'long' if exact else 'double'}")
 
 
+def nearest_lists(df: DataFrame, table: np.ndarray, n: int, exact: bool = True) -> DataFrame:
+    """(query_id, rank, list_id, dist, q) of the n nearest rows of table, ties to the smaller index: only those leave
+    the task. df: (query_id, q)."""
+    shipped = df.sparkSession.sparkContext.broadcast(checked(table))
+    dims, kind = table.shape[1], df.schema["q"].dataType.simpleString()
+
+    def run(batches):
+        for b in batches:
+            for at in range(0, b.num_rows, 256):
+                part = b.slice(at, 256)
+                d = distances(matrix(part.column("q"), dims), shipped.value)
+                i = np.argsort(d, 1, kind="stable")[:, :n]
+                best = np.take_along_axis(d, i, 1).ravel()
+                of = pa.array(np.repeat(np.arange(part.num_rows), i.shape[1]))
+                rank = np.tile(np.arange(1, i.shape[1] + 1, dtype=np.int32), part.num_rows)
+                yield pa.RecordBatch.from_arrays([part.column("query_id").take(of), pa.array(rank), pa.array(i.ravel().astype(np.int32)), pa.array(best.astype(np.int64) if exact else np.maximum(best, 0)), part.column("q").take(of)], names=["query_id", "rank", "list_id", "dist", "q"])
+
+    return df.select("query_id", "q").mapInArrow(run, f"query_id {df.schema['query_id'].dataType.simpleString()}, rank int, list_id int, dist {'long' if exact else 'double'}, q {kind}")
+
+
+def meet(probes: DataFrame, rows: DataFrame, prepare, score, schema: str) -> DataFrame:
+    """Let each probe (list_id, salt, query_id, q) meet the rows (list_id, salt, ...) of its list.
+
+    Both are dealt by (list_id, salt) and come to a task in order, a list's rows first: prepare(table of the rows) is
+    made once, then score(list_id, prepared, batch of probes) gives record batches. No row is copied per probe.
+    """
+    own = [c for c in rows.columns if c not in ("list_id", "salt")]
+    asked = [c for c in probes.columns if c not in ("list_id", "salt")]
+    null = lambda df, c: F.lit(None).cast(df.schema[c].dataType).alias(c)
+    a = rows.select("list_id", "salt", F.lit(0).alias("kind"), *[null(probes, c) for c in asked], *own)
+    b = probes.select("list_id", "salt", F.lit(1).alias("kind"), *asked, *[null(rows, c) for c in own])
+    both = a.unionByName(b).repartition("list_id", "salt").sortWithinPartitions("list_id", "salt", "kind")
+
+    def run(batches):
+        key, held, ready = None, [], None
+        for b in batches:
+            if not b.num_rows:
+                continue
+            place = np.stack([b.column(c).to_numpy() for c in ("list_id", "salt", "kind")]).astype(np.int64)
+            cuts = np.flatnonzero((place[:, 1:] != place[:, :-1]).any(0)) + 1
+            for lo, hi in zip([0, *cuts], [*cuts, b.num_rows]):
+                if tuple(place[:2, lo]) != key:
+                    key, held, ready = tuple(place[:2, lo]), [], None
+                part = b.slice(lo, hi - lo)
+                if place[2, lo] == 0:
+                    held.append(part)
+                elif held:
+                    if ready is None:
+                        ready = prepare(pa.Table.from_batches(held).select(own))
+                    yield from score(int(key[0]), ready, part)
+
+    return both.mapInArrow(run, schema)
+
+
+def block_sums(df: DataFrame, col: str, words: np.ndarray) -> DataFrame:
+    """partial_sums of every block at once; list_id is block * codes + code. words: (blocks, codes, width)."""
+    shipped = df.sparkSession.sparkContext.broadcast(checked(words))
+    blocks, codes, width = words.shape
+
+    def run(batches):
+        sums, n = np.zeros((blocks, codes, width)), np.zeros((blocks, codes), np.int64)
+        for b in batches:
+            for at in range(0, b.num_rows, 4096):
+                x = matrix(b.slice(at, 4096).column(col), blocks * width).reshape(-1, blocks, width)
+                for m in range(blocks):
+                    i = distances(x[:, m], shipped.value[m]).argmin(1)
+                    np.add.at(sums[m], i, x[:, m])
+                    n[m] += np.bincount(i, minlength=codes)
+        flat, n = sums.reshape(-1, width), n.ravel()
+        for i in np.flatnonzero(n):
+            yield pa.RecordBatch.from_arrays([pa.array([int(i)], pa.int32()), pa.array([int(n[i])], pa.int64()), pa.array([flat[i]], pa.list_(pa.float64()))], names=["list_id", "n", "sums"])
+
+    return _summed(df.select(col).mapInArrow(run, SUMS))
+
+
+SUMS = "list_id int, n long, sums array<double>"
+
+
+def _summed(parts: DataFrame) -> DataFrame:
+    by_place = parts.select("list_id", "n", F.posexplode("sums").alias("pos", "x")).groupBy("list_id", "pos").agg(F.sum("n").alias("n"), F.sum("x").alias("x"))
+    return by_place.groupBy("list_id").agg(F.first("n").alias("n"), F.transform(F.array_sort(F.collect_list(F.struct("pos", "x"))), lambda s: s["x"]).alias("sums"))
+
+
 def partial_sums(df: DataFrame, col: str, table: np.ndarray) -> DataFrame:
     """(list_id, n, sums) of the members nearest to each row of table: summed within a task, then over the tasks."""
     shipped = df.sparkSession.sparkContext.broadcast(checked(table))
@@ -81,6 +164,4 @@ def partial_sums(df: DataFrame, col: str, table: np.ndarray) -> DataFrame:
         for i in np.flatnonzero(n):
             yield pa.RecordBatch.from_arrays([pa.array([int(i)], pa.int32()), pa.array([int(n[i])], pa.int64()), pa.array([sums[i]], pa.list_(pa.float64()))], names=["list_id", "n", "sums"])
 
-    parts = df.select(col).mapInArrow(run, "list_id int, n long, sums array<double>")
-    by_place = parts.select("list_id", "n", F.posexplode("sums").alias("pos", "x")).groupBy("list_id", "pos").agg(F.sum("n").alias("n"), F.sum("x").alias("x"))
-    return by_place.groupBy("list_id").agg(F.first("n").alias("n"), F.transform(F.array_sort(F.collect_list(F.struct("pos", "x"))), lambda s: s["x"]).alias("sums"))
+    return _summed(df.select(col).mapInArrow(run, SUMS))

@@ -5,12 +5,14 @@ from __future__ import annotations
 from dataclasses import dataclass, field, replace
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..config import Config
 from ..functions.vectors import difference, split_blocks, sqdist
+from ..session import written
 from . import kernels
 from .coarse import as_table
 from .codebook import as_words
@@ -46,11 +48,11 @@ def select_probes(dist: DataFrame, n_probe: int) -> DataFrame:
 def adc_tables(probes: DataFrame, queries: DataFrame, snap: Snapshot) -> DataFrame:
     """Step 3: (query_id, list_id, m, code, val): squared distance of a residual block to each codeword."""
     cfg = snap.cfg
-    rows = probes.select("query_id", "list_id").join(queries, "query_id").join(F.broadcast(snap.centroids), "list_id")
+    rows = probes.select("query_id", "list_id").join(queries, "query_id").join(snap.centroids, "list_id")
     blocks = split_blocks(difference(F.col("q"), F.col("mu")), cfg.blocks, cfg.width)
     rows = rows.select("query_id", "list_id", F.posexplode(blocks).alias("m", "block"))
     zero = F.lit(0).cast("long" if snap.exact else "double")
-    return rows.join(F.broadcast(snap.codebooks), "m").select("query_id", "list_id", "m", "code", sqdist(F.col("block"), F.col("word"), zero).alias("val"))
+    return rows.join(snap.codebooks, "m").select("query_id", "list_id", "m", "code", sqdist(F.col("block"), F.col("word"), zero).alias("val"))
 
 
 def selected_entries(lut: DataFrame, probes: DataFrame, snap: Snapshot) -> DataFrame:
@@ -91,11 +93,59 @@ def answers_of(top: DataFrame) -> DataFrame:
     return top.select("query_id", "rank", F.when(~pad, F.col("item")).alias("item"), F.col("masked").alias("dist"), pad.alias("is_padding"))
 
 
+#: Queries that one task takes through a list; a list that more of them probe goes to several tasks.
+PROBES_A_TASK = 4096
+#: Scores that a task holds at once.
+AT_ONCE = 1 << 21
+
+
+def spread(probes: DataFrame, rows: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Both sides with a salt: rows of lists that are probed at all, once for every PROBES_A_TASK queries; each query
+    with one of its list's salts."""
+    per = written(probes.groupBy("list_id").agg(F.ceil(F.count("*") / PROBES_A_TASK).cast("int").alias("salts")), "probed-lists")
+    rows = rows.join(per, "list_id").withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))).drop("salts")
+    return probes.join(per, "list_id").withColumn("salt", F.pmod(F.xxhash64("query_id"), F.col("salts")).cast("int")).drop("salts"), rows
+
+
+def scan_lists(probes: DataFrame, snap: Snapshot, k: int, where: Column | None = None) -> DataFrame:
+    """Steps 3 to 5 inside a list: the k best (query_id, list_id, slot, item, valid, masked) of each query and probed
+    list. Tables are made and read in the kernel; what is shuffled is a query's vector a probe and each list's codes."""
+    cfg, exact = snap.cfg, snap.exact
+    ok = F.col("valid") == 1
+    ok = ok if where is None else ok & F.coalesce(where, F.lit(False))
+    slots = snap.slots.select("list_id", "slot", "item", ok.alias("ok"), "codes")
+    probes, slots = spread(probes.select("list_id", "query_id", "q"), slots)
+    shipped = slots.sparkSession.sparkContext.broadcast((kernels.checked(as_table(snap.centroids)), kernels.checked(as_words(snap.codebooks))))
+    mask = float(cfg.d_max) if exact else float("inf")
+
+    def prepare(t: pa.Table):
+        order = np.argsort(t["slot"].to_numpy(), kind="stable")
+        codes = t["codes"].combine_chunks().flatten().to_numpy().reshape(-1, cfg.blocks)[order]
+        return t["slot"].to_numpy()[order], t["item"].to_numpy()[order], t["ok"].to_numpy(zero_copy_only=False)[order], codes
+
+    def score(list_id, ready, part):
+        (slot, item, ok, codes), (cent, words) = ready, shipped.value
+        for at in range(0, part.num_rows, max(1, AT_ONCE // len(slot))):
+            some = part.slice(at, max(1, AT_ONCE // len(slot)))
+            r = (kernels.matrix(some.column("q"), cfg.dims) - cent[list_id]).reshape(-1, cfg.blocks, cfg.width)
+            adc = np.zeros((len(r), len(slot)))
+            for m in range(cfg.blocks):
+                adc += kernels.distances(r[:, m], words[m])[:, codes[:, m]]
+            adc = np.where(ok, adc if exact else np.maximum(adc, 0), mask)
+            best = np.argsort(adc, 1, kind="stable")[:, :k]
+            d = np.take_along_axis(adc, best, 1).ravel()
+            of, best = pa.array(np.repeat(np.arange(len(r)), best.shape[1])), best.ravel()
+            yield pa.RecordBatch.from_arrays([some.column("query_id").take(of), pa.array(np.full(len(best), list_id, np.int32)), pa.array(slot[best]), pa.array(item[best]), pa.array(ok[best].astype(np.int8)), pa.array(d.astype(np.int64) if exact else d)], names=["query_id", "list_id", "slot", "item", "valid", "masked"])
+
+    return kernels.meet(probes, slots, prepare, score, f"query_id long, list_id int, slot int, item long, valid tinyint, masked {'long' if exact else 'double'}")
+
+
 def search(queries: DataFrame, snap: Snapshot, k: int | None = None, n_probe: int | None = None, where: Column | None = None) -> DataFrame:
     """answers (query_id, rank, item, dist, is_padding). A rank that only padding can fill has a null item."""
-    probes = select_probes(centroid_distances(queries, snap), n_probe or snap.cfg.n_probe)
-    lut = adc_tables(probes, queries, snap)
-    return answers_of(top_k(score_candidates(lut, probes, snap, where), k or snap.cfg.k))
+    probes = written(kernels.nearest_lists(queries, as_table(snap.centroids), n_probe or snap.cfg.n_probe, snap.exact), "probes")
+    found = scan_lists(probes, snap, k or snap.cfg.k, where)
+    w = Window.partitionBy("query_id").orderBy("masked", "list_id", "slot")
+    return answers_of(found.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= (k or snap.cfg.k)))
 
 
 def search_one(vector: list, snap: Snapshot, k: int | None = None) -> DataFrame:

@@ -26,7 +26,8 @@ def build_snapshot(vectors: DataFrame, cfg: Config, v_max: float | None = None,
     n0 = vec.count()
     if balance:
         cfg.validate(n0)
-    sample = vec if train_rows is None or n0 <= train_rows else written(vec.orderBy(F.xxhash64("vec_id"), "vec_id").limit(train_rows), "training")
+    few = lambda d: d if train_rows is None or n0 <= train_rows else written(d.orderBy(F.xxhash64("vec_id"), "vec_id").limit(train_rows), "training")
+    sample = few(vec)
     cent = coarse.train_coarse(sample, cfg.n_list, iters, seed, init, exact=exact)
     cent = written(cent, "centroids")
     assign = written(coarse.assign_coarse(vec, cent, exact=exact), "assign")
@@ -36,7 +37,7 @@ def build_snapshot(vectors: DataFrame, cfg: Config, v_max: float | None = None,
     else:
         cfg = replace(cfg, slots=max(1, shaping.naive_capacity(assign)))
     resid = written(coarse.residuals(vec, assign, cent), "residuals")
-    words = written(codebook.train_codebooks(resid, cfg.blocks, cfg.codes, cfg.width, iters, exact), "codebooks")
+    words = written(codebook.train_codebooks(few(resid), cfg.blocks, cfg.codes, cfg.width, iters, exact, "stride" if init == "stride" else "hash", seed), "codebooks")
     codes = codebook.encode_codes(resid, words)
     slots = written(shaping.pad_slots(codes, cfg.n_list, cfg.slots, cfg.blocks, payload).repartition("list_id").sortWithinPartitions("list_id", "slot"), "slots")
     return Snapshot(cfg, bound, cent, words, slots, assign, moves, {"vec": vec, "resid": resid})

@@ -16,14 +16,15 @@ from ..operators.search import Snapshot
 REGISTRY = "version BIGINT, root_mk STRING, root_cb STRING, config_digest STRING, published_at TIMESTAMP, n0 BIGINT, note STRING"
 
 
-def write_snapshot(snap: Snapshot, path: str, bucket: int = 64) -> None:
+def write_snapshot(snap: Snapshot, path: str, bucket: int = 64, overwrite: bool = False) -> None:
     """Slots by ranges of lists (one folder a range, sorted), so a probe reads its ranges only; the config last."""
+    mode = "overwrite" if overwrite else "errorifexists"
     slots = snap.slots.withColumn("list_bucket", F.expr(f"list_id div {bucket}"))
-    slots.repartition("list_bucket").sortWithinPartitions("list_id", "slot").write.partitionBy("list_bucket").parquet(f"{path}/slots")
-    snap.centroids.write.parquet(f"{path}/centroids")
-    snap.codebooks.write.parquet(f"{path}/codebooks")
+    slots.repartition("list_bucket").sortWithinPartitions("list_id", "slot").write.mode(mode).partitionBy("list_bucket").parquet(f"{path}/slots")
+    snap.centroids.write.mode(mode).parquet(f"{path}/centroids")
+    snap.codebooks.write.mode(mode).parquet(f"{path}/codebooks")
     text = json.dumps({"cfg": snap.cfg.__dict__, "v_max": snap.v_max, "bucket": bucket})
-    snap.slots.sparkSession.range(1).select(F.lit(text).alias("value")).write.text(f"{path}/config")
+    snap.slots.sparkSession.range(1).select(F.lit(text).alias("value")).write.mode(mode).text(f"{path}/config")
 
 
 def read_snapshot(spark: SparkSession, path: str) -> Snapshot:
@@ -70,7 +71,7 @@ def version_as_of(requests: DataFrame, published: DataFrame, at: str = "ts") ->
     until = F.coalesce("until", F.lit(last))
     days = spans.filter(until >= F.col("published_at")).select("version", "published_at", "until", F.explode(F.sequence(day("published_at"), day(until))).alias("day"))
     inside = (F.col(at) >= F.col("published_at")) & (F.col("until").isNull() | (F.col(at) < F.col("until")))
-    joined = requests.withColumn("day", day(at)).alias("r").join(F.broadcast(days).alias("v"), (F.col("r.day") == F.col("v.day")) & inside, "left")
+    joined = requests.withColumn("day", day(at)).alias("r").join(days.alias("v"), (F.col("r.day") == F.col("v.day")) & inside, "left")
     return joined.select("r.*", "v.version").drop("day")
 
 

@@ -61,6 +61,39 @@ def epoch_builder(events: DataFrame, apply_epoch, checkpoint: str):
     return events.writeStream.foreachBatch(lambda batch, number: apply_epoch(number, batch)).option("checkpointLocation", checkpoint)
 
 
+def changed_vectors(vectors: DataFrame, events: DataFrame) -> DataFrame:
+    """vectors (vec_id, embedding, ...) after an epoch's events on them: of each vector the last event counts; 'error'
+    deletes it, any other one moves it a little along its first coordinate."""
+    n = vectors.agg(F.max("vec_id")).first()[0] + 1
+    last = events.groupBy((F.col("event_id") % n).alias("vec_id")).agg(F.max_by("event_type", F.struct("ts", "event_id")).alias("kind"), F.count("*").alias("times"))
+    moved = F.transform("embedding", lambda x, i: F.when((i == 0) & F.col("times").isNotNull(), x + F.col("times") / 1000).otherwise(x))
+    kept = vectors.join(last, "vec_id", "left").filter(F.col("kind").isNull() | (F.col("kind") != "error"))
+    return kept.select("vec_id", moved.alias("embedding"))
+
+
+def publish_epochs(events: DataFrame, vectors: DataFrame, cfg, v_max: float, registry: str, folder: str, checkpoint: str, **how):
+    """A stream of updates as versions: each micro-batch applies to what the version before it left, and the new
+    snapshot is written, committed and published under the batch's number before anything is served from it. A batch
+    that is run again finds its version published and changes nothing. (late rows of a closed epoch are part of the
+    batch that brings them, so they count from its version on.)"""
+    from ..operators import commit
+    from ..plans.snapshot import build_snapshot
+    from ..sources import store
+
+    def apply(number: int, batch: DataFrame) -> None:
+        spark = batch.sparkSession
+        if not store.versions(spark, registry).filter(F.col("version") == number).isEmpty():
+            return
+        base = vectors if number == 0 else spark.read.parquet(f"{folder}/{number - 1}/vectors")
+        changed_vectors(base, batch).write.mode("overwrite").parquet(f"{folder}/{number}/vectors")
+        now = spark.read.parquet(f"{folder}/{number}/vectors")
+        snap = build_snapshot(now, cfg, v_max, **how)
+        store.write_snapshot(snap, f"{folder}/{number}/snapshot", overwrite=True)
+        store.publish(spark, registry, number, commit.commit(snap), now.count())
+
+    return epoch_builder(events, apply, checkpoint)
+
+
 def late_rows(batch: DataFrame, closed_until) -> tuple[DataFrame, DataFrame]:
     """(in time, late): late rows belong to an epoch that is published already and go into the next one."""
     late = F.col("ts") < F.lit(closed_until)
