@@ -24,11 +24,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import small, staged
+from .shared import row_key, slices, small, staged
 
 #: Lines under the rolling hash; one line in CUT ends a chunk on average; words that make a line long.
 ROLL, CUT, LONG_WORDS = 2, 3, 50
-CHUNK = "row binary, doc_id long, line int, n_lines int, hash binary"
+CHUNK = "row binary, doc_id {}, line int, n_lines int, hash binary"
 
 
 def chunks(text: str, roll: int = ROLL, cut: int = CUT, long_words: int = LONG_WORDS) -> list[tuple[int, int, bytes]]:
@@ -71,30 +71,38 @@ def windows(sizes: list[int], long_words: int = LONG_WORDS) -> set[tuple[int, in
     return out
 
 
-def candidates(text: str, roll: int = ROLL, cut: int = CUT, long_words: int = LONG_WORDS) -> list[tuple[int, int, bytes]]:
-    """(first line, lines, bytes) of what is removed if it occurs again: windows, and shorter chunks of several lines
-    with some word."""
+def candidates(text: str, roll: int = ROLL, cut: int = CUT, long_words: int = LONG_WORDS):
+    """(first line, lines, bytes) of what is removed if it occurs again, one after the other: windows, and shorter
+    chunks of several lines with some word."""
     data = text.encode(errors="surrogatepass")
     lines = data.split(b"\n")
     ends = list(accumulate((len(x) + 1 for x in lines), initial=0))
-    out = [(i, e - i, data[ends[i] : ends[e] - 1]) for i, e in windows([len(x.split()) for x in lines], long_words)]
-    return out + [(i, n, body) for i, n, body in chunks(text, roll, cut, long_words) if n > 1 and 0 < len(body.split()) < long_words]
+    for i, e in windows([len(x.split()) for x in lines], long_words):
+        yield i, e - i, data[ends[i] : ends[e] - 1]
+    for i, n, body in chunks(text, roll, cut, long_words):
+        if n > 1 and 0 < len(body.split()) < long_words:
+            yield i, n, body
 
 
 def _cutter(roll: int, cut: int, long_words: int):
-    names = ["row", "doc_id", "line", "n_lines", "hash"]
-    kinds = [pa.binary(), pa.int64(), pa.int32(), pa.int32(), pa.binary()]
+    kinds = [pa.int32(), pa.int32(), pa.int32(), pa.binary()]
+
+    def table(part, rows):
+        at, *rest = (pa.array(list(c), k) for c, k in zip(zip(*rows), kinds))
+        return pa.RecordBatch.from_arrays([part.column("row").take(at), part.column("doc_id").take(at), *rest], names=["row", "doc_id", "line", "n_lines", "hash"])
 
     def run(batches):
         for b in batches:
-            rows = []
-            for row, doc, text in zip(b.column("row").to_pylist(), b.column("doc_id").to_pylist(), b.column("text").to_pylist()):
-                rows += [(row, doc, line, n, xxhash.xxh128_digest(body)) for line, n, body in candidates(text, roll, cut, long_words)]
-                if len(rows) > 100_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows), kinds)], names=names)
-                    rows = []
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows), kinds)], names=names)
+            for part in slices(b, "text", 1024):
+                rows = []
+                for i, text in enumerate(part.column("text")):
+                    for line, n, body in candidates(text.as_py(), roll, cut, long_words):
+                        rows.append((i, line, n, xxhash.xxh128_digest(body)))
+                        if len(rows) == 100_000:
+                            yield table(part, rows)
+                            rows = []
+                if rows:
+                    yield table(part, rows)
 
     return run
 
@@ -124,8 +132,8 @@ def _bodies(batches):
     kinds = [pa.binary(), pa.binary(), pa.int32(), pa.int32(), pa.binary()]
     for b in batches:
         rows, held = [], 0
-        for row, text, parts in zip(b.column("row").to_pylist(), b.column("text").to_pylist(), b.column("parts").to_pylist()):
-            data = text.encode(errors="surrogatepass")
+        for row, text, parts in zip(b.column("row").to_pylist(), b.column("text"), b.column("parts")):
+            data, parts = text.as_py().encode(errors="surrogatepass"), parts.as_py()
             ends = list(accumulate((len(x) + 1 for x in data.split(b"\n")), initial=0))
             for x in parts:
                 body = data[ends[x["line"]] : ends[x["line"] + x["n_lines"]] - 1]
@@ -140,17 +148,18 @@ def _bodies(batches):
 
 def repeated_lines(docs: DataFrame, roll: int = ROLL, cut: int = CUT, long_words: int = LONG_WORDS) -> DataFrame:
     """Staged rows (row, lines): per text with repeats, the line numbers to remove in order."""
-    rows = docs.select(F.col("row"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    rows = docs.select("row", "doc_id", "text")
+    kind = docs.schema["doc_id"].dataType.simpleString()
     place = F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("row").alias("c"), F.col("line").alias("d"))
-    every = rows.mapInArrow(_cutter(roll, cut, long_words), CHUNK)
+    every = rows.mapInArrow(_cutter(roll, cut, long_words), CHUNK.format(kind))
     # min and max over places tell a repeat from equal rows, without keeping the places.
     again = staged(every.groupBy("hash").agg(F.min(place).alias("first"), F.max(place).alias("last")).filter("first <> last").select("hash", "first"), "repeated-chunks")
     hit = every.join(small(again), "hash").filter(place != F.col("first"))
     begin = F.when(F.col("row") == F.col("first.c"), F.greatest("line", F.col("first.d") + F.col("n_lines"))).otherwise(F.col("line"))
     hit = hit.select("row", "hash", "line", "n_lines", begin.cast("int").alias("begin"), (F.col("line") + F.col("n_lines")).cast("int").alias("end"), F.col("first.c").alias("at"), F.col("first.d").alias("at_line")).filter("begin < end").distinct()
     part = F.struct("hash", "line", "n_lines", "begin", "end", "at", "at_line")
-    kind = "array<struct<hash:binary,line:int,n_lines:int,begin:int,end:int,at:binary,at_line:int>>"
-    chosen = staged(hit.groupBy("row").agg(F.collect_list(part).alias("parts")).mapInArrow(_coverer, f"row binary, parts {kind}"), "chosen")
+    shape = "array<struct<hash:binary,line:int,n_lines:int,begin:int,end:int,at:binary,at_line:int>>"
+    chosen = staged(hit.groupBy("row").agg(F.collect_list(part).alias("parts")).mapInArrow(_coverer, f"row binary, parts {shape}"), "chosen")
     flat = chosen.select(F.explode("parts").alias("x")).select(F.col("x.at").alias("row"), F.col("x.hash").alias("hash"), F.col("x.at_line").alias("line"), F.col("x.n_lines").alias("n_lines")).distinct()
     part = F.struct("hash", "line", "n_lines", F.col("line").alias("begin"), F.col("line").alias("end"))
     first = staged(flat.groupBy("row").agg(F.collect_list(part).alias("parts")), "first-places")
@@ -166,8 +175,7 @@ def repeated_lines(docs: DataFrame, roll: int = ROLL, cut: int = CUT, long_words
 def dedup_lines(docs: DataFrame, roll: int = ROLL, cut: int = CUT, long_words: int = LONG_WORDS) -> DataFrame:
     """Per row: doc_id, n_lines, removed_lines, removed_chunks, text without the repeated chunks."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    row = F.unhex(F.md5(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.lit("|"), text)))
-    rows = docs.select("doc_id", text.alias("text"), row.alias("row"))
+    rows = docs.select("doc_id", text.alias("text"), row_key().alias("row"))
     gone = repeated_lines(rows, roll, cut, long_words)
     stretches = F.size(F.filter("lines", lambda x, i: (i == 0) | (F.get("lines", i - 1) != x - 1)))
     gone = gone.select("row", "lines", stretches.alias("chunks"))
