@@ -6,8 +6,8 @@ on the driver over a bounded sample of labelled rows. For scoring, vectors and o
 bucket, so a whole text costs one table lookup a word.
 
 Defined results: null and empty texts have no features and get the output layer's bias alone; repeated rows are
-scored each; without labelled rows of both classes, every score is the share of class 1 (0.5 if none); extra
-columns are ignored by score_quality and kept by keep_quality.
+scored each; with labelled rows of one class only, every score is the share of class 1 (0 or 1, to 1e-12), without any
+0.5; extra columns are ignored by score_quality and kept by keep_quality.
 """
 
 from __future__ import annotations
@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .features import Vocabulary, gram_buckets, held_out, training_rows, word_buckets
+from .shared import slices
 
 #: Labelled rows of class 0 and 1 used for training at most.
 MOST = (1500, 1500)
@@ -37,10 +38,10 @@ class Model:
     bias: float
 
 
-def _pieces(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets of words and of their character n-grams, and which word each is of."""
-    flat, own = gram_buckets(words, GRAMS, BUCKETS)
-    return np.concatenate([word_buckets(words, BUCKETS, 1), flat]), np.concatenate([np.arange(len(words)), own])
+def _pieces(words: list[bytes]):
+    """Buckets of words and of their character n-grams, and which word each is of, piece by piece."""
+    yield word_buckets(words, BUCKETS, 1), np.arange(len(words))
+    yield from gram_buckets(words, GRAMS, BUCKETS)
 
 
 def _pairs(h: np.ndarray) -> np.ndarray:
@@ -56,19 +57,26 @@ def _features(text: str) -> tuple[np.ndarray, np.ndarray]:
     if not words:
         return np.zeros(0, np.int64), np.zeros(0, np.float32)
     distinct, at, times = np.unique(np.array(words, object), return_inverse=True, return_counts=True)
-    flat, own = _pieces(list(distinct))
-    pairs = _pairs(word_buckets(list(distinct), 1 << 32, 3)[at])
-    ids, back = np.unique(np.concatenate([flat, pairs]), return_inverse=True)
-    n = np.bincount(back, np.concatenate([times[own], np.ones(len(pairs))]))
-    return ids, (n / n.sum()).astype(np.float32)
+    n = np.bincount(_pairs(word_buckets(list(distinct), 1 << 32, 3)[at]), minlength=BUCKETS).astype(np.float64)
+    for flat, own in _pieces(list(distinct)):
+        n += np.bincount(flat, times[own], BUCKETS)
+    ids = np.flatnonzero(n)
+    return ids.astype(np.int32), (n[ids] / n.sum()).astype(np.float32)
 
 
 def fit(rows: list[tuple[str, int]], steps: int = STEPS, seed: int = SEED) -> Model:
+    """The trained parts, folded: what a softmax over two classes gives for class 1 hangs on their difference alone."""
+    vectors, out, bias = fit_parts(rows, steps, seed)
+    return Model(vectors @ (out[1] - out[0]), float(bias[1] - bias[0]))
+
+
+def fit_parts(rows: list[tuple[str, int]], steps: int = STEPS, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(vectors, output layer, its bias)."""
     epochs = max(2, -(-steps * BATCH // max(1, len(rows))))
     y = np.array([r[1] for r in rows], np.float32)
     share = float(y.mean()) if len(y) else 0.5
     if not 0 < share < 1:
-        return Model(np.zeros(BUCKETS, np.float32), float(np.log(max(share, 1e-3) / max(1 - share, 1e-3))))
+        return np.zeros((BUCKETS, DIM), np.float32), np.zeros((2, DIM), np.float32), np.array([0, np.log(max(share, 1e-12) / max(1 - share, 1e-12))])
     rng = np.random.default_rng(seed)
     docs = [_features(t) for t, _ in rows]
     vectors = rng.uniform(-1 / DIM, 1 / DIM, (BUCKETS, DIM)).astype(np.float32)
@@ -95,13 +103,16 @@ def fit(rows: list[tuple[str, int]], steps: int = STEPS, seed: int = SEED) -> Mo
             grad = np.stack([np.bincount(where, back[row, d] * val, len(distinct)) for d in range(DIM)], 1).astype(np.float32)
             seen[distinct] += (grad * grad).mean(1)
             vectors[distinct] -= rate * grad / np.sqrt(seen[distinct])[:, None]
-    return Model(vectors @ (out[1] - out[0]), float(bias[1] - bias[0]))
+    return vectors, out, bias
 
 
 def _vocabulary(weights: np.ndarray) -> Vocabulary:
     def describe(words: list[bytes]) -> dict:
-        flat, own = _pieces(words)
-        return {"sum": np.bincount(own, weights[flat], len(words)), "n": np.bincount(own, minlength=len(words)).astype(np.float64), "h": word_buckets(words, 1 << 32, 3)}
+        total, n = np.zeros(len(words)), np.zeros(len(words))
+        for flat, own in _pieces(words):
+            total += np.bincount(own, weights[flat], len(words))
+            n += np.bincount(own, minlength=len(words))
+        return {"sum": total, "n": n, "h": word_buckets(words, 1 << 32, 3)}
 
     return Vocabulary(describe)
 
@@ -151,9 +162,10 @@ def _scorer(model: Model, cols: list[str], key: str):
     def run(batches):
         if _WORKER.get("key") != key:  # kept between the tasks of a worker
             _WORKER.update(key=key, vocabulary=_vocabulary(model.weights))
-        for b in batches:
-            s = score_texts(b.column("text").to_pylist(), model, _WORKER["vocabulary"])
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in cols), pa.array(s, pa.float64())], names=[*cols, "score"])
+        for batch in batches:
+            for b in slices(batch, "text", 2048):
+                s = score_texts(b.column("text").to_pylist(), model, _WORKER["vocabulary"])
+                yield pa.RecordBatch.from_arrays([*(b.column(c) for c in cols), pa.array(s, pa.float64())], names=[*cols, "score"])
 
     return run
 

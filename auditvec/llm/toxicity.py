@@ -9,6 +9,9 @@ worst window, a clean one through its worst and some random windows.
 For scoring, whatever depends on a word alone (both directions' input products) is kept per distinct word, and
 windows of many texts step together.
 
+Every word of a text is read whole, in training and scoring; statements of up to WINDOW - STRIDE + 1 words lie whole in
+some window.
+
 Defined results: null and empty texts are one window without words and score as the network scores that; repeated
 rows are scored each; without labelled rows of both classes every score is the share of class 1 (0 if none); other
 columns are ignored.
@@ -24,10 +27,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .features import Vocabulary, gram_buckets, held_out, training_rows, word_buckets
+from .shared import slices
 
 #: Labelled rows of class 0 and 1 used for training at most.
 MOST = (3000, 1000)
-WINDOW, STRIDE = 32, 24
+WINDOW, STRIDE = 32, 16
 WORD_BUCKETS, GRAM_BUCKETS, HIDDEN, WIDTH, ATTEND = 1 << 14, 1 << 14, 8, 8, 8
 STEPS, BATCH, RATE, SEED, CLEAN_PER_TOXIC, CLEAN_RATED = 240, 128, 0.01, 3, 3, 6
 THRESHOLD = 0.3
@@ -42,10 +46,10 @@ def _words(text) -> list[bytes]:
     return (text or "").encode(errors="replace").lower().split()
 
 
-def _pieces(words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Each word's bucket; buckets of all character n-grams, and which word each is of."""
+def _pieces(words: list[bytes]):
+    """Each word's bucket; buckets of all character n-grams, and which word each is of, piece by piece."""
     bare = [w.strip(_EDGE) or w for w in words]
-    return word_buckets(bare, WORD_BUCKETS, 11), *gram_buckets(bare, GRAMS, GRAM_BUCKETS)
+    return word_buckets(bare, WORD_BUCKETS, 11), gram_buckets(bare, GRAMS, GRAM_BUCKETS)
 
 
 def _sigmoid(x):
@@ -82,7 +86,7 @@ def _steps(px: np.ndarray, there: np.ndarray, p: dict, keep: bool):
         new = n + z * (h - n)
         if keep:
             saved.append((h, z, r, n, hw[..., 2 * HIDDEN :]))
-        h = new if there is None else h + there[:, t] * (new - h)
+        h = new if there is None else np.where(there[:, t] > 0, new, h)
         states[:, t] = h
     return states, saved
 
@@ -108,10 +112,13 @@ class Words:
         return np.array([self.at.setdefault(w, len(self.at)) for w in words], np.int64)
 
     def close(self) -> None:
-        self.word, flat, own = _pieces(list(self.at))
-        flat = flat[np.argsort(own, kind="stable")]
-        n = np.bincount(own, minlength=len(self.at))
-        self.grams = np.split(flat, np.cumsum(n)[:-1])
+        self.word, pieces = _pieces(list(self.at))
+        self.grams = [np.zeros(0, np.int32)] * len(self.at)
+        for flat, own in pieces:
+            order = np.argsort(own, kind="stable")
+            ids, first = np.unique(own[order], return_index=True)
+            for i, some in zip(ids, np.split(flat[order].astype(np.int32), first[1:])):
+                self.grams[i] = np.concatenate([self.grams[i], some]) if len(self.grams[i]) else some
 
 
 def _inputs(ids: np.ndarray, words: Words, p: dict):
@@ -191,7 +198,7 @@ def _first_guess(windows: list[np.ndarray], y: np.ndarray, words: Words) -> np.n
 def fit(rows: list[tuple[str, int]], steps: int = STEPS, seed: int = SEED) -> dict[str, np.ndarray]:
     """Parameters after about `steps` steps; with one class only, {'constant': its share}."""
     y = np.array([r[1] for r in rows], np.int64)
-    epochs = min(16, max(4, -(-steps * BATCH // max(1, (2 + CLEAN_PER_TOXIC) * int(y.sum())))))
+    epochs = max(4, -(-steps * BATCH // max(1, (2 + CLEAN_PER_TOXIC) * int(y.sum()))))
     if not 0 < y.sum() < len(y):
         return {"constant": np.array([float(y.mean()) if len(y) else 0.0])}
     rng, words, windows = np.random.default_rng(seed), Words(), []
@@ -238,10 +245,13 @@ def fit(rows: list[tuple[str, int]], steps: int = STEPS, seed: int = SEED) -> di
 
 def _vocabulary(p: dict) -> Vocabulary:
     def describe(words: list[bytes]) -> dict:
-        where, flat, own = _pieces(words)
-        n = np.bincount(own, minlength=len(words))
-        means = np.stack([np.bincount(own, p["gram"][flat, d], len(words)) for d in range(WIDTH)], 1) / n[:, None]
-        x = np.concatenate([p["word"][where], means], 1).astype(np.float32)
+        where, pieces = _pieces(words)
+        n, total = np.zeros(len(words)), np.zeros((len(words), WIDTH))
+        for flat, own in pieces:
+            n += np.bincount(own, minlength=len(words))
+            for d in range(WIDTH):
+                total[:, d] += np.bincount(own, p["gram"][flat, d], len(words))
+        x = np.concatenate([p["word"][where], total / n[:, None]], 1).astype(np.float32)
         return {"there": x @ p["wx"][0] + p["bx"][0], "back": x @ p["wx"][1] + p["bx"][1]}
 
     return Vocabulary(describe)
@@ -297,9 +307,10 @@ def _scorer(p: dict, key: str):
     def run(batches):
         if _WORKER.get("key") != key:  # kept between the tasks of a worker
             _WORKER.update(key=key, vocabulary=None if "constant" in p else _vocabulary(p))
-        for b in batches:
-            s = score_texts(b.column("text").to_pylist(), p, _WORKER["vocabulary"])
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(s, pa.float64())], names=["doc_id", "score"])
+        for batch in batches:
+            for b in slices(batch, "text", 2048):
+                s = score_texts(b.column("text").to_pylist(), p, _WORKER["vocabulary"])
+                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(s, pa.float64())], names=["doc_id", "score"])
 
     return run
 
