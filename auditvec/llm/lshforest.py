@@ -382,7 +382,7 @@ def near_duplicates(docs: DataFrame, width: int = WORDS, least: tuple[int, int]
     """Per row of docs: doc_id, n_shingles, component_id, kept. least: similarity as a fraction (85, 100)."""
     rows, named = _classified(docs, width, least, trees, depth, shallow, few)
     first = named.groupBy("label").agg(F.min("rep").alias("component_id"))
-    component = named.join(first, "label").select("cls", "component_id", F.lit(True).alias("__in"))
+    component = _salted(named, "cls", staged(first, "first-ids"), ["label"]).select("cls", "component_id", F.lit(True).alias("__in"))
     out = rows.join(component, "cls", "left").withColumn("component_id", F.when(F.col("__in"), F.col("component_id")).otherwise(F.col("doc_id")))
     return out.select("doc_id", F.col("n").alias("n_shingles"), "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
@@ -392,7 +392,7 @@ def keep_one(docs: DataFrame, width: int = WORDS, least: tuple[int, int] = LEAST
     rows, named = _classified(docs, width, least, **({"trees": TREES, "depth": DEPTH, "shallow": SHALLOW, "few": FEW} | how))
     grouped = rows.filter("cls is not null").join(named.select("cls", "label"), "cls").select("label", "row", F.struct(F.col("doc_id").isNull().alias("a"), F.col("doc_id").alias("b"), F.col("row").alias("c")).alias("place"))
     best = grouped.groupBy("label").agg(F.min("place").alias("place"), F.count("*").alias("n")).filter("n > 1").select("label", F.col("place.c").alias("stays"))
-    many = grouped.select("label", "row").join(best, "label").select("row", (F.col("row") == F.col("stays")).alias("stays"))
+    many = _salted(grouped.select("label", "row"), "row", staged(best, "stays"), ["label"]).select("row", (F.col("row") == F.col("stays")).alias("stays"))
     many = staged(many.groupBy("row", "stays").agg(F.count("*").alias("n")).filter("not stays or n > 1"), "copies")
     mark = "__row"
     while mark in (c.lower() for c in docs.columns):
