@@ -3,6 +3,9 @@
 A text's digest and the tokenizer's digest look up stored counts; only distinct texts that the cache lacks are
 encoded, and their counts are appended to it. Counts equal the tokenizer library's own for the whole text.
 
+Texts are reduced to one a digest within each task before they move, so copies are not shuffled; the counts come back
+by a join of two written tables, in which Spark splits the rows of a frequent digest.
+
 Normalised content is the text itself, a null read as empty: any further change could change the count.
 
 Defined results: null and empty texts have 0 bytes and 0 tokens; repeated texts are encoded once; a digest that is
@@ -21,10 +24,12 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import slices, staged
+
 LIMIT = 512
-CACHE_SCHEMA = "content string, tokenizer string, n_tokens long"
-#: Words whose counts a worker remembers; beyond it, it starts anew.
-REMEMBERED = 300_000
+CACHE_SCHEMA = "content binary, tokenizer string, n_tokens long"
+#: Words, and bytes of a word, whose counts a worker remembers; beyond it, it starts anew.
+REMEMBERED, SHORT = 200_000, 64
 #: The published split rule of byte-level BPE vocabularies (a fixed value).
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 #: Texts with other characters go to the library whole: Unicode versions may class them differently.
@@ -66,7 +71,7 @@ class Counter:
         if len(self.known) > REMEMBERED:
             self.known.clear()
         out, whole, known = [0] * len(texts), [], self.known
-        pieces, new = {}, {}
+        pieces, new, long = {}, {}, {}
         for i, t in enumerate(texts):
             if self.unsure.search(t) or any(s in t for s in self.special):
                 whole.append(i)
@@ -74,9 +79,10 @@ class Counter:
             pieces[i] = words = self.split.findall(t)
             new.update((w, 0) for w in set(words) if w not in known)
         if new:  # a word of the split rule splits into itself alone, so its count stands by itself
-            known.update(zip(new, self.encode(list(new))))
+            for w, n in zip(new, self.encode(list(new))):
+                (known if len(w) <= SHORT else long)[w] = n
         for i, words in pieces.items():
-            out[i] = sum(map(known.__getitem__, words))
+            out[i] = sum(known[w] if w in known else long[w] for w in words) if long else sum(map(known.__getitem__, words))
         for i, n in zip(whole, self.encode([texts[i] for i in whole]) if whole else []):
             out[i] = n
         return out
@@ -95,8 +101,7 @@ def _encoder(shipped, kind: str, digest: str):
         if _WORKER.get("digest") != digest:  # kept between the tasks of a worker
             _WORKER.update(digest=digest, counter=Counter(shipped.value, kind))
         for b in batches:
-            for at in range(0, b.num_rows, 64):
-                part = b.slice(at, 64)
+            for part in slices(b, "text", 64, 4 << 20):
                 n = _WORKER["counter"].counts(part.column("text").to_pylist())
                 yield pa.RecordBatch.from_arrays([part.column("content"), pa.array([digest] * len(n)), pa.array(n, pa.int64())], names=["content", "tokenizer", "n_tokens"])
 
@@ -118,9 +123,9 @@ def count_tokens(docs: DataFrame, tokenizer: str, cache: str, limit: int = LIMIT
     spark = docs.sparkSession
     blob, kind, digest = read_tokenizer(tokenizer)
     text = F.coalesce(F.col("text"), F.lit(""))
-    rows = docs.select("doc_id", text.alias("text"), F.sha2(text, 256).alias("content"))
-    missing = rows.select("content", "text").join(_cached(spark, cache, digest), "content", "left_anti").groupBy("content").agg(F.any_value("text").alias("text"))
+    rows = docs.select("doc_id", text.alias("text"), F.unhex(F.sha2(text, 256)).alias("content"))
+    missing = rows.groupBy("content").agg(F.any_value("text").alias("text")).join(_cached(spark, cache, digest), "content", "left_anti")
     missing.mapInArrow(_encoder(spark.sparkContext.broadcast(blob), kind, digest), CACHE_SCHEMA).write.mode("append").parquet(cache)
     sized = rows.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), "content")
-    out = sized.join(_cached(spark, cache, digest), "content")
+    out = sized.join(staged(_cached(spark, cache, digest), "counts"), "content")
     return out.select("doc_id", "n_bytes", "n_tokens", (F.col("n_tokens") > limit).alias("over_limit"))
