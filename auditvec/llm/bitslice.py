@@ -7,7 +7,7 @@ most significant slice downward the best rows are told apart; rows that tie at t
 smaller vec_id. Blocks give their best k each, which a window ranks.
 
 Defined results: a vector that is null, empty, or holds a null or a non-finite component takes no part, as query or
-row; vectors of other lengths are read as padded with 0; rows that repeat a vec_id are candidates each, and none of
+row; a component beyond the range of 53-bit integers when scaled is an error; vectors of other lengths are read as padded with 0; rows that repeat a vec_id are candidates each, and none of
 them is a candidate of a query with that id; queries that repeat id and vector are one query; extra columns are
 ignored; an empty table gives an empty result.
 """
@@ -16,22 +16,28 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .shared import staged
+
 SCALE, K, EVERY = 256, 5, 50
-#: Rows of a block and queries of a batch: a task holds one of either.
-BLOCK_ROWS, BATCH_QUERIES = 32768, 128
-INDEX = "ids binary, least binary, widths binary, slices binary"
+#: Rows of a block and queries of a batch: a task holds one of either. A block moves once a batch, so what moves is
+#: some kilobytes a query and block, against milliseconds of work.
+BLOCK_ROWS, BATCH_QUERIES = 32768, 512
+INDEX = "block int, ids binary, least binary, widths binary, slices binary"
 
 
 def quantised(vectors: DataFrame, id_col: str = "vec_id", col: str = "embedding", scale: int = SCALE) -> DataFrame:
     """(vec_id, q array<long>) of the vectors that take part."""
     e = F.col(col)
     fit = F.forall(e, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
-    good = vectors.select(F.col(id_col).alias("vec_id"), e.alias("e")).filter(F.col("vec_id").isNotNull() & e.isNotNull() & (F.size(e) > 0) & fit)
-    return good.select("vec_id", F.transform("e", lambda x: F.floor(x.cast("double") * scale).cast("long")).alias("q"))
+    good = vectors.select(F.col(id_col).cast("long").alias("vec_id"), e.alias("e")).filter(F.col("vec_id").isNotNull() & e.isNotNull() & (F.size(e) > 0) & fit)
+    x = F.transform("e", lambda x: F.floor(x.cast("double") * scale).cast("long"))
+    far = F.exists("e", lambda x: F.abs(x.cast("double") * scale) >= float(1 << 53))
+    return good.select("vec_id", F.when(far, F.raise_error(F.lit("a component is too large for the index"))).otherwise(x).alias("q"))
 
 
 def _slice(ids: np.ndarray, values: np.ndarray) -> dict[str, bytes]:
@@ -46,12 +52,8 @@ def _slice(ids: np.ndarray, values: np.ndarray) -> dict[str, bytes]:
 
 
 def _blocks(batches):
-    def emit():
-        width = max(v.shape[1] for v in vals)
-        out = _slice(np.concatenate(ids), np.concatenate([np.pad(v, ((0, 0), (0, width - v.shape[1]))) for v in vals]))
-        return pa.RecordBatch.from_pydict({k: pa.array([v], pa.binary()) for k, v in out.items()})
-
-    ids, vals, n = [], [], 0
+    """One block of all rows of a partition."""
+    ids, vals = [], []
     for b in batches:
         lists = b.column("q")
         sizes = np.diff(lists.offsets.to_numpy())
@@ -67,17 +69,15 @@ def _blocks(batches):
                     part[i - lo, : sizes[i]] = flat[at[i] : at[i + 1]]
             ids.append(own[lo:hi])
             vals.append(part)
-            n += hi - lo
-            if n >= BLOCK_ROWS:
-                yield emit()
-                ids, vals, n = [], [], 0
-    if n:
-        yield emit()
+    if ids:
+        width = max(v.shape[1] for v in vals)
+        out = _slice(np.concatenate(ids), np.concatenate([np.pad(v, ((0, 0), (0, width - v.shape[1]))) for v in vals]))
+        yield pa.RecordBatch.from_pydict({"block": pa.array([TaskContext.get().partitionId()], pa.int32()), **{k: pa.array([v], pa.binary()) for k, v in out.items()}})
 
 
 def build_index(rows: DataFrame, n_rows: int) -> DataFrame:
-    """One row a block. Rows are dealt evenly, whatever their ids."""
-    return rows.repartition(max(1, -(-n_rows // BLOCK_ROWS))).mapInArrow(_blocks, INDEX)
+    """A written table with one row a block. Rows are dealt evenly, whatever their ids."""
+    return staged(rows.repartition(max(1, -(-n_rows // BLOCK_ROWS))).mapInArrow(_blocks, INDEX), "bit-slices")
 
 
 def signed_digits(x: int) -> list[tuple[int, int]]:
@@ -173,28 +173,40 @@ class Block:
 
 
 def _searcher(k: int):
+    names = ("query_id", "query_key", "vec_id", "score")
+
     def run(batches):
+        """Rows in order of (block, batch): a batch's queries, then the block."""
+        at, asked = None, []
         for b in batches:
-            for row in b.to_pylist():
-                block, out = Block(row), []
-                for x in row["queries"]:
-                    q = np.array(x["q"], np.int64)
-                    rows, scores = block.best(x["vec_id"], q, k)
-                    out += [(x["vec_id"], x["key"], int(block.ids[r]), s) for r, s in zip(rows, scores)]
-                cols = list(zip(*out)) or [[], [], [], []]
-                yield pa.RecordBatch.from_pydict({n: pa.array(list(c), pa.int64()) for n, c in zip(("query_id", "query_key", "vec_id", "score"), cols)})
+            for i in range(0, b.num_rows, 256):
+                for row in b.slice(i, 256).to_pylist():
+                    if (row["block"], row["batch"]) != at:
+                        at, asked = (row["block"], row["batch"]), []
+                    if row["ids"] is None:
+                        asked.append((row["vec_id"], row["key"], np.array(row["q"], np.int64)))
+                        continue
+                    block, out = Block(row), []
+                    for query, key, q in asked:
+                        rows, scores = block.best(query, q, k)
+                        out += [(query, key, int(block.ids[r]), x) for r, x in zip(rows, scores)]
+                    cols = list(zip(*out)) or [[]] * 4
+                    yield pa.RecordBatch.from_pydict({n: pa.array(list(c), pa.int64()) for n, c in zip(names, cols)})
 
     return run
 
 
 def search_index(index: DataFrame, n_blocks: int, queries: DataFrame, n_queries: int, k: int = K) -> DataFrame:
-    """queries (vec_id, q) against every block, in batches: a row of the plan is one block with one batch."""
+    """queries (vec_id, q) against every block, in batches: a task takes a batch's queries and then the block."""
     n = max(1, -(-n_queries // BATCH_QUERIES))
-    key = F.xxhash64("q")
-    batch = F.pmod(F.xxhash64("vec_id", "q"), F.lit(n)).cast("int")
-    batches = queries.dropDuplicates(["vec_id", "q"]).groupBy(batch.alias("batch")).agg(F.collect_list(F.struct("vec_id", key.alias("key"), "q")).alias("queries"))
-    pairs = index.withColumn("batch", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).join(batches, "batch").drop("batch")
-    found = pairs.repartition(max(1, min(n * n_blocks, 10_000))).mapInArrow(_searcher(k), "query_id long, query_key long, vec_id long, score long")
+    every = lambda m: F.explode(F.sequence(F.lit(0), F.lit(m - 1)))
+    none = [F.lit(None).cast("binary").alias(c) for c in ("ids", "least", "widths", "slices")]
+    batch = F.pmod(F.xxhash64("vec_id", "q"), F.lit(n)).cast("int").alias("batch")
+    asked = queries.dropDuplicates(["vec_id", "q"]).select(every(n_blocks).alias("block"), batch, "vec_id", F.xxhash64("q").alias("key"), "q", *none)
+    null = lambda kind, name: F.lit(None).cast(kind).alias(name)
+    blocks = index.select("block", every(n).alias("batch"), null("long", "vec_id"), null("long", "key"), null("array<long>", "q"), "ids", "least", "widths", "slices")
+    dealt = asked.unionByName(blocks).repartition(max(1, min(n * n_blocks, 10_000)), "block", "batch").sortWithinPartitions("block", "batch", F.col("ids").isNotNull())
+    found = dealt.mapInArrow(_searcher(k), "query_id long, query_key long, vec_id long, score long")
     best = Window.partitionBy("query_id", "query_key").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
