@@ -1,10 +1,14 @@
 """WARC archives with revisit resolution.
 
-Headers are shuffled by payload digest; of records with equal payloads the one with the largest page_id stays a
-response and the others become revisit records that refer to it, with fresh headers and no payload. Archives are
-written by Spark's own text sink (a record is a value, the blank lines after it are the separator), so its commit
-protocol covers lost executors and any file system works. Reading takes whole files, which the writer keeps
-bounded, and follows each record's Content-Length.
+Headers (page, digest, size) are shuffled by payload digest; of records with equal payloads the one with the largest
+page_id stays a response and the others become revisit records that refer to it, with fresh headers and no payload.
+Payloads stay where they are read, as long as the list of revisits is small enough to broadcast; beyond that, pages
+move once, dealt by page and digest.
+
+Archives are written by Spark's own text sink (a record is a value, the blank lines after it are the separator), so
+its commit protocol covers lost executors and any file system works. Records are written by size class, each with as
+many records a file as keep it below FILE_BYTES (one, if a record is larger); reading takes whole files and follows
+each record's Content-Length.
 
 Defined results: a null html is an empty payload; a null url has no target header; line breaks in a url are
 escaped; rows that share the largest page_id are responses each; a null page_id is smaller than any other and, where
@@ -22,19 +26,21 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .shared import small, staged
+
 MIN_BYTES = 0
 #: The date of fresh headers; a parameter, so that reruns agree.
 DATE = "2024-01-01T00:00:00Z"
-RECORDS_PER_FILE = 20_000
+#: Uncompressed bytes of a file at most, and the payload sizes that part the size classes.
+FILE_BYTES, CLASSES = 128 << 20, (32 << 10, 512 << 10, 8 << 20)
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 #: Digits of base 32 as number formatting has them, and as RFC 4648 has them (fixed values).
 _FROM, _TO = "0123456789ABCDEFGHIJKLMNOPQRSTUV", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
 READ = "warc_type string, record_id string, refers_id string, page_id long, uri string, payload_digest string, computed_digest string, payload_bytes long"
 
 
-def base32_sha1(text: Column) -> Column:
-    """Base 32 of the SHA-1: 160 bits are eight groups of five hex digits, four base-32 digits each."""
-    h = F.sha1(text)
+def base32(h: Column) -> Column:
+    """Base 32 of a SHA-1 in hex: 160 bits are eight groups of five hex digits, four base-32 digits each."""
     groups = [F.lpad(F.conv(F.substring(h, 5 * i + 1, 5), 16, 32), 4, "0") for i in range(8)]
     return F.translate(F.concat(*groups), _FROM, _TO)
 
@@ -47,11 +53,15 @@ def _uuid(*parts: Column) -> Column:
 def resolve_pages(pages: DataFrame, min_bytes: int = MIN_BYTES) -> DataFrame:
     """pages with payload, payload_bytes, payload_digest, record_type and refers_to."""
     payload = F.coalesce(F.col("html"), F.lit(""))
-    rows = pages.select("page_id", F.col("url").cast("string").alias("url"), payload.alias("payload")).withColumns({"payload_bytes": F.octet_length("payload").cast("long"), "payload_digest": base32_sha1(F.col("payload"))})
-    first = rows.groupBy("payload_digest", "payload_bytes").agg(F.max("page_id").alias("__first"), F.count("*").alias("__n")).filter(F.col("__n") > 1)
-    again = (F.col("payload_bytes") >= min_bytes) & F.col("__first").isNotNull() & (F.col("page_id").isNull() | (F.col("page_id") < F.col("__first")))
-    out = rows.join(first, ["payload_digest", "payload_bytes"], "left").withColumn("__again", F.coalesce(again, F.lit(False)))
-    return out.select("page_id", "url", "payload", "payload_bytes", "payload_digest", F.when(F.col("__again"), "revisit").otherwise("response").alias("record_type"), F.when(F.col("__again"), F.col("__first")).alias("refers_to"))
+    rows = pages.select("page_id", F.col("url").cast("string").alias("url"), payload.alias("payload")).withColumns({"payload_bytes": F.octet_length("payload").cast("long"), "__sha": F.unhex(F.sha1("payload"))})
+    heads = staged(rows.select("page_id", "__sha", "payload_bytes"), "page-heads")
+    first = heads.groupBy("__sha", "payload_bytes").agg(F.max("page_id").alias("__first"), F.count("*").alias("__n"))
+    first = staged(first.filter((F.col("__n") > 1) & F.col("__first").isNotNull() & (F.col("payload_bytes") >= min_bytes)).drop("__n"), "page-groups")
+    again = heads.join(small(first), ["__sha", "payload_bytes"]).filter(F.col("page_id").isNull() | (F.col("page_id") < F.col("__first")))
+    again = staged(again.select(F.col("page_id").alias("__page"), F.col("__sha").alias("__of"), "__first").distinct(), "revisits")
+    out = rows.join(small(again), F.col("page_id").eqNullSafe(F.col("__page")) & (F.col("__sha") == F.col("__of")), "left")
+    kind = F.when(F.col("__of").isNotNull(), "revisit").otherwise("response")
+    return out.select("page_id", "url", "payload", "payload_bytes", base32(F.lower(F.hex("__sha"))).alias("payload_digest"), kind.alias("record_type"), F.col("__first").alias("refers_to"))
 
 
 def write_archives(resolved: DataFrame, path: str, date: str = DATE) -> None:
@@ -67,7 +77,12 @@ def write_archives(resolved: DataFrame, path: str, date: str = DATE) -> None:
         line("WARC-Payload-Digest", F.concat(F.lit("sha1:"), F.col("payload_digest"))), F.when(again, F.concat(line("WARC-Refers-To", own(F.col("refers_to"))), line("WARC-Profile", F.lit(PROFILE)))).otherwise(F.lit("")),
         line("X-Page-ID", F.col("page_id")), line("Content-Type", F.lit("application/http; msgtype=response")), line("Content-Length", block_bytes), F.lit("\r\n"), http, F.when(again, F.lit("")).otherwise(F.col("payload")),
     )
-    resolved.select(record.alias("value")).write.option("lineSep", "\r\n\r\n").option("compression", "gzip").option("maxRecordsPerFile", RECORDS_PER_FILE).text(path)
+    stored = F.when(again, 0).otherwise(F.col("payload_bytes"))
+    group = sum(((stored > c).cast("int") for c in CLASSES), F.lit(0))
+    rows = resolved.select(record.alias("value"), group.alias("__group"))
+    for i in sorted(r[0] for r in resolved.select(group).distinct().collect()) or [0]:
+        many = 1 if i == len(CLASSES) else FILE_BYTES // CLASSES[i]
+        rows.filter(F.col("__group") == i).select("value").write.mode("append").option("lineSep", "\r\n\r\n").option("compression", "gzip").option("maxRecordsPerFile", many).text(path)
 
 
 def records(content: bytes):
