@@ -904,6 +904,28 @@ def list_sweep(spark, sf_dir):
     return cost.with_costs(_sweep(spark)).select(F.col("dims").alias("D"), "n_list", "printed", "gates", "bin", cost.padded_bin(F.col("printed")).alias("printed_bin"))
 
 
+#: Numbers of lists whose work is counted.
+COUNTED = (8, 16, 32)
+
+
+def _work_sql(lists: int) -> str:
+    tables = {"distances": "cd", "probes": "prb", "tables": "lut", "lookups": "sel", "scores": "cnd", "topk": "ans"}
+    probes = lists * X.PROBES // X.LISTS
+    made = {"distances": f"{lists}", "probes": f"{probes}", "tables": f"{probes} * 8 * 16", "lookups": f"{probes} * n * 8", "scores": f"{probes} * n", "topk": f"least(10, {probes} * n)"}
+    counts = " UNION ALL ".join(f"SELECT {lists}::BIGINT AS n_list, '{s}' AS step, (SELECT count(*) FROM {t}) AS n_rows, ((SELECT count(*) FROM qry) * {made[s]})::BIGINT AS modelled FROM room" for s, t in tables.items())
+    return f"SELECT * FROM (WITH {found_sql(lists, probes)} {counts})"
+
+
+@query(" UNION ALL ".join(_work_sql(n) for n in COUNTED))
+def work_counters(spark, sf_dir):
+    """Rows that the steps make on real tables as the number of lists grows, beside the cost model's numbers."""
+    out = None
+    for lists in COUNTED:
+        one = cost.counted_work(X.queries(spark, sf_dir), X.swept(spark, sf_dir, lists)).select(F.lit(lists).alias("n_list"), "step", "n_rows", "modelled")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @query(f"WITH {SWEEP_SQL} SELECT d::BIGINT AS D, round(regr_slope(printed, n_list), 3) AS slope, round(corr(printed, n_list), 6) AS r FROM sw GROUP BY d")
 def sweep_linear_fit(spark, sf_dir):
     return cost.fit_linear(_sweep(spark), "n_list", "printed", ("dims",)).select(F.col("dims").alias("D"), F.round("slope", 3).alias("slope"), "r")

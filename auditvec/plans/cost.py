@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from ..config import Config, next_power_of_two
 from ..functions.field import T_CMP
+from ..operators import search as S
+from ..session import written
 
 #: Least-squares coefficients of the row model, and of the prove-time model.
 ROWS = (0.2748, 6.086, 0.1510, 0.8241, 3.6642, 0.1252)
@@ -34,6 +36,32 @@ def query_gates(c: dict, design: str, maximum=max):
     return sum(step_gates(c, design, maximum=maximum).values())
 
 
+#: Rows of a step's table that one query makes, by the layout's numbers.
+STEP_ROWS = {
+    "distances": lambda c: c["n_list"],
+    "probes": lambda c: c["n_probe"],
+    "tables": lambda c: c["n_probe"] * c["M"] * c["K"],
+    "lookups": lambda c: c["n_probe"] * c["n"] * c["M"],
+    "scores": lambda c: c["n_probe"] * c["n"],
+    "topk": lambda c: min(c["k"], c["n_probe"] * c["n"]),
+}
+
+
+def counted_work(queries: DataFrame, snap: S.Snapshot) -> DataFrame:
+    """(step, n_rows, modelled): rows that each step of a search over all queries makes, counted from its table, beside
+    the rows that the cost model's layout numbers give for as many queries."""
+    near = written(S.centroid_distances(queries, snap), "work-distances")
+    probes = written(S.select_probes(near, snap.cfg.n_probe), "work-probes")
+    lut = written(S.adc_tables(probes, queries, snap), "work-tables")
+    cand = written(S.score_candidates(lut, probes, snap), "work-scores")
+    made = {"distances": near, "probes": probes, "tables": lut, "lookups": S.selected_entries(lut, probes, snap), "scores": cand, "topk": S.top_k(cand, snap.cfg.k)}
+    asked, shape, out = queries.count(), tuple_of(snap.cfg), None
+    for step, rows in made.items():
+        one = rows.agg(F.count("*").alias("n_rows")).select(F.lit(step).alias("step"), "n_rows", F.lit(asked * STEP_ROWS[step](shape)).cast("long").alias("modelled"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def log2_of(x):
     """log2 of a power of two, exactly."""
     return F.length(F.bin(x)) - 1 if isinstance(x, Column) else x.bit_length() - 1

@@ -49,6 +49,17 @@ def snapshot(spark: SparkSession, sf_dir: str) -> S.Snapshot:
     return build_snapshot(base.select("vec_id", "embedding"), cfg, bound, init="stride", iters=0)
 
 
+@lru_cache(maxsize=8)
+def swept(spark: SparkSession, sf_dir: str, lists: int) -> S.Snapshot:
+    """The stride index on another number of lists; the same share of them is probed, with the same room."""
+    if lists == LISTS:
+        return snapshot(spark, sf_dir)
+    bound, n0 = _bound(spark, sf_dir)
+    base, _ = split_queries(load_table(spark, sf_dir, "embeddings"))
+    cfg = Config(DIMS, lists, lists * PROBES // LISTS, next_power_of_two(-(-2 * n0 // lists)), BLOCKS, CODES, K)
+    return build_snapshot(base.select("vec_id", "embedding"), cfg, bound, init="stride", iters=0)
+
+
 def trained_config(n0: int) -> Config:
     """Lists by table size, half to one times the square root of the vectors; a quarter of them is probed."""
     lists = max(LISTS, next_power_of_two(-(-int(n0**0.5) // 2)))
