@@ -278,15 +278,27 @@ def audit(queries: DataFrame, snap: S.Snapshot, version: C.Version, design: str
     return verify(state(queries, answers, snap, version), ev, design, binding)
 
 
-def verify_by_rerun(queries: DataFrame, snap: S.Snapshot, answers: DataFrame, k: int | None = None) -> DataFrame:
+def _scanned(queries: DataFrame, snap: S.Snapshot, named: DataFrame) -> DataFrame:
+    """(query_id, item, dist, there): the scanned candidates with the items that are named for a query, by distance, and
+    all scanned padding. named: (query_id, item)."""
+    probes = written(S.select_probes(S.centroid_distances(queries, snap), snap.cfg.n_probe), "rerun-probes").select("query_id", "list_id")
+    used = snap.slots.filter("valid = 1").join(named.filter("item is not null").distinct(), "item").join(probes, ["query_id", "list_id"])
+    lut = S.adc_tables(used.select("query_id", "list_id").distinct(), queries, snap)
+    codes = used.select("query_id", "list_id", "slot", "item", F.posexplode("codes").alias("m", "code"))
+    adc = codes.join(lut, ["query_id", "list_id", "m", "code"]).groupBy("query_id", "list_id", "slot", "item").agg(F.sum("val").alias("dist"))
+    padding = probes.join(snap.slots.filter("valid <> 1").groupBy("list_id").agg(F.count("*").alias("n")), "list_id")
+    mask = F.lit(snap.cfg.d_max).cast("long") if snap.exact else F.lit(float("inf"))
+    blank = padding.groupBy("query_id").agg(F.sum("n").alias("there")).select("query_id", F.lit(None).cast("long").alias("item"), mask.alias("dist"), "there")
+    return adc.groupBy("query_id", "item", "dist").agg(F.count("*").alias("there")).unionByName(blank)
+
+
+def verify_by_rerun(queries: DataFrame, snap: S.Snapshot, answers: DataFrame, k: int | None = None, again: DataFrame | None = None) -> DataFrame:
     """The baseline in which the client searches again: (query_id, ok). Distances must agree rank by rank, and every
-    answer must be a scanned candidate at its distance, as often as there is one; ties may stand in any order."""
-    probes = S.select_probes(S.centroid_distances(queries, snap), snap.cfg.n_probe)
-    cand = written(S.score_candidates(S.adc_tables(probes, queries, snap), probes, snap), "rerun")
-    again = S.answers_of(S.top_k(cand, k or snap.cfg.k))
+    answer must be a scanned candidate at its distance, as often as there is one; ties may stand in any order. Of the
+    candidates only those with an answer's item are made as rows. again: the client's own search, if it is at hand."""
+    again = S.search(queries, snap, k) if again is None else again
     off = G.bag_difference(again, answers, ["rank", "dist", "is_padding"])
-    pad = F.col("valid") == 0
-    there = cand.select("query_id", F.when(~pad, F.col("item")).alias("item"), F.col("masked").alias("dist")).groupBy("query_id", "item", "dist").agg(F.count("*").alias("there"))
+    there = _scanned(queries, snap, answers.select("query_id", "item"))
     told = answers.groupBy("query_id", F.col("item").alias("it"), F.col("dist").alias("d")).agg(F.count("*").alias("told"))
     met = told.join(there.withColumnRenamed("query_id", "q"), (F.col("query_id") == F.col("q")) & F.col("it").eqNullSafe(F.col("item")) & (F.col("d") == F.col("dist")), "left")
     false = met.filter(F.col("there").isNull() | (F.col("told") > F.col("there"))).select("query_id")
