@@ -8,10 +8,12 @@ from __future__ import annotations
 
 from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from . import audit as A
+from . import traces as T
 
 
 def _bump(df, col, rows, by=1):
@@ -161,7 +163,7 @@ def _older(snap):
 
 def stale_version(st, ev):
     """An honest trace and answer of an older snapshot."""
-    answers, old = A.prove(st.queries, _older(ev.snap), st.k)
+    answers, old = A.prove(st.queries, _older(ev.snap), st.k, later=True)
     return replace(st, answers=answers), old
 
 
@@ -169,7 +171,7 @@ def mixed_snapshots(st, ev):
     """One probed list comes from an older snapshot, everything else, list digests too, from the current one."""
     old = _older(ev.snap).slots.filter(F.col("list_id") == _first_probed(ev))
     slots = ev.snap.slots.filter(F.col("list_id") != _first_probed(ev)).unionByName(old)
-    answers, mixed = A.prove(st.queries, replace(ev.snap, slots=slots), st.k)
+    answers, mixed = A.prove(st.queries, replace(ev.snap, slots=slots), st.k, later=True)
     return replace(st, answers=answers), replace(mixed, roots=ev.roots, paths=ev.paths)
 
 
@@ -203,6 +205,69 @@ ON_SNAPSHOT = {
 MUST_FAIL = ON_TRACE | ON_SNAPSHOT
 
 
+# The changes of traces on one query's arrays: (told, trace, prover, cfg, k) -> what the verifier sees ------------------------
+
+
+def _bumped(t, col, rows, by=1):
+    return T.put(t, **{col: t[col] + by * rows})
+
+
+def _swapped(t, a, b):
+    r = t["rank"]
+    return T.put(t, rank=np.where(r == a, b, np.where(r == b, a, r)))
+
+
+def _told_order(told, tr, k, order, **parts):
+    return replace(told, answers=T.answers_in(order, k)), replace(tr, order=order, **parts)
+
+
+def _fewer_probes(told, tr, prover, cfg, k):
+    t = T.take(tr.probes, tr.probes["rank"] != cfg.n_probe)
+    return told, replace(tr, probes=_bumped(t, "rank", t["rank"] > cfg.n_probe, -1))
+
+
+def _downgraded_probes(told, tr, prover, cfg, k):
+    less = prover(replace(cfg, n_probe=cfg.n_probe - 1))
+    return replace(told, answers=T.answers_in(less.order, k)), less
+
+
+def _doubled_block(told, tr, prover, cfg, k):
+    i, s = (tr.order[c][tr.order["rank"] == 1] for c in ("list_id", "slot"))
+    best = (tr.selected["list_id"] == i) & (tr.selected["slot"] == s)
+    selected = T.joined(T.take(tr.selected, ~best | (tr.selected["m"] != 1)), T.take(tr.selected, best & (tr.selected["m"] == 0)))
+    adc = T.sums_of(selected)["adc"]
+    cand = T.put(tr.cand, adc=adc, masked=np.where(tr.cand["valid"] == 1, adc, cfg.d_max))
+    return _told_order(told, tr, k, T.ranked(cand), selected=selected, cand=cand)
+
+
+def _dropped_candidate(told, tr, prover, cfg, k):
+    t = T.take(tr.order, tr.order["rank"] != 1)
+    return _told_order(told, tr, k, _bumped(t, "rank", True, -1))
+
+
+def _duplicated_candidate(told, tr, prover, cfg, k):
+    r = tr.order["rank"]
+    twice = T.put(T.take(tr.order, r == 1), rank=[0])
+    return _told_order(told, tr, k, _bumped(T.joined(twice, T.take(tr.order, r < cfg.scanned)), "rank", True))
+
+
+ON_ARRAYS = {
+    "fewer_probes": _fewer_probes, "downgraded_probes": _downgraded_probes, "doubled_block": _doubled_block, "dropped_candidate": _dropped_candidate, "duplicated_candidate": _duplicated_candidate,
+    "wrong_probe": lambda told, tr, prover, cfg, k: (told, replace(tr, probes=_swapped(tr.probes, cfg.n_probe, cfg.n_list))),
+    "forged_distance": lambda told, tr, prover, cfg, k: (told, replace(tr, dist=_bumped(tr.dist, "dist", tr.dist["list_id"] == 0))),
+    "forged_table": lambda told, tr, prover, cfg, k: (told, replace(tr, lut=_bumped(tr.lut, "val", (tr.lut["m"] == 0) & (tr.lut["code"] == 0)))),
+    "forged_entry": lambda told, tr, prover, cfg, k: (told, replace(tr, selected=_bumped(tr.selected, "val", (tr.selected["m"] == 0) & (tr.selected["slot"] == 0)))),
+    "forged_score": lambda told, tr, prover, cfg, k: (told, replace(tr, cand=_bumped(tr.cand, "adc", tr.cand["slot"] == 0))),
+    "unmasked_padding": lambda told, tr, prover, cfg, k: (told, replace(tr, cand=T.put(tr.cand, masked=tr.cand["adc"]))),
+    "suppressed_best": lambda told, tr, prover, cfg, k: _told_order(told, tr, k, T.put(tr.order, valid=np.where(tr.order["rank"] == 1, 0, tr.order["valid"]))),
+    "swapped_ranks": lambda told, tr, prover, cfg, k: _told_order(told, tr, k, _swapped(tr.order, 1, k)),
+    "promoted_item": lambda told, tr, prover, cfg, k: _told_order(told, tr, k, _swapped(tr.order, k, cfg.scanned)),
+    "other_answer": lambda told, tr, prover, cfg, k: (replace(told, answers=_bumped(told.answers, "item", (told.answers["rank"] == 1) & (told.answers["none"] == 0), 1_000_000)), tr),
+    "smaller_k": lambda told, tr, prover, cfg, k: (replace(told, answers=T.take(told.answers, told.answers["rank"] < k)), tr),
+    "out_of_range": lambda told, tr, prover, cfg, k: (replace(told, q=np.concatenate([[cfg.scale + 1], told.q[1:]])), tr),
+}
+
+
 def together(st, ev, attacks, apart: int):
     """One statement and one evidence with many attacks on traces: those of the i-th have query ids from (i + 1) * apart
     on, the honest ones keep theirs. apart: beyond every query id."""
