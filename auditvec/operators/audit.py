@@ -18,6 +18,7 @@ named, and each failing one is reported with the number of rows that violate it.
 from __future__ import annotations
 
 import json
+import re
 from dataclasses import dataclass, replace
 from functools import reduce
 
@@ -28,7 +29,7 @@ from pyspark.sql.window import Window
 from ..config import Config
 from ..functions.field import T_CMP
 from ..plans.cost import step_gates_of
-from ..session import written
+from ..session import rows_frame, written
 from . import commit as C
 from . import gadgets as G
 from . import search as S
@@ -363,24 +364,62 @@ PARTS = {
 }
 
 
-def open_bundle(ev: Evidence, k: int) -> str:
-    """Portable evidence that reveals what it touches, as JSON: centroids, digests, codebooks, probed lists and their
-    paths, and the places of the answers. Queries, answers and parameters are the verifier's own."""
+def bundle_pieces(ev: Evidence, k: int, chosen: DataFrame | None = None):
+    """The text of an opened bundle piece by piece: rows come to the driver one by one. chosen: places of the answers as
+    (query_id, rank, list_id, slot), if they are at hand; else those of the ordering."""
     first = ev.probes.filter(F.col("rank") <= ev.snap.cfg.n_probe).select("list_id").distinct()
-    take = lambda d: [r.asDict(True) for r in d.collect()]  # noqa: E731  one audit's parts: bounded by the configuration
-    chosen = ev.order.filter(F.col("rank") <= k).select("query_id", "rank", "list_id", "slot")
+    chosen = ev.order.filter(F.col("rank") <= k).select("query_id", "rank", "list_id", "slot") if chosen is None else chosen
     parts = {"centroids": ev.snap.centroids, "roots": ev.roots, "codebooks": ev.snap.codebooks, "slots": ev.snap.slots.join(first, "list_id", "left_semi").drop("list_bucket"), "paths": ev.paths, "chosen": chosen}
-    return json.dumps({n: take(d) for n, d in parts.items()}, sort_keys=True)
+    for i, name in enumerate(sorted(parts)):
+        yield (", " if i else "{") + f"{json.dumps(name)}: ["
+        for j, row in enumerate(written(parts[name], "opened").toLocalIterator()):
+            yield ", " * bool(j) + json.dumps(row.asDict(True), sort_keys=True)
+        yield "]"
+    yield "}"
+
+
+def open_bundle(ev: Evidence, k: int, chosen: DataFrame | None = None) -> str:
+    """Portable evidence that reveals what it touches, as JSON: centroids, digests, codebooks, probed lists and their
+    paths, and the places of the answers. Queries, answers and parameters are the verifier's own."""
+    return "".join(bundle_pieces(ev, k, chosen))
+
+
+#: Characters of a bundle that the driver gives to a table at once.
+BUNDLE_CHARS = 1 << 20
+
+
+def _rows_of(bundle: str):
+    """(part, row as text) of a bundle, one by one."""
+    decode, skip = json.JSONDecoder().raw_decode, lambda i: re.compile(r"[\s,]*").match(bundle, i).end()
+    at = skip(bundle.index("{") + 1)
+    while bundle[at] != "}":
+        name, at = decode(bundle, at)
+        at = skip(bundle.index("[", at) + 1)
+        while bundle[at] != "]":
+            end = decode(bundle, at)[1]
+            yield name, bundle[at:end]
+            at = skip(end)
+        at = skip(at + 1)
+
+
+def _parts_of(spark, bundle: str) -> dict[str, DataFrame]:
+    """A bundle's parts as tables; the driver holds its text and a batch of rows."""
+    tables, batch, chars = [], [], 0
+    for name, row in _rows_of(bundle):
+        batch.append((name, row))
+        chars += len(row)
+        if chars >= BUNDLE_CHARS:
+            tables.append(written(rows_frame(spark, batch, "part string, row string"), "bundle"))
+            batch, chars = [], 0
+    rows = reduce(lambda a, b: a.unionByName(b), [*tables, rows_frame(spark, batch, "part string, row string")])
+    part = lambda name, schema: rows.filter(F.col("part") == name).select(F.from_json("row", schema, {"mode": "FAILFAST"}).alias("x")).select("x.*")
+    return {name: written(part(name, schema), name) for name, schema in PARTS.items()}
 
 
 def verify_bundle(spark, bundle: str, st: Statement) -> DataFrame:
     """Check a statement with an opened bundle alone, without the corpus: the steps run again on the opened parts, with
     the answers' places as told, and every relation is checked, lists by their paths."""
-    b = json.loads(bundle)
-    f = {n: spark.createDataFrame([tuple(r[c.split()[0]] for c in s.split(", ")) for r in b[n]], s) for n, s in PARTS.items()}
+    f = _parts_of(spark, bundle)
     snap = S.Snapshot(st.cfg, st.v_max, f["centroids"], f["codebooks"], f["slots"])
-    _, ev = prove(st.queries, snap, st.k)
-    told = ev.cand.join(f["chosen"], ["query_id", "list_id", "slot"], "left")
-    rest = Window.partitionBy("query_id", F.col("rank").isNull()).orderBy("masked", "list_id", "slot")
-    order = told.withColumn("rank", F.coalesce("rank", (F.lit(st.k) + F.row_number().over(rest)).cast("int")))
-    return verify(st, replace(ev, order=written(order, "order"), roots=f["roots"], paths=f["paths"]), "multiset", "path")
+    _, ev = prove(st.queries, snap, st.k, later=True)
+    return verify_each(st, replace(ev, roots=f["roots"], paths=f["paths"]), [("multiset", "path")], chosen=f["chosen"]).drop("design")
